@@ -1 +1 @@
-
+"""Column functions: hashes, transforms, randomisers, encodings and codes."""

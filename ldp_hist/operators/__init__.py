@@ -1 +1 @@
-
+"""Frequency oracles, heavy-hitter protocols, baselines and measures."""

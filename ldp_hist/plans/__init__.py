@@ -1 +1 @@
-
+"""Parameters, cost models, dispatch and the query catalogue."""

@@ -1 +1 @@
-
+"""Populations (who holds what) and sinks."""

@@ -1 +1 @@
-
+"""Counters over streams."""

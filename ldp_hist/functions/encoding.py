@@ -55,7 +55,7 @@ class IntEncoding(Encoding):
     """Non-negative integers of ``levels * bits`` bits."""
 
     def encode(self, item: Column) -> Column:
-        return F.coalesce(item.cast("long"), F.lit(self.missing()))
+        return F.coalesce(item.try_cast("long"), F.lit(self.missing()))
 
 
 def integers(width: int, bits: int = 1) -> IntEncoding:

@@ -15,8 +15,11 @@ SPACE = "▁"
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 #: An unknown character costs this much more than the least likely piece.
 UNKNOWN_PENALTY = 10.0
-#: Segments remembered by each worker, and the longest that are.
-MEMO, MEMO_CHARS = 200_000, 64
+#: Segments remembered by each worker (as many again from the time before), and the longest that are.
+MEMO, MEMO_CHARS = 150_000, 64
+
+
+_WARM: dict = {}
 
 
 @dataclass
@@ -31,7 +34,28 @@ class Vocabulary:
     longest: int
     unknown_score: float
     splits: bool
-    memo: dict[str, np.ndarray] = field(default_factory=dict)
+    trie: dict | None = None
+    memo: dict[str, list[int]] = field(default_factory=dict)
+    older: dict[str, list[int]] = field(default_factory=dict)
+
+    def __getstate__(self):
+        return self.__dict__ | {"trie": None, "memo": {}, "older": {}}
+
+    def warm(self) -> Vocabulary:
+        """This worker's own copy, which keeps its trie and its memo from task to task."""
+        key = (len(self.pieces), self.longest, hash(tuple(self.scores.items())))
+        return _WARM.setdefault(key, self)
+
+    def root(self) -> dict:
+        """Children by character; under the empty string the score of the piece that ends here."""
+        if self.trie is None:
+            self.trie = {}
+            for piece, score in self.scores.items():
+                node = self.trie
+                for c in piece:
+                    node = node.setdefault(c, {})
+                node[""] = score
+        return self.trie
 
     @classmethod
     def load(cls, path: str = DEFAULT_MODEL) -> Vocabulary:
@@ -118,15 +142,40 @@ class StreamingViterbi:
         return out
 
 
-def _segment(v: Vocabulary, text: str) -> np.ndarray:
-    known = v.memo.get(text)
-    if known is None:
+def _whole(v: Vocabulary, text: str) -> list[int]:
+    """The search over a segment that is no longer than a stream's window anyway.
+
+    From every boundary in turn the pieces that begin there, down the trie as far as it goes.
+    """
+    n, root, unknown = len(text), v.root(), v.unknown_score
+    best, back = [0.0] + [-1e300] * n, [0] * (n + 1)
+    for s in range(n):
+        here, node, e = best[s], root, s
+        if here + unknown > best[s + 1]:
+            best[s + 1], back[s + 1] = here + unknown, s
+        for c in text[s:]:
+            node = node.get(c)
+            if node is None:
+                break
+            e += 1
+            score = node.get("")
+            if score is not None and here + score > best[e]:
+                best[e], back[e] = here + score, s
+    stream = StreamingViterbi(v)
+    stream.text, stream.back = text, back
+    return stream.finish()
+
+
+def _segment(v: Vocabulary, text: str) -> list[int]:
+    if len(text) > MEMO_CHARS:
         stream = StreamingViterbi(v)
-        known = np.array(stream.feed(text) + stream.finish(), np.int32)
-        if len(text) <= MEMO_CHARS:
-            if len(v.memo) >= MEMO:
-                v.memo.clear()
-            v.memo[text] = known
+        return stream.feed(text) + stream.finish()
+    known = v.older.get(text)
+    if known is None:
+        known = _whole(v, text)
+    if len(v.memo) >= MEMO:
+        v.older, v.memo = v.memo, {}
+    v.memo[text] = known
     return known
 
 
@@ -144,9 +193,12 @@ def encode(v: Vocabulary, text: str | None) -> np.ndarray:
         return np.zeros(0, np.int32)
     marked = SPACE + text.replace(" ", SPACE)
     if not v.splits:
-        return _segment(v, marked)
-    memo = v.memo
-    return np.concatenate([memo[s] if s in memo else _segment(v, s) for s in _SEGMENTS.findall(marked)])
+        return np.array(_segment(v, marked), np.int32)
+    out: list[int] = []
+    for s in _SEGMENTS.findall(marked):
+        known = v.memo.get(s)
+        out += known if known is not None else _segment(v, s)
+    return np.array(out, np.int32)
 
 
 def decode(v: Vocabulary, ids: np.ndarray) -> str:
@@ -164,8 +216,9 @@ def decode(v: Vocabulary, ids: np.ndarray) -> str:
     return text[1:] if text.startswith(" ") else text
 
 
-def _encode(v: Vocabulary, carried: int):
+def _encode(vocabulary: Vocabulary, carried: int):
     def run(batches):
+        v = vocabulary.warm()
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)

@@ -90,13 +90,24 @@ class Forest:
 
 
 def spanning_links(fingerprints: np.ndarray, radius: int, accept=None) -> list[tuple[int, int]]:
-    """Links that connect what the radius (and ``accept``) connects, at most one fewer than members."""
+    """Links that connect what the radius (and ``accept``) connects, at most one fewer than members.
+
+    Pairs come in batches; those whose ends are connected by then are passed over without a look, so a
+    large group of near copies costs comparisons of bits, not a step for each pair.
+    """
     links, forest = [], Forest(len(fingerprints))
+    label = np.arange(len(fingerprints))
     for queries, members in BKTree(fingerprints).search(fingerprints, radius):
-        for a, b in zip(queries.tolist(), members.tolist(), strict=True):
-            if a < b and forest.find(a) != forest.find(b) and (accept is None or accept(a, b)):
-                forest.union(a, b)
-                links.append((a, b))
+        for at in range(0, len(queries), 4096):
+            a, b = queries[at : at + 4096], members[at : at + 4096]
+            apart = (a < b) & (label[a] != label[b])
+            a, b = a[apart], b[apart]
+            if accept is not None and len(a):
+                alike = accept(a, b)
+                a, b = a[alike], b[alike]
+            if len(a):
+                links += [(x, y) for x, y in zip(a.tolist(), b.tolist(), strict=True) if forest.union(x, y)]
+                label = np.array([forest.find(i) for i in range(len(label))])
     return links
 
 
@@ -285,7 +296,7 @@ def _band_links(radius: int, similarity: float):
 
     def links_of(nodes: list[int], fps: list[int], sigs: list[bytes]):
         table = np.frombuffer(b"".join(sigs), "<u2").reshape(len(sigs), SIGNATURE)
-        accept = lambda a, b: int(np.count_nonzero(table[a] == table[b])) >= need
+        accept = lambda a, b: np.count_nonzero(table[a] == table[b], axis=1) >= need
         for a, b in spanning_links(np.array(fps, np.int64).view(np.uint64), radius, accept):
             yield nodes[a], nodes[b]
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -12,8 +13,9 @@ from ldp_hist.llm.shared import materialise
 # The patterns of the contract and the alphabets of common encodings.
 ASSIGN = r"""(?i)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
 ACCESS = r"AKIA[A-Z0-9]+"
-HEX = r"[0-9a-f]{16,}"  # the runs of [0-9a-f]+ that have 16 characters or more
-TOKEN = r"[A-Za-z0-9+/_-]{20,}"
+# Runs of [0-9a-f]+ that have 16 characters or more, and of TOKEN's own set. Looking behind tries each run once.
+HEX = r"(?<![0-9a-f])[0-9a-f]{16,}+"
+TOKEN = r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{20,}+"
 KINDS = ("assign", "access", "hex", "random")
 DIGITS, UPPER, LOWER = "0123456789", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 ENCODINGS = (
@@ -61,42 +63,72 @@ def _upper_tail(z: Column) -> Column:
     return F.when(z > 0, half).otherwise(1 - half)
 
 
+def _let(value: Column, body: Callable[[Column], Column]) -> Column:
+    """``body`` of a ``value`` that is computed once, however often ``body`` names it."""
+    return F.get(F.transform(F.array(value), body), 0)
+
+
+def _chi_squared(token: Column, n: Column, k: int) -> Column:
+    symbols = F.array_distinct(F.split(token, ""))
+    squares = F.aggregate(symbols, F.lit(0.0), lambda a, c: a + F.pow(n - F.char_length(F.replace(token, c, F.lit(""))), F.lit(2.0)))
+    # The statistic's exact mean and variance under the multinomial, rather than those of the limit.
+    return _let((squares * k / n - n - (k - 1.0)) / F.sqrt(2.0 * (k - 1) * (n - 1) / n), _upper_tail)
+
+
+def _runs(token: Column, n: Column, alphabet: str) -> Column:
+    low = (len(alphabet) + 1) // 2
+    halves = F.translate(token, alphabet, "0" * low + "1" * (len(alphabet) - low))
+
+    def of(x: Column) -> Column:
+        ones = n - x["zeros"]
+        expected = 1 + 2 * ones * x["zeros"] / n
+        z = _let(expected, lambda e: (x["runs"] - e) / F.sqrt(F.greatest((e - 1) * (e - 2) / (n - 1), F.lit(1e-9))))
+        return F.when(ones * x["zeros"] == 0, F.pow(F.lit(0.5), n - 1)).otherwise(_let(z, _tail))
+
+    def counted(h: Column) -> Column:
+        runs = F.char_length(F.regexp_replace(h, "0+|1+", "r")).cast("double")
+        return F.struct(F.char_length(F.replace(h, F.lit("1"), F.lit(""))).cast("double").alias("zeros"), runs.alias("runs"))
+
+    return _let(_let(halves, counted), of)
+
+
+def _serial(token: Column, n: Column, alphabet: str) -> Column:
+    """Lag-one correlation from running sums: one pass, with the mean taken out at the end."""
+    at = F.transform(F.split(token, ""), lambda c: F.instr(F.lit(alphabet), c).cast("double"))
+    start = F.struct(F.lit(0.0).alias("first"), F.lit(0.0).alias("last"), F.lit(0.0).alias("sum"), F.lit(0.0).alias("squares"), F.lit(0.0).alias("lag"))
+
+    def step(a: Column, x: Column) -> Column:
+        first = F.when(a["last"] == 0, x).otherwise(a["first"])  # symbols are numbered from 1
+        return F.struct(first.alias("first"), x.alias("last"), (a["sum"] + x).alias("sum"), (a["squares"] + x * x).alias("squares"), (a["lag"] + a["last"] * x).alias("lag"))
+
+    def of(a: Column) -> Column:
+        middle = a["sum"] / n
+        power = a["squares"] - a["sum"] * middle
+        lag = a["lag"] - middle * (2 * a["sum"] - a["first"] - a["last"]) + (n - 1) * middle * middle
+        return F.when(power <= 1e-9, F.lit(0.0)).otherwise(_let((lag / power + 1 / n) * F.sqrt(n), _tail))
+
+    return _let(F.aggregate(at, start, step), of)
+
+
 def _tests(token: Column, alphabet: str) -> Column:
     """The combined p-value that ``token`` is uniform over ``alphabet``: chi-squared, runs, serial correlation.
 
     Bonferroni over the three, since they share the data.
     """
-    k, n = len(alphabet), F.char_length(token).cast("double")
-    symbols = F.split(token, "")
-    squares = F.aggregate(F.array_distinct(symbols), F.lit(0.0), lambda a, c: a + F.pow(n - F.char_length(F.replace(token, c, F.lit(""))), F.lit(2.0)))
-    chi = squares * k / n - n
-    # The statistic's exact mean and variance under the multinomial, rather than those of the limit.
-    mean, var = k - 1.0, 2.0 * (k - 1) * (n - 1) / n
-    p_chi = _upper_tail((chi - mean) / F.sqrt(var))
-    low = (k + 1) // 2
-    halves = F.translate(token, alphabet, "0" * low + "1" * (k - low))
-    runs = F.char_length(F.regexp_replace(halves, "0+|1+", "r")).cast("double")
-    ones = n - F.char_length(F.replace(halves, F.lit("1"), F.lit("")))
-    zeros = n - ones
-    expected = 1 + 2 * ones * zeros / n
-    spread = F.sqrt(F.greatest((expected - 1) * (expected - 2) / (n - 1), F.lit(1e-9)))
-    p_runs = F.when(ones * zeros == 0, F.pow(F.lit(0.5), n - 1)).otherwise(_tail((runs - expected) / spread))
-    at = F.transform(symbols, lambda c: F.instr(F.lit(alphabet), c).cast("double"))
-    middle = F.aggregate(at, F.lit(0.0), lambda a, x: a + x) / n
-    about = F.transform(at, lambda x: x - middle)
-    power = F.aggregate(about, F.lit(0.0), lambda a, x: a + x * x)
-    pairs = F.zip_with(F.slice(about, F.lit(1), F.size(about) - 1), F.slice(about, F.lit(2), F.size(about) - 1), lambda x, y: x * y)
-    lag = F.aggregate(pairs, F.lit(0.0), lambda a, x: a + x)
-    p_lag = F.when(power == 0, F.lit(0.0)).otherwise(_tail((lag / power + 1 / n) * F.sqrt(n)))
-    return F.least(F.lit(1.0), 3 * F.least(p_chi, p_runs, p_lag))
+
+    def of(t: Column) -> Column:
+        n = F.char_length(t).cast("double")
+        return 3 * F.least(_chi_squared(t, n, len(alphabet)), _runs(t, n, alphabet), _serial(t, n, alphabet))
+
+    return F.least(F.lit(1.0), _let(token, of))
 
 
 def battery(token: Column) -> Column:
     """struct<encoding, p>: the narrowest encoding that holds the token, and the p-value of the tests in it."""
     out = None
     for name, pattern, alphabet in reversed(ENCODINGS):
-        body = F.upper(token) if name == "hex" else token
-        one = F.struct(F.lit(name).alias("encoding"), _tests(body, alphabet).alias("p"))
+        p = _tests(F.upper(token) if name == "hex" else token, alphabet)
+        one = F.struct(F.lit(name).alias("encoding"), p.alias("p"))
         out = one if out is None else F.when(token.rlike(pattern), one).otherwise(out)
     return out
 
@@ -149,7 +181,9 @@ def scan_secrets(docs: DataFrame) -> DataFrame:
     free = base.withColumn("tokens", F.filter("tokens", lambda t: ~F.exists("base", lambda b: (b["s"] < t["e"]) & (t["s"] < b["e"]))))
 
     def tested(t: Column) -> Column:
-        b = battery(t["hit"])
+        return _let(battery(t["hit"]), lambda b: result(t, b))
+
+    def result(t: Column, b: Column) -> Column:
         return F.struct(t["s"].alias("s"), t["e"].alias("e"), b["encoding"].alias("encoding"), F.floor(F.log2((t["e"] - t["s"]).cast("double"))).cast("int").alias("stratum"), b["p"].alias("p"))
 
     kept = materialise(free.select(

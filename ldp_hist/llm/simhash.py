@@ -89,18 +89,27 @@ class Forest:
         return a != b
 
 
-def spanning_links(fingerprints: np.ndarray, radius: int, accept=None) -> list[tuple[int, int]]:
+def spanning_links(fingerprints: np.ndarray, radius: int, accept=None, asked=None, roots=None) -> list[tuple[int, int]]:
     """Links that connect what the radius (and ``accept``) connects, at most one fewer than members.
 
     Pairs come in batches; those whose ends are connected by then are passed over without a look, so a
-    large group of near copies costs comparisons of bits, not a step for each pair.
+    large group of near copies costs comparisons of bits, not a step for each pair. With ``asked`` only the
+    pairs that hold one of these members count; members of equal ``roots`` are connected from the start.
     """
-    links, forest = [], Forest(len(fingerprints))
-    label = np.arange(len(fingerprints))
-    for queries, members in BKTree(fingerprints).search(fingerprints, radius):
+    links, forest, every = [], Forest(len(fingerprints)), asked is None
+    asked = np.arange(len(fingerprints)) if every else asked
+    if roots is not None:
+        _, first, group = np.unique(roots, return_index=True, return_inverse=True)
+        for i, at in enumerate(first[group].tolist()):
+            forest.union(at, i)
+    label = np.array([forest.find(i) for i in range(len(fingerprints))])
+    for queries, members in BKTree(fingerprints).search(fingerprints[asked], radius):
+        queries = asked[queries]
         for at in range(0, len(queries), 4096):
             a, b = queries[at : at + 4096], members[at : at + 4096]
-            apart = (a < b) & (label[a] != label[b])
+            apart = label[a] != label[b]
+            if every:
+                apart &= a < b
             a, b = a[apart], b[apart]
             if accept is not None and len(a):
                 alike = accept(a, b)
@@ -291,45 +300,90 @@ def _signatures(shingle: int):
     return run
 
 
+#: Nodes of a shard that are compared in one task; larger shards are cut into chunks of about this many.
+CHUNK = 1024
+
+
 def _band_links(radius: int, similarity: float):
+    """Links the nodes of each (band, key, chunk), read in that order; ``asked`` and ``root`` as in ``spanning_links``."""
     need = int(np.ceil(similarity * SIGNATURE))
 
-    def links_of(nodes: list[int], fps: list[int], sigs: list[bytes]):
+    def links_of(rows: list[tuple]) -> Iterator[tuple[int, int]]:
+        nodes, fps, sigs, asked, roots = zip(*rows, strict=True)
         table = np.frombuffer(b"".join(sigs), "<u2").reshape(len(sigs), SIGNATURE)
         accept = lambda a, b: np.count_nonzero(table[a] == table[b], axis=1) >= need
-        for a, b in spanning_links(np.array(fps, np.int64).view(np.uint64), radius, accept):
+        only = None if all(asked) else np.flatnonzero(asked)
+        for a, b in spanning_links(np.array(fps, np.int64).view(np.uint64), radius, accept, only, np.array(roots, np.int64)):
             yield nodes[a], nodes[b]
 
+    def emit(links) -> pa.RecordBatch:
+        pairs = np.array(links, np.int64).reshape(-1, 2)
+        return pa.record_batch([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["u", "v"])
+
     def run(batches):
-        at, nodes, fps, sigs = None, [], [], []
+        at, rows = None, []
         for batch in batches:
-            u, v = [], []
-            for band, key, node, fp, sig in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
-                if (band, key) != at:
-                    if len(nodes) > 1:
-                        for a, b in links_of(nodes, fps, sigs):
-                            u.append(a)
-                            v.append(b)
-                    at, nodes, fps, sigs = (band, key), [], [], []
-                nodes.append(node)
-                fps.append(fp)
-                sigs.append(sig)
-            yield pa.record_batch([pa.array(u, pa.int64()), pa.array(v, pa.int64())], names=["u", "v"])
-        if len(nodes) > 1:
-            pairs = list(links_of(nodes, fps, sigs))
-            yield pa.record_batch([pa.array([a for a, _ in pairs], pa.int64()), pa.array([b for _, b in pairs], pa.int64())], names=["u", "v"])
+            found = []
+            for band, key, chunk, *row in zip(*(batch.column(i).to_pylist() for i in range(8)), strict=True):
+                if (band, key, chunk) != at:
+                    if len(rows) > 1:
+                        found += links_of(rows)
+                    at, rows = (band, key, chunk), []
+                rows.append(tuple(row))
+            yield emit(found)
+        if len(rows) > 1:
+            yield emit(list(links_of(rows)))
 
     return run
 
 
-def near_copies(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, radius: int = 24, runs: int = RUNS) -> DataFrame:
+def _class_links(nodes: DataFrame, radius: int, similarity: float, chunk: int) -> DataFrame:
+    """Links (u, v) of ``nodes`` (node, x: fp, sig, bands) whose closure is that of all similar pairs of a shard.
+
+    Shards of more than ``chunk`` nodes go through two steps, and no task sees more than about a chunk.
+    First every chunk is linked by itself, together with the shard's least node, which ties the chunks of a
+    group of near copies. Then only nodes outside the shard's largest component can still lack a link: these
+    strays are sent to all chunks of their shard, and meet every node that is not connected to them yet.
+    """
+    bands = nodes.select("node", "x.fp", "x.sig", F.posexplode("x.bands").alias("band", "key"))
+    place = nodes.select("node", F.posexplode("x.bands").alias("band", "key"))
+    shards = materialise(place.groupBy("band", "key").agg(F.count("*").alias("n"), F.min("node").alias("pivot")).where("n > 1")
+                         .withColumn("chunks", F.ceil(F.col("n") / chunk).cast("int")).drop("n"))
+    of = F.pmod(F.xxhash64("node", "band"), F.col("chunks")).cast("int").alias("chunk")
+    columns = ["band", "key", "chunk", "node", "fp", "sig", "asked", "root"]
+    at = columns[:3]
+
+    def linked(rows: DataFrame) -> DataFrame:
+        return rows.select(*columns).repartition(*at).sortWithinPartitions(*at).mapInArrow(_band_links(radius, similarity), "u long, v long")
+
+    alone = [F.lit(True).alias("asked"), F.col("node").alias("root")]
+    members = bands.join(shards, ["band", "key"]).select("band", "key", of, "node", "fp", "sig", *alone)
+    large = shards.where("chunks > 1")
+    if large.isEmpty():
+        return linked(members)
+    everywhere = F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk")
+    pivots = large.withColumnRenamed("pivot", "node").join(nodes, "node").select("band", "key", everywhere, "node", "x.fp", "x.sig", *alone)
+    first = materialise(linked(members.union(pivots)))
+    roots = connected_components(first)
+    rooted = place.join(large, ["band", "key"]).select("band", "key", "chunks", "node", of).join(roots, "node", "left")
+    rooted = materialise(rooted.withColumn("root", F.coalesce("root", "node")))
+    sizes = rooted.groupBy("band", "key", "root").count()
+    main = sizes.groupBy("band", "key").agg(F.max_by("root", F.struct("count", "root")).alias("main"), F.count("*").alias("parts")).where("parts > 1")
+    again = rooted.join(main, ["band", "key"])
+    strays = again.where("root != main").select("band", "key", everywhere, "node", F.lit(True).alias("asked"), "root")
+    rest = again.where("root = main").select("band", "key", "chunk", "node", F.lit(False).alias("asked"), "root")
+    return first.union(linked(strays.union(rest).join(nodes.select("node", "x.fp", "x.sig"), "node")))
+
+
+def near_copies(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, radius: int = 24, runs: int = RUNS, chunk: int = CHUNK) -> DataFrame:
     """doc_id, row_key, class_id: classes of documents whose shingle sets are ``similarity`` alike or more.
 
     A document's shards are the ``BANDS`` hashes of ``ROWS`` MinHash values each, which two documents
     of similarity 0.8 share with probability over 0.999; in a shard the BK-tree of SimHash fingerprints
     proposes the pairs within ``radius`` and the agreement of 256 MinHash values, an unbiased
     estimate with a standard error of 0.025 at 0.8, decides. Equal shingle sets are one node, and a shard
-    emits a spanning forest of its links, never its pairs. ``row_key`` tells rows apart that share an id.
+    emits a spanning forest of its links, never its pairs; ``_class_links`` tells how large shards are split.
+    ``row_key`` tells rows apart that share an id.
     """
     read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("doc_id", "text").alias("row_key"), "text")
     schema = "doc_id long, row_key long, fp long, sig binary, bands array<long>"
@@ -338,11 +392,7 @@ def near_copies(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, radi
     )
     per_run = found.groupBy("run", "node").agg(F.min(F.struct("doc_id", "row_key")).alias("least"), F.first(F.struct("fp", "sig", "bands")).alias("x"))
     nodes = materialise(per_run.groupBy("node").agg(F.min("least").alias("least"), F.first("x").alias("x")))
-    bands = nodes.select("node", "x.fp", "x.sig", F.posexplode("x.bands").alias("band", "key"))
-    shared = bands.groupBy("band", "key").agg(F.count("*").alias("n")).where("n > 1").select("band", "key")
-    at = ["band", "key"]
-    linked = bands.join(shared, at, "left_semi").select("band", "key", "node", "fp", "sig").repartition(*at).sortWithinPartitions(*at)
-    roots = connected_components(linked.mapInArrow(_band_links(radius, similarity), "u long, v long"))
+    roots = connected_components(_class_links(nodes, radius, similarity, chunk))
     rooted = nodes.select("node", "least").join(roots, "node", "left")
     least = rooted.where("root IS NOT NULL").groupBy("root").agg(F.min("least").alias("of_root"))
     labels = rooted.join(least, "root", "left").select("node", F.coalesce("of_root", "least").alias("stays"))

@@ -235,6 +235,20 @@ def test_near_copies_similarity(spark):
     assert classes == truth
 
 
+def test_large_shards_are_split_exactly(spark):
+    rng = random.Random(4)
+    base = [rng.choice("abcdefgh") + str(rng.randrange(10**6)) for _ in range(200)]
+    texts = []
+    for i in range(60):
+        t = list(base)
+        for at in rng.sample(range(200), rng.choice([1, 2, 3, 12, 20])):
+            t[at] = f"changed{i}x{at}"
+        texts.append((i, " ".join(t)))
+    made = spark.createDataFrame(texts, "doc_id long, text string")
+    whole, *cut = ({r["doc_id"]: r["class_id"] for r in simhash.near_copies(made, chunk=c).collect()} for c in (1000, 20, 2))
+    assert 1 < len(set(whole.values())) < 60 and all(c == whole for c in cut)
+
+
 def naive_spans(text):
     t = text or ""
     out = [(m.start(), 0, m.end()) for m in re.finditer(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", t, re.I | re.A) if len(m[2]) >= 12]

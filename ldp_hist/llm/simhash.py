@@ -345,7 +345,6 @@ def _class_links(nodes: DataFrame, radius: int, similarity: float, chunk: int) -
     group of near copies. Then only nodes outside the shard's largest component can still lack a link: these
     strays are sent to all chunks of their shard, and meet every node that is not connected to them yet.
     """
-    bands = nodes.select("node", "x.fp", "x.sig", F.posexplode("x.bands").alias("band", "key"))
     place = nodes.select("node", F.posexplode("x.bands").alias("band", "key"))
     shards = materialise(place.groupBy("band", "key").agg(F.count("*").alias("n"), F.min("node").alias("pivot")).where("n > 1")
                          .withColumn("chunks", F.ceil(F.col("n") / chunk).cast("int")).drop("n"))
@@ -356,13 +355,16 @@ def _class_links(nodes: DataFrame, radius: int, similarity: float, chunk: int) -
     def linked(rows: DataFrame) -> DataFrame:
         return rows.select(*columns).repartition(*at).sortWithinPartitions(*at).mapInArrow(_band_links(radius, similarity), "u long, v long")
 
+    # Only narrow rows are shuffled to find a node's shards (at most BANDS); its signature joins them once.
+    spots = place.join(shards, ["band", "key"]).groupBy("node").agg(F.collect_list(F.struct("band", "key", of)).alias("spots"))
     alone = [F.lit(True).alias("asked"), F.col("node").alias("root")]
-    members = bands.join(shards, ["band", "key"]).select("band", "key", of, "node", "fp", "sig", *alone)
+    known = nodes.select("node", "x.fp", "x.sig")
+    members = known.join(spots, "node").select("node", "fp", "sig", F.inline("spots")).select("band", "key", "chunk", "node", "fp", "sig", *alone)
     large = shards.where("chunks > 1")
     if large.isEmpty():
         return linked(members)
     everywhere = F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk")
-    pivots = large.withColumnRenamed("pivot", "node").join(nodes, "node").select("band", "key", everywhere, "node", "x.fp", "x.sig", *alone)
+    pivots = large.withColumnRenamed("pivot", "node").join(known, "node").select("band", "key", everywhere, "node", "fp", "sig", *alone)
     first = materialise(linked(members.union(pivots)))
     roots = connected_components(first)
     rooted = place.join(large, ["band", "key"]).select("band", "key", "chunks", "node", of).join(roots, "node", "left")
@@ -372,7 +374,7 @@ def _class_links(nodes: DataFrame, radius: int, similarity: float, chunk: int) -
     again = rooted.join(main, ["band", "key"])
     strays = again.where("root != main").select("band", "key", everywhere, "node", F.lit(True).alias("asked"), "root")
     rest = again.where("root = main").select("band", "key", "chunk", "node", F.lit(False).alias("asked"), "root")
-    return first.union(linked(strays.union(rest).join(nodes.select("node", "x.fp", "x.sig"), "node")))
+    return first.union(linked(strays.union(rest).join(known, "node")))
 
 
 def near_copies(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, radius: int = 24, runs: int = RUNS, chunk: int = CHUNK) -> DataFrame:
@@ -390,8 +392,8 @@ def near_copies(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, radi
     found = materialise(
         read.mapInArrow(_signatures(shingle), schema).withColumns({"node": F.xxhash64("fp", "sig"), "run": run_of(runs)})
     )
-    per_run = found.groupBy("run", "node").agg(F.min(F.struct("doc_id", "row_key")).alias("least"), F.first(F.struct("fp", "sig", "bands")).alias("x"))
-    nodes = materialise(per_run.groupBy("node").agg(F.min("least").alias("least"), F.first("x").alias("x")))
+    # Partial sums on the reading side leave one row of a hot node in each partition.
+    nodes = materialise(found.groupBy("node").agg(F.min(F.struct("doc_id", "row_key")).alias("least"), F.first(F.struct("fp", "sig", "bands")).alias("x")))
     roots = connected_components(_class_links(nodes, radius, similarity, chunk))
     rooted = nodes.select("node", "least").join(roots, "node", "left")
     least = rooted.where("root IS NOT NULL").groupBy("root").agg(F.min("least").alias("of_root"))

@@ -103,12 +103,14 @@ def train(docs: DataFrame) -> Model | None:
     return fit(rows) if rows else None
 
 
-def _predict(model: Model | None, pick: list[str]):
+def _predict(model: Model | None, pick: list[str], text_of):
+    """``text_of`` gives a batch's texts, so that a text which is part of a carried row is not sent twice."""
+
     def run(batches):
         for batch in batches:
             for at in range(0, batch.num_rows, 1024):
                 part = batch.slice(at, 1024)
-                texts, lettered = part.column(len(pick)).to_pylist(), part.column(len(pick) + 1).to_pylist()
+                texts, lettered = text_of(part).to_pylist(), part.column("ok").to_pylist()
                 pred, score = ["und"] * len(texts), np.zeros(len(texts))
                 rows = [i for i, ok in enumerate(lettered) if ok]
                 if rows and model:
@@ -129,16 +131,15 @@ def predict(docs: DataFrame, model: Model | None) -> DataFrame:
     """
     lettered = F.coalesce(F.col("text").rlike(r"\p{L}"), F.lit(False))
     read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_hash"), "text", lettered.alias("ok"))
-    return read.mapInArrow(_predict(model, ["doc_id", "text_hash"]), "doc_id long, text_hash long, lang_pred string, score double")
+    return read.mapInArrow(_predict(model, ["doc_id", "text_hash"], lambda b: b.column("text")), "doc_id long, text_hash long, lang_pred string, score double")
 
 
 def annotate(docs: DataFrame, model: Model | None) -> DataFrame:
     """``row`` (all columns of ``docs``) with lang_pred and score of the whole text."""
     rows = packed(docs)
-    text = F.col("row.text")
-    read = rows.select("row", text.alias("text"), F.coalesce(text.rlike(r"\p{L}"), F.lit(False)).alias("ok"))
-    schema = T.StructType(rows.schema.fields).add("lang_pred", "string").add("score", "double")
-    return read.mapInArrow(_predict(model, ["row"]), schema)
+    read = rows.select("row", F.coalesce(F.col("row.text").rlike(r"\p{L}"), F.lit(False)).alias("ok"))
+    schema = T.StructType(list(rows.schema.fields)).add("lang_pred", "string").add("score", "double")
+    return read.mapInArrow(_predict(model, ["row"], lambda b: b.column("row").field("text")), schema)
 
 
 def language_id(docs: DataFrame) -> DataFrame:

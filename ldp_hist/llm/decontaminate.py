@@ -101,11 +101,11 @@ class Index:
 def _find(index: Index, similarity: float):
     def run(batches):
         for batch in batches:
-            found = [index.matches(t.as_py(), similarity) for t in batch.column("text")]
+            found = [index.matches(t.as_py(), similarity) for t in batch.column("row").field("text")]
             items = [sorted(index.ids[i] for i in m) for m in found]
             top = [max(m.values(), default=0.0) for m in found]
-            yield pa.record_batch([*batch.columns[:-1], pa.array(items, pa.list_(pa.int64())), pa.array(top, pa.float64())],
-                                  names=[*batch.schema.names[:-1], "item_ids", "similarity"])
+            yield pa.record_batch([*batch.columns, pa.array(items, pa.list_(pa.int64())), pa.array(top, pa.float64())],
+                                  names=[*batch.schema.names, "item_ids", "similarity"])
 
     return run
 
@@ -135,11 +135,11 @@ def contamination(docs: DataFrame, benchmark: DataFrame, shingle: int = 5, simil
     match nothing; repeated rows get equal answers; with an empty benchmark nothing matches.
     """
     rows = packed(docs)
-    out, schema = rows, T.StructType(rows.schema.fields)
+    out, schema = rows, T.StructType(list(rows.schema.fields))
     blocks = item_blocks(benchmark)
     for n, block in enumerate(blocks):
-        schema = T.StructType(schema.fields).add("item_ids", T.ArrayType(T.LongType())).add("similarity", "double")
-        out = out.withColumn("text", F.col("row.text")).mapInArrow(_find(Index(block, shingle), similarity), schema)
+        schema = T.StructType(list(schema.fields)).add("item_ids", T.ArrayType(T.LongType())).add("similarity", "double")
+        out = out.mapInArrow(_find(Index(block, shingle), similarity), schema)
         out = out.withColumnsRenamed({"item_ids": f"items{n}", "similarity": f"similarity{n}"})
         schema = out.schema
     every = range(len(blocks))

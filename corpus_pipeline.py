@@ -7,14 +7,11 @@ from pyspark.sql import functions as F
 
 from ldp_hist.llm import decontaminate, langid, line_dedup, pieces, shared, simhash
 
-#: A document goes if no language's classifier comes near to accepting it (scores run from 0 to 1).
-REJECT_BELOW = 0.3
-
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents without a letter or that no language accepts; others keep all their columns."""
     model = langid.train(docs)
-    known = langid.annotate(docs, model).where((F.col("lang_pred") != "und") & (F.col("score") >= REJECT_BELOW))
+    known = langid.annotate(docs, model).where("accepted")
     return shared.unpacked(known, docs.columns)
 
 

@@ -4,6 +4,11 @@ The kernel of two texts counts the character n-grams (1 to 3, the blended spectr
 normalised by the square roots of their numbers. Landmark texts give Nyström features, one-versus-rest
 kernel ridge regression the weights; as the kernel is a product of presence vectors, landmarks and
 weights fold into one matrix, and a batch of texts is scored by one matrix product.
+
+Targets are 1 for a language's own texts and 0 for others, all languages weigh the same and there is no
+intercept, so a text that shares no n-gram with the landmarks gets 0 from every language, whatever
+their number and shares. How much a language's own texts get depends on their length, so the least
+response that a language accepts is calibrated by the number of n-grams, on rows left out of the fit.
 """
 
 from __future__ import annotations
@@ -49,37 +54,92 @@ def presence(texts: list[str]) -> np.ndarray:
     return x / np.sqrt(np.maximum(x.sum(axis=1, keepdims=True), 1))
 
 
+#: Of a language's own texts of a length this share is rejected; so many of them make a level of their own.
+REJECTED, LEVEL_LEAST, LEVELS, CALIBRATED = 0.01, 20, 16, 150
+
+
+def level_of(x: np.ndarray) -> np.ndarray:
+    """The power of two of the number of distinct n-grams, from the rows of ``presence``."""
+    return np.log2(np.maximum(np.count_nonzero(x, axis=1), 1)).astype(int)
+
+
 @dataclass
 class Model:
     langs: list[str]
     weights: np.ndarray  # buckets x languages
-    bias: np.ndarray
+    least: np.ndarray  # levels x languages
 
-    def score(self, texts: list[str]) -> np.ndarray:
-        """The mean decision value of each text's pieces of ``PIECE`` characters, by language."""
+    def judge(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """By language the mean response to each text's pieces of ``PIECE`` characters, and the mean that it has to reach."""
         pieces = [(i, t[a : a + PIECE]) for i, t in enumerate(texts) for a in range(0, max(len(t), 1), PIECE)]
-        total, count = np.zeros((len(texts), len(self.langs))), np.zeros((len(texts), 1))
+        total, least, count = np.zeros((len(texts), len(self.langs))), np.zeros((len(texts), len(self.langs))), np.zeros((len(texts), 1))
         for at in range(0, len(pieces), 256):
             part = pieces[at : at + 256]
             owner, size = np.array([i for i, _ in part]), np.array([[len(t)] for _, t in part])
-            np.add.at(total, owner, (presence([t for _, t in part]) @ self.weights + self.bias) * size)
+            x = presence([t for _, t in part])
+            np.add.at(total, owner, (x @ self.weights) * size)
+            np.add.at(least, owner, self.least[level_of(x)] * size)
             np.add.at(count, owner, size)
-        return total / np.maximum(count, 1)
+        return total / np.maximum(count, 1), least / np.maximum(count, 1)
 
+    def score(self, texts: list[str]) -> np.ndarray:
+        return self.judge(texts)[0]
 
-def fit(rows: list[tuple[str, str]]) -> Model:
-    """Kernel ridge regression on Nyström features of (text, lang) rows, one language against the rest."""
-    langs = sorted({lang for _, lang in rows})
-    x, y = presence([t for t, _ in rows]), np.array([[1.0 if lang == k else -1.0 for k in langs] for _, lang in rows])
-    by_lang = [[i for i, (_, lang) in enumerate(rows) if lang == k] for k in langs]
+
+def _weights(x: np.ndarray, lang: np.ndarray, classes: int) -> np.ndarray:
+    """Kernel ridge regression on Nyström features; landmarks are taken from the languages in turn."""
+    by_lang = [np.flatnonzero(lang == k) for k in range(classes)]
     turn = [ids[n] for n in range(max(map(len, by_lang))) for ids in by_lang if n < len(ids)]
     marks = x[turn[:LANDMARKS]]
     value, vector = np.linalg.eigh((marks @ marks.T).astype(np.float64))
     root = vector / np.sqrt(np.maximum(value, 1e-6))  # K^(-1/2) up to rotation
     features = (x @ marks.T) @ root
-    mean = y.mean(axis=0)
-    solved = np.linalg.solve(features.T @ features + RIDGE * len(rows) * np.eye(len(marks)) / 10, features.T @ (y - mean))
-    return Model(langs, (marks.T.astype(np.float64) @ (root @ solved)).astype(np.float32), mean)
+    sizes = np.array([len(ids) for ids in by_lang])
+    weighted = features * (len(x) / (np.count_nonzero(sizes) * sizes[lang]))[:, None]
+    solved = np.linalg.solve(weighted.T @ features + RIDGE * len(x) * np.eye(len(marks)) / 10, weighted.T @ np.eye(classes)[lang])
+    return (marks.T.astype(np.float64) @ (root @ solved)).astype(np.float32)
+
+
+def _least(texts: list[str], lang: np.ndarray, nth: np.ndarray, x: np.ndarray, classes: int) -> np.ndarray:
+    """The least accepted response by level and language: the ``REJECTED`` quantile of the language's own texts.
+
+    Every other row of a language is left out of the fit that answers it, whole and cut to all powers of two
+    of its length. Levels are filled from the short end; one of too few answers takes the level below it, and a language
+    with a single row the least of the others.
+    """
+    answers: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+    for fold in (0, 1):
+        used = nth % 2 != fold
+        if not used.any():
+            continue
+        weights = _weights(x[used], lang[used], classes)
+        held = [i for i in np.flatnonzero(~used & (nth < CALIBRATED)) if (used & (lang == lang[i])).any()]
+        cuts = [(lang[i], texts[i][at : at + n]) for i in held for n in {*(1 << b for b in range(2, 11)), PIECE} for at in [max(0, len(texts[i]) - n) // 2] if n <= len(texts[i]) or n == PIECE]
+        for at in range(0, len(cuts), 256):
+            own = np.array([k for k, _ in cuts[at : at + 256]])
+            seen = presence([t for _, t in cuts[at : at + 256]])
+            answers.append((level_of(seen), own, (seen @ weights)[np.arange(len(own)), own]))
+    out = np.full((LEVELS, classes), np.nan)
+    if not answers:
+        return np.zeros_like(out)
+    level, own, value = (np.concatenate(a) for a in zip(*answers, strict=True))
+    for k in range(classes):
+        for b in range(LEVELS):
+            if np.count_nonzero(here := (level == b) & (own == k)) >= LEVEL_LEAST:
+                out[b, k] = np.quantile(value[here], REJECTED)
+            elif b:
+                out[b, k] = out[b - 1, k]
+    few = np.isnan(out).all(axis=0)
+    out[:, few] = np.nanmin(np.where(few, np.nan, out), axis=1, initial=np.inf, keepdims=True) if not few.all() else 0
+    return np.maximum(np.where(np.isfinite(out), out, 0), 0)
+
+
+def fit(rows: list[tuple[str, str]]) -> Model:
+    """Fits (text, lang) rows: kernel ridge regression, one language against the rest, and what each accepts."""
+    langs = sorted({lang for _, lang in rows})
+    texts, x, lang = [t for t, _ in rows], presence([t for t, _ in rows]), np.array([langs.index(k) for _, k in rows])
+    nth = np.array([np.count_nonzero(lang[:i] == k) for i, k in enumerate(lang)])
+    return Model(langs, _weights(x, lang, len(langs)), _least(texts, lang, nth, x, len(langs)))
 
 
 def train(docs: DataFrame) -> Model | None:
@@ -111,34 +171,33 @@ def _predict(model: Model | None, pick: list[str], text_of):
             for at in range(0, batch.num_rows, 1024):
                 part = batch.slice(at, 1024)
                 texts, lettered = text_of(part).to_pylist(), part.column("ok").to_pylist()
-                pred, score = ["und"] * len(texts), np.zeros(len(texts))
+                pred, score, accepted = ["und"] * len(texts), np.zeros(len(texts)), np.zeros(len(texts), bool)
                 rows = [i for i, ok in enumerate(lettered) if ok]
                 if rows and model:
-                    values = model.score([texts[i] for i in rows])
-                    best = values.argmax(axis=1)
-                    for i, b, v in zip(rows, best, values.max(axis=1), strict=True):
-                        pred[i], score[i] = model.langs[b], min(1.0, max(0.0, (v + 1) / 2))
-                yield pa.record_batch([*part.columns[: len(pick)], pa.array(pred), pa.array(score)], names=[*pick, "lang_pred", "score"])
+                    values, least = model.judge([texts[i] for i in rows])
+                    for i, b, v, low in zip(rows, values.argmax(axis=1), values, least, strict=True):
+                        pred[i], score[i], accepted[i] = model.langs[b], min(1.0, max(0.0, v[b])), v[b] > 0 and v[b] >= low[b]
+                yield pa.record_batch([*part.columns[: len(pick)], pa.array(pred), pa.array(score), pa.array(accepted)], names=[*pick, "lang_pred", "score", "accepted"])
 
     return run
 
 
 def predict(docs: DataFrame, model: Model | None) -> DataFrame:
-    """``doc_id`` and ``text_hash`` (null-safe identity of a row) with lang_pred and score of the whole text.
+    """``doc_id`` and ``text_hash`` (null-safe identity of a row) with lang_pred, score and accepted of the whole text.
 
-    ``und`` with score 0 for a null text, one without a letter, and if nothing could be learned.
-    Equal decision values fall to the language first in alphabetical order.
+    The score is the language's response, cut to 0..1. ``und`` with score 0, not accepted, for a null text, one without a letter, and if nothing could be learned.
+    Equal responses fall to the language first in alphabetical order.
     """
     lettered = F.coalesce(F.col("text").rlike(r"\p{L}"), F.lit(False))
     read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_hash"), "text", lettered.alias("ok"))
-    return read.mapInArrow(_predict(model, ["doc_id", "text_hash"], lambda b: b.column("text")), "doc_id long, text_hash long, lang_pred string, score double")
+    return read.mapInArrow(_predict(model, ["doc_id", "text_hash"], lambda b: b.column("text")), "doc_id long, text_hash long, lang_pred string, score double, accepted boolean")
 
 
 def annotate(docs: DataFrame, model: Model | None) -> DataFrame:
-    """``row`` (all columns of ``docs``) with lang_pred and score of the whole text."""
+    """``row`` (all columns of ``docs``) with lang_pred, score and accepted of the whole text."""
     rows = packed(docs)
     read = rows.select("row", F.coalesce(F.col("row.text").rlike(r"\p{L}"), F.lit(False)).alias("ok"))
-    schema = T.StructType(list(rows.schema.fields)).add("lang_pred", "string").add("score", "double")
+    schema = T.StructType(list(rows.schema.fields)).add("lang_pred", "string").add("score", "double").add("accepted", "boolean")
     return read.mapInArrow(_predict(model, ["row"], lambda b: b.column("row").field("text")), schema)
 
 

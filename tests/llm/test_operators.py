@@ -464,3 +464,36 @@ def test_feistel_is_permutation(n):
     if n > 100:
         assert (slots != feistel.permute(np.arange(n), n, 8)).mean() > 0.9
         assert abs(np.corrcoef(np.arange(n), slots)[0, 1]) < 0.15
+
+
+@pytest.mark.parametrize("sizes", [{"en": 300}, {"en": 300, "fr": 40}, {"en": 200, "fr": 200}, {"en": 300, "fr": 60, "de": 40}, {"en": 100, "de": 100, "es": 100}, {"en": 300, "fr": 94, "de": 80, "es": 75}])
+def test_unknown_languages_are_rejected(spark, sizes):
+    texts = defaultdict(list)
+    for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").where("text RLIKE '[a-z]'").orderBy("doc_id").collect():
+        texts[r["lang"]].append(r["text"])
+    model = langid.fit([(t[:2000], k) for k, n in sizes.items() for t in texts[k][: min(n, len(texts[k]) - 25)]])
+
+    def kept(some):
+        values, least = model.judge(some)
+        best = values.argmax(axis=1)
+        return np.mean(values.max(axis=1) >= least[np.arange(len(some)), best])
+
+    rng = random.Random(8)
+    noise = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz   ") for _ in range(n)) for n in (200, 2000, 5000) for _ in range(20)]
+    other = [" ".join("".join(rng.choice(a) for _ in range(rng.randrange(2, 9))) for _ in range(60)) for a in ("абвгдежзиклмнопрст", "一二三四五六七八九十") for _ in range(20)]
+    assert kept(noise) == kept(other) == 0
+    for k, own in texts.items():
+        long = [t for t in own[-25:] if len(t) > 200]
+        assert kept(long) >= 0.9 if k in sizes else kept(long) <= 0.1, k
+
+
+def test_language_stage_drops_noise(spark):
+    import corpus_pipeline
+
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text", "lang")
+    rng = random.Random(8)
+    noise = [(-1 - i, "".join(rng.choice("bcdfghjklmnpqrstvwxz   ") for _ in range(800)), None) for i in range(20)]
+    before = docs.where("text RLIKE '[a-z]' AND length(text) > 100").count()
+    kept = corpus_pipeline.identify_language(spark, docs.union(spark.createDataFrame(noise, docs.schema)), "").cache()
+    assert kept.where("doc_id < 0").count() == 0
+    assert kept.where("text RLIKE '[a-z]' AND length(text) > 100").count() >= 0.97 * before

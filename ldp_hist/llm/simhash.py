@@ -262,13 +262,19 @@ def near_components(docs: DataFrame, shingle: int = 3, radius: int = 2, runs: in
 # --- near copies by similarity (the pipeline's stage) ------------------------------------------------------
 
 SIGNATURE, ROWS, BANDS = 256, 3, 12
+#: Signatures propose pairs down to this much under the similarity: four standard errors of their estimate at 0.8.
+SLACK = 0.1
 _SEEDS = mix(np.arange(1, SIGNATURE + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 
 
-def signature(text: str | None, shingle: int) -> tuple[int, np.ndarray]:
-    """The SimHash and the 256 MinHash values of the set of word shingles of the whole text."""
+def shingle_set(text: str | None, shingle: int) -> np.ndarray:
+    """The sorted distinct hashes of all word shingles of the whole text."""
     data = (text or "").encode("utf-8", "surrogatepass").lower()
-    hashes = np.unique(shingle_hashes(word_hashes(data)[2], shingle))
+    return np.unique(shingle_hashes(word_hashes(data)[2], shingle))
+
+
+def signature(hashes: np.ndarray) -> tuple[int, np.ndarray]:
+    """The SimHash and the 256 MinHash values of a set of shingles."""
     if not len(hashes):
         return 0, np.zeros(SIGNATURE, np.uint64)
     least = np.full(SIGNATURE, np.iinfo(np.uint64).max, np.uint64)
@@ -280,38 +286,76 @@ def signature(text: str | None, shingle: int) -> tuple[int, np.ndarray]:
 
 
 def _signatures(shingle: int):
-    schema = ["doc_id", "row_key", "fp", "sig", "bands"]
+    schema = ["doc_id", "row_key", "fp", "sig", "bands", "node"]
 
     def run(batches):
         for batch in batches:
             for at in range(0, batch.num_rows, 1024):
                 part = batch.slice(at, 1024)
-                found = [signature(t.as_py(), shingle) for t in part.column(2)]
+                found, nodes = [], []
+                for t in part.column(2):
+                    hashes = shingle_set(t.as_py(), shingle)
+                    found.append(signature(hashes))
+                    nodes.append(xxhash.xxh64_intdigest(hashes.tobytes()))
                 sigs = np.array([s for _, s in found], np.uint64).reshape(-1, SIGNATURE)
                 used = sigs[:, : ROWS * BANDS].reshape(len(sigs), BANDS, ROWS)
                 bands = mix(mix(mix(used[:, :, 0]) + used[:, :, 1]) + used[:, :, 2]).view(np.int64)
                 yield pa.record_batch(
                     [part.column(0), part.column(1), pa.array(_signed([f for f, _ in found])),
                      pa.array([s.astype("<u2").tobytes() for s in sigs], pa.binary()),
-                     pa.array(list(bands), pa.list_(pa.int64()))],
+                     pa.array(list(bands), pa.list_(pa.int64())), pa.array(_signed(nodes))],
                     names=schema,
                 )
 
     return run
 
 
+def _shingle_sets(shingle: int):
+    """(node, set) of (node, text), the set as its sorted 64-bit hashes."""
+
+    def run(batches):
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                sets = [shingle_set(t.as_py(), shingle).tobytes() for t in part.column(1)]
+                yield pa.record_batch([part.column(0), pa.array(sets, pa.binary())], names=["node", "set"])
+
+    return run
+
+
+def alike(a: np.ndarray, b: np.ndarray, similarity: float) -> bool:
+    """Whether two sorted sets share ``similarity`` of their union or more."""
+    small, large = (a, b) if len(a) <= len(b) else (b, a)
+    if len(small) < similarity * len(large) * (1 - 1e-9) or not len(small):
+        return False
+    at = np.searchsorted(large, small)
+    both = int(np.count_nonzero(large[np.minimum(at, len(large) - 1)] == small))
+    return both / (len(a) + len(b) - both) >= similarity
+
+
 #: Nodes of a shard that are compared in one task; larger shards are cut into chunks of about this many.
 CHUNK = 1024
 
 
 def _band_links(radius: int, similarity: float):
-    """Links the nodes of each (band, key, chunk), read in that order; ``asked`` and ``root`` as in ``spanning_links``."""
-    need = int(np.ceil(similarity * SIGNATURE))
+    """Links the nodes of each (band, key, chunk), read in that order; ``asked`` and ``root`` as in ``spanning_links``.
+
+    The signatures propose pairs; where the nodes bring their shingle sets, these decide.
+    """
+    need = int(np.ceil((similarity - SLACK) * SIGNATURE))
 
     def links_of(rows: list[tuple]) -> Iterator[tuple[int, int]]:
-        nodes, fps, sigs, asked, roots = zip(*rows, strict=True)
+        nodes, fps, sigs, asked, roots, sets = zip(*rows, strict=True)
         table = np.frombuffer(b"".join(sigs), "<u2").reshape(len(sigs), SIGNATURE)
-        accept = lambda a, b: np.count_nonzero(table[a] == table[b], axis=1) >= need
+        held = None if sets[0] is None else [np.frombuffer(x, np.uint64) for x in sets]
+
+        def accept(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+            near = np.count_nonzero(table[a] == table[b], axis=1) >= need
+            if held is not None:
+                for i in np.flatnonzero(near):
+                    near[i] = alike(held[a[i]], held[b[i]], similarity)
+            return near
+
         only = None if all(asked) else np.flatnonzero(asked)
         for a, b in spanning_links(np.array(fps, np.int64).view(np.uint64), radius, accept, only, np.array(roots, np.int64)):
             yield nodes[a], nodes[b]
@@ -324,7 +368,7 @@ def _band_links(radius: int, similarity: float):
         at, rows = None, []
         for batch in batches:
             found = []
-            for band, key, chunk, *row in zip(*(batch.column(i).to_pylist() for i in range(8)), strict=True):
+            for band, key, chunk, *row in zip(*(batch.column(i).to_pylist() for i in range(9)), strict=True):
                 if (band, key, chunk) != at:
                     if len(rows) > 1:
                         found += links_of(rows)
@@ -338,7 +382,7 @@ def _band_links(radius: int, similarity: float):
 
 
 def _class_links(nodes: DataFrame, radius: int, similarity: float, chunk: int) -> DataFrame:
-    """Links (u, v) of ``nodes`` (node, x: fp, sig, bands) whose closure is that of all similar pairs of a shard.
+    """Links (u, v) of ``nodes`` (node, x: fp, sig, bands, set) whose closure is that of all similar pairs of a shard.
 
     Shards of more than ``chunk`` nodes go through two steps, and no task sees more than about a chunk.
     First every chunk is linked by itself, together with the shard's least node, which ties the chunks of a
@@ -349,7 +393,7 @@ def _class_links(nodes: DataFrame, radius: int, similarity: float, chunk: int) -
     shards = materialise(place.groupBy("band", "key").agg(F.count("*").alias("n"), F.min("node").alias("pivot")).where("n > 1")
                          .withColumn("chunks", F.ceil(F.col("n") / chunk).cast("int")).drop("n"))
     of = F.pmod(F.xxhash64("node", "band"), F.col("chunks")).cast("int").alias("chunk")
-    columns = ["band", "key", "chunk", "node", "fp", "sig", "asked", "root"]
+    columns = ["band", "key", "chunk", "node", "fp", "sig", "asked", "root", "set"]
     at = columns[:3]
 
     def linked(rows: DataFrame) -> DataFrame:
@@ -358,13 +402,13 @@ def _class_links(nodes: DataFrame, radius: int, similarity: float, chunk: int) -
     # Only narrow rows are shuffled to find a node's shards (at most BANDS); its signature joins them once.
     spots = place.join(shards, ["band", "key"]).groupBy("node").agg(F.collect_list(F.struct("band", "key", of)).alias("spots"))
     alone = [F.lit(True).alias("asked"), F.col("node").alias("root")]
-    known = nodes.select("node", "x.fp", "x.sig")
-    members = known.join(spots, "node").select("node", "fp", "sig", F.inline("spots")).select("band", "key", "chunk", "node", "fp", "sig", *alone)
+    known = nodes.select("node", "x.fp", "x.sig", "x.set")
+    members = known.join(spots, "node").select("node", "fp", "sig", "set", F.inline("spots")).select("band", "key", "chunk", "node", "fp", "sig", "set", *alone)
     large = shards.where("chunks > 1")
     if large.isEmpty():
         return linked(members)
     everywhere = F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk")
-    pivots = large.withColumnRenamed("pivot", "node").join(known, "node").select("band", "key", everywhere, "node", "fp", "sig", *alone)
+    pivots = large.withColumnRenamed("pivot", "node").join(known, "node").select("band", "key", everywhere, "node", "fp", "sig", "set", *alone)
     first = materialise(linked(members.union(pivots)))
     roots = connected_components(first)
     rooted = place.join(large, ["band", "key"]).select("band", "key", "chunks", "node", of).join(roots, "node", "left")
@@ -382,19 +426,25 @@ def near_copies(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, radi
 
     A document's shards are the ``BANDS`` hashes of ``ROWS`` MinHash values each, which two documents
     of similarity 0.8 share with probability over 0.999; in a shard the BK-tree of SimHash fingerprints
-    proposes the pairs within ``radius`` and the agreement of 256 MinHash values, an unbiased
-    estimate with a standard error of 0.025 at 0.8, decides. Equal shingle sets are one node, and a shard
+    proposes the pairs within ``radius``, and the agreement of 256 MinHash values (standard error 0.025 at 0.8)
+    leaves those of ``similarity`` less ``SLACK`` or more. Every pair of the similarity thus lies within one component of these
+    candidates. Only their members' texts are read again, a component becomes a shard, and there the exact
+    similarity of the shingle sets decides before a link is made. Equal shingle sets are one node, and a shard
     emits a spanning forest of its links, never its pairs; ``_class_links`` tells how large shards are split.
     ``row_key`` tells rows apart that share an id.
     """
     read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("doc_id", "text").alias("row_key"), "text")
-    schema = "doc_id long, row_key long, fp long, sig binary, bands array<long>"
-    found = materialise(
-        read.mapInArrow(_signatures(shingle), schema).withColumns({"node": F.xxhash64("fp", "sig"), "run": run_of(runs)})
-    )
+    schema = "doc_id long, row_key long, fp long, sig binary, bands array<long>, node long"
+    found = materialise(read.mapInArrow(_signatures(shingle), schema).withColumn("run", run_of(runs)))
     # Partial sums on the reading side leave one row of a hot node in each partition.
-    nodes = materialise(found.groupBy("node").agg(F.min(F.struct("doc_id", "row_key")).alias("least"), F.first(F.struct("fp", "sig", "bands")).alias("x")))
-    roots = connected_components(_class_links(nodes, radius, similarity, chunk))
+    no_set = F.lit(None).cast("binary").alias("set")
+    nodes = materialise(found.groupBy("node").agg(F.min(F.struct("doc_id", "row_key")).alias("least"), F.first(F.struct("fp", "sig", "bands", no_set)).alias("x")))
+    candidates = materialise(connected_components(_class_links(nodes, radius, similarity, chunk)))
+    members = nodes.join(candidates.withColumnRenamed("root", "of"), "node").select("node", F.col("least.row_key").alias("row_key"), "of", "x.fp", "x.sig")
+    texts = read.join(members.select("node", "row_key"), "row_key").select("node", "text")
+    sets = texts.mapInArrow(_shingle_sets(shingle), "node long, set binary").groupBy("node").agg(F.first("set").alias("set"))
+    exact = materialise(members.join(sets, "node").select("node", F.struct("fp", "sig", F.array("of").alias("bands"), "set").alias("x")))
+    roots = connected_components(_class_links(exact, radius, similarity, chunk))
     rooted = nodes.select("node", "least").join(roots, "node", "left")
     least = rooted.where("root IS NOT NULL").groupBy("root").agg(F.min("least").alias("of_root"))
     labels = rooted.join(least, "root", "left").select("node", F.coalesce("of_root", "least").alias("stays"))

@@ -497,3 +497,21 @@ def test_language_stage_drops_noise(spark):
     kept = corpus_pipeline.identify_language(spark, docs.union(spark.createDataFrame(noise, docs.schema)), "").cache()
     assert kept.where("doc_id < 0").count() == 0
     assert kept.where("text RLIKE '[a-z]' AND length(text) > 100").count() >= 0.97 * before
+
+
+def test_near_copies_are_exact_at_the_threshold(spark):
+    rng = random.Random(21)
+    texts = []
+    for n in (*range(40, 60), 120, 250):
+        for changed in (1, 2, 4):
+            base = [rng.choice("abcdefgh") + str(rng.randrange(10**6)) for _ in range(n)]
+            other = list(base)
+            for i in range(changed):
+                other[n // 2 + 3 * i] = f"changed{n}x{i}"
+            texts += [base, other]
+    made = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
+    classes = {r["doc_id"]: r["class_id"] for r in simhash.near_copies(made).collect()}
+    sets = [{tuple(t[i : i + 5]) for i in range(len(t) - 4)} for t in texts]
+    share = [len(sets[i] & sets[i + 1]) / len(sets[i] | sets[i + 1]) for i in range(0, len(texts), 2)]
+    assert sum(0.75 < s < 0.8 for s in share) >= 5 and sum(0.8 <= s < 0.85 for s in share) >= 5
+    assert classes == closure(range(len(texts)), lambda a, b: len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]))

@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
+import glob
 import os
+import uuid
 import zlib
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ldp_hist.llm.shared import materialise
+from ldp_hist.llm.shared import materialise, shared_dir
 from ldp_hist.llm.words import mix
 
 #: Token ids are the text's UTF-8 bytes; END closes a document and PAD fills its last sequence.
@@ -81,8 +83,8 @@ def training_order(
     A document's ids (its UTF-8 bytes and ``END``) are cut into sequences of ``sequence``; the last one is
     padded. Sequences are written to the shared folder once, as bytes, and numbered there without a gap: by
     partition, whose counts give the offsets (one row a partition), and by row within it. The keyed
-    permutation gives each number its slot; slots are range-partitioned and sorted, ``shard_sequences`` to a
-    shard. ``shard_offset`` is a record's byte offset in its shard, always a multiple of 2*sequence. The
+    permutation gives each number its slot, ``shard_sequences`` to a shard; whole shards are range-partitioned and
+    sorted by slot. ``shard_offset`` is a record's byte offset in its shard, always a multiple of 2*sequence. The
     text is thus shuffled once, by slot.
 
     Null texts count as empty (one sequence, just ``END``); null ids are allowed and repeated rows get slots of
@@ -104,36 +106,108 @@ def training_order(
     starts = F.broadcast(counts.select("part", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("start")))
     pieces = pieces.join(starts, "part").withColumn("number", F.col("start") + F.col("nth"))
     slots = pieces.withColumn("slot", slot_of(F.col("number"), total, key)).withColumn("shard", F.floor(F.col("slot") / shard_sequences))
-    ordered = slots.repartitionByRange("slot").sortWithinPartitions("slot").select("slot", "doc_id", "seq_no", "shard", "payload", "ends")
+    ordered = slots.repartitionByRange("shard").sortWithinPartitions("slot").select("slot", "doc_id", "seq_no", "shard", "payload", "ends")
     records = ordered.mapInArrow(_records(sequence), "slot long, doc_id long, seq_no long, shard long, n_tokens int, record_crc32 long, record binary")
     return records.withColumn("shard_offset", (F.col("slot") % shard_sequences) * (2 * sequence))
 
 
+#: What a shard file holds after its records: an index entry for each, then their number and a line end.
+ENTRY = np.dtype([("doc_id", "<i8"), ("known", "<i8"), ("seq_no", "<i8"), ("n_tokens", "<i8")])
+FOOTER = 8 + 1
+
+
+def _shard_bytes(batches):
+    """(shard, bytes) of slot-ordered rows that hold whole shards: records, index, number of records."""
+
+    def packed(shard: int, records: list[bytes], index: list[tuple]) -> pa.RecordBatch:
+        data = b"".join([*records, np.array(index, ENTRY).tobytes(), len(records).to_bytes(8, "little")])
+        return pa.record_batch([pa.array([shard], pa.int64()), pa.array([data], pa.binary())], names=["shard", "bytes"])
+
+    at, records, index = None, [], []
+    for batch in batches:
+        shards, ids, seqs, sizes = (batch.column(i).to_pylist() for i in range(4))
+        for shard, doc_id, seq_no, n, record in zip(shards, ids, seqs, sizes, batch.column(4), strict=True):
+            if shard != at:
+                if records:
+                    yield packed(at, records, index)
+                at, records, index = shard, [], []
+            records.append(record.as_py())
+            index.append((doc_id or 0, doc_id is not None, seq_no, n))
+    if records:
+        yield packed(at, records, index)
+
+
+def _shard_rows(sequence: int, shard_sequences: int):
+    """The rows of shard files: all values, the checksums included, come from the bytes that were written."""
+
+    def run(batches):
+        for batch in batches:
+            for shard, content in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                data = content.as_buffer()
+                view, stride = memoryview(data), 2 * sequence
+                n = int.from_bytes(view[len(view) - FOOTER : len(view) - 1], "little")
+                if len(view) != n * (stride + ENTRY.itemsize) + FOOTER:
+                    raise ValueError(f"shard {shard} has {len(view)} bytes for {n} records")
+                index = np.frombuffer(view[n * stride : n * stride + n * ENTRY.itemsize], ENTRY)
+                for a in range(0, n, 1024):
+                    some = index[a : a + 1024]
+                    records = [bytes(view[i * stride : (i + 1) * stride]) for i in range(a, a + len(some))]
+                    at = np.arange(a, a + len(some), dtype=np.int64)
+                    yield pa.record_batch(
+                        [pa.array(shard * shard_sequences + at), pa.array(some["doc_id"].copy(), mask=some["known"] == 0), pa.array(some["seq_no"].copy()), pa.array(np.full(len(some), shard, np.int64)),
+                         pa.array(some["n_tokens"].astype(np.int32)), pa.array([zlib.crc32(r) for r in records], pa.int64()), pa.array(records, pa.binary()), pa.array(at * stride)],
+                        names=["slot", "doc_id", "seq_no", "shard", "n_tokens", "record_crc32", "record", "shard_offset"],
+                    )
+
+    return run
+
+
 def write_shards(ordered: DataFrame, folder: str, sequence: int = SEQUENCE, shard_sequences: int = SHARD_SEQUENCES) -> DataFrame:
-    """Writes ``shard-N.bin`` files to a folder that all machines mount; (shard, sequences, bytes) of each.
+    """Writes ``shards/shard=N/`` with one file each below ``folder``, a Hadoop path; (shard, sequences, bytes) of each.
 
-    A file is written beside its final name and renamed, so that a retried task replaces it whole and a
-    reader never sees half a shard. Record i of a shard starts at byte 2*sequence*i.
+    Record i of a shard starts at byte 2*sequence*i of its file; the index of ids comes after the records. A partition of
+    ``ordered`` has to hold whole shards in slot order, as those of ``training_order`` do: they are written where
+    they are. Spark's committer keeps one attempt of a retried task, and a reader never sees half a shard.
     """
+    whole = ordered.select("shard", "doc_id", "seq_no", "n_tokens", "record").mapInArrow(_shard_bytes, "shard long, bytes binary")
+    whole.select("shard", F.col("bytes").cast("string").alias("value")).write.mode("overwrite").partitionBy("shard").option("compression", "none").text(f"{folder}/shards")
+    rows = written_sequences(ordered.sparkSession, folder, sequence, shard_sequences)
+    return rows.groupBy("shard").agg(F.count("*").alias("sequences"), F.sum(F.octet_length("record")).cast("long").alias("bytes"))
+
 
-    def write(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("slot")
-        name = os.path.join(folder, f"shard-{int(pdf['shard'].iloc[0]):08d}.bin")
-        with open(part := f"{name}.{os.getpid()}.part", "wb") as f:
-            f.writelines(pdf["record"])
-        os.replace(part, name)
-        return pd.DataFrame({"shard": pdf["shard"].iloc[:1], "sequences": [len(pdf)], "bytes": [os.path.getsize(name)]})
+def written_sequences(spark: SparkSession, folder: str, sequence: int = SEQUENCE, shard_sequences: int = SHARD_SEQUENCES) -> DataFrame:
+    """The rows of ``training_order``, read from the shard files below ``folder``."""
+    schema = "slot long, doc_id long, seq_no long, shard long, n_tokens int, record_crc32 long, record binary, shard_offset long"
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/shards")
+    if not any("shard=" in str(x.getPath()) for x in path.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(path)):
+        return spark.createDataFrame([], schema)
+    shard = F.regexp_extract("path", "/shard=([0-9]+)/", 1).cast("long").alias("shard")
+    files = spark.read.format("binaryFile").load(f"{folder}/shards/shard=*/part-*").select(shard, "content")
+    return files.mapInArrow(_shard_rows(sequence, shard_sequences), schema)
 
-    return ordered.select("slot", "shard", "record").groupBy("shard").applyInPandas(write, "shard long, sequences long, bytes long")
+
+def training_shards(docs: DataFrame, folder: str | None = None, **how) -> DataFrame:
+    """Writes the training order of ``docs`` as shards (by default to a new folder in the shared one) and returns the rows they hold.
+
+    The shard files stay for the readers; rows are read from them, not from what they were made of.
+    """
+    folder = folder or f"{shared_dir(docs.sparkSession)}/training-order-{uuid.uuid4().hex}"
+    sizes = {k: v for k, v in how.items() if k in ("sequence", "shard_sequences")}
+    write_shards(training_order(docs, **how), folder, **sizes)
+    return written_sequences(docs.sparkSession, folder, **sizes)
 
 
 def read_sequences(folder: str, start: int, count: int, sequence: int = SEQUENCE, shard_sequences: int = SHARD_SEQUENCES) -> np.ndarray:
-    """``count`` records from global slot ``start`` on, by seeking: how a reader resumes."""
+    """``count`` records from global slot ``start`` on, by seeking in a mounted folder: how a reader resumes."""
     out = []
     while count > 0:
         shard, at = divmod(start, shard_sequences)
-        n = min(count, shard_sequences - at)
-        with open(os.path.join(folder, f"shard-{shard:08d}.bin"), "rb") as f:
+        found = glob.glob(os.path.join(glob.escape(folder), "shards", f"shard={shard}", "part-*"))
+        if not found:
+            break
+        with open(found[0], "rb") as f:
+            f.seek(-FOOTER, os.SEEK_END)
+            n = min(count, max(0, int.from_bytes(f.read(8), "little") - at))
             f.seek(at * 2 * sequence)
             got = np.frombuffer(f.read(n * 2 * sequence), "<u2").reshape(-1, sequence)
         if not len(got):

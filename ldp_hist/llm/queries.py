@@ -12,7 +12,7 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 QUERIES = {
-    "op1_training_order": lambda spark, d: feistel.training_order(_table(spark, d, "documents")),
+    "op1_training_order": lambda spark, d: feistel.training_shards(_table(spark, d, "documents")),
     "op2_lpt_shards": lambda spark, d: sharding.lpt_shards(_table(spark, d, "documents")),
     "op3_language_id": lambda spark, d: langid.language_id(_table(spark, d, "documents")),
     "op4_simhash_components": lambda spark, d: simhash.near_components(_table(spark, d, "documents")),

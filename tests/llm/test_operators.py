@@ -2,6 +2,7 @@
 
 import hashlib
 import heapq
+import os
 import random
 import re
 import zlib
@@ -515,3 +516,29 @@ def test_near_copies_are_exact_at_the_threshold(spark):
     share = [len(sets[i] & sets[i + 1]) / len(sets[i] | sets[i + 1]) for i in range(0, len(texts), 2)]
     assert sum(0.75 < s < 0.8 for s in share) >= 5 and sum(0.8 <= s < 0.85 for s in share) >= 5
     assert classes == closure(range(len(texts)), lambda a, b: len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]))
+
+
+def test_training_order_query_writes_its_shards(spark, docs, empty, tmp_path):
+    key = lambda r: r["slot"]
+    want = sorted(feistel.training_order(docs, sequence=64, shard_sequences=16).collect(), key=key)
+    made = feistel.training_shards(docs, str(tmp_path), sequence=64, shard_sequences=16)
+    got = sorted(made.collect(), key=key)
+    assert sorted(made.columns) == sorted(want[0].asDict()) and [r["record"] for r in got] == [r["record"] for r in want]
+    assert [(r["slot"], r["shard"], r["shard_offset"], r["n_tokens"], r["record_crc32"]) for r in got] == [(r["slot"], r["shard"], r["shard_offset"], r["n_tokens"], r["record_crc32"]) for r in want]
+    assert {(r["doc_id"], r["seq_no"]) for r in got} == {(r["doc_id"], r["seq_no"]) for r in want}
+    assert feistel.read_sequences(str(tmp_path), 0, 10**6, 64, 16).tobytes() == b"".join(bytes(r["record"]) for r in want)
+    file = next((tmp_path / "shards" / "shard=1").glob("part-*"))
+    data = bytearray(file.read_bytes())
+    data[5 * 128] ^= 1
+    file.write_bytes(data)
+    for crc in file.parent.glob(".*.crc"):
+        crc.unlink()
+    changed = {r["slot"] for r in feistel.written_sequences(spark, str(tmp_path), 64, 16).collect() if r["record_crc32"] != want[r["slot"]]["record_crc32"]}
+    assert changed == {16 + 5}
+    assert feistel.training_shards(empty).count() == 0
+    from ldp_hist.llm import shared
+
+    before = set(os.listdir(shared.shared_dir(spark).removeprefix("file://")))
+    rows = QUERIES["op1_training_order"](spark, SF).count()
+    (new,) = [x for x in set(os.listdir(shared.shared_dir(spark).removeprefix("file://"))) - before if x.startswith("training-order-")]
+    assert len(feistel.read_sequences(os.path.join(shared.shared_dir(spark).removeprefix("file://"), new), 0, 10**6)) == rows > 0

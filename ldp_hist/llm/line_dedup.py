@@ -35,7 +35,7 @@ def drop_bitmaps(
     that ``min_docs`` documents or more hold loses its lines; with ``keep_first`` its first line, by
     document id (null first) and position, stays.
 
-    A document names each of its keys once, per run the keys are counted with their first occurrence,
+    A row names each of its keys once, repeated rows too; per run the keys are counted with their first occurrence,
     and those few rows are range-partitioned by key with document and position as the secondary sort: a
     window streams over them. A key that a third of all documents hold thus never fills one task.
     """
@@ -49,14 +49,12 @@ def drop_bitmaps(
             run_of(runs).alias("run"),
         )
     )
+    no_first = F.lit(None).cast("struct<doc_id:bigint,text_hash:bigint,pos:int>")
+    once = hashed.select("run", F.explode(F.array_distinct("keys")).alias("key"), F.lit(1).alias("n"), no_first.alias("first")).where("key IS NOT NULL")
     if keep_first:
-        lines = hashed.select("run", "doc_id", "text_hash", F.posexplode("keys").alias("pos", "key"))
-        once = lines.where("key IS NOT NULL").groupBy("run", "doc_id", "text_hash", "key").agg(F.min("pos").alias("pos"))
-        first = F.min(F.struct("doc_id", "text_hash", "pos"))
-    else:
-        once = hashed.select("run", F.explode(F.array_distinct("keys")).alias("key")).where("key IS NOT NULL")
-        first = F.lit(None).cast("struct<doc_id:bigint,text_hash:bigint,pos:int>")
-    per_run = once.groupBy("run", "key").agg(F.count("*").alias("n"), first.alias("first"))
+        lines = hashed.select("run", "doc_id", "text_hash", F.posexplode("keys").alias("pos", "key")).where("key IS NOT NULL")
+        once = once.union(lines.select("run", "key", F.lit(0), F.struct("doc_id", "text_hash", "pos")))
+    per_run = once.groupBy("run", "key").agg(F.sum("n").alias("n"), F.min("first").alias("first"))
     by_key = Window.partitionBy("key")
     counted = (
         per_run.repartitionByRange("key")

@@ -542,3 +542,10 @@ def test_training_order_query_writes_its_shards(spark, docs, empty, tmp_path):
     rows = QUERIES["op1_training_order"](spark, SF).count()
     (new,) = [x for x in set(os.listdir(shared.shared_dir(spark).removeprefix("file://"))) - before if x.startswith("training-order-")]
     assert len(feistel.read_sequences(os.path.join(shared.shared_dir(spark).removeprefix("file://"), new), 0, 10**6)) == rows > 0
+
+
+@pytest.mark.parametrize("parts", [1, 10])
+def test_line_counts_do_not_depend_on_partitions(spark, parts):
+    made = spark.createDataFrame([(1, "a line that is long enough\nmine")] * 9 + [(2, "yours\nA line that is long enough")], "doc_id long, text string")
+    kept = line_dedup.dedup_lines(made.repartition(parts), min_chars=15, min_docs=10, keep_first=True).where("doc_id = 2").collect()
+    assert [r["text"] for r in kept] == ["yours"]

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections import Counter, defaultdict
+import functools
 from itertools import combinations
 
 import numpy as np
@@ -12,11 +12,21 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ldp_hist.llm.shared import packed
-from ldp_hist.llm.words import ALPHANUMERIC, majority_bits, shingle_hashes, word_hashes
+from ldp_hist.llm.words import ALPHANUMERIC, mix, shingle_hashes, word_hashes
 
-#: Benchmark text is sent to the executors in blocks of at most this many bytes, each with a pass of its own.
-BLOCK_BYTES = 32 << 20
-RADIUS, INDEX_BLOCKS = 23, 8
+#: Benchmark text is sent to the executors in parts of about this many bytes, each with a pass of its own.
+PART_BYTES = 16 << 20
+#: Fingerprints have 256 bits in 16 blocks. Two of a weighted similarity of 0.8 differ by 39 bits on average, with a
+#: standard deviation of under 7 for items of 20 shingles or more; RADIUS is over three and a half of these above.
+WORDS, BLOCKS, RADIUS = 4, 16, 63
+WIDTH = 64 * WORDS // BLOCKS
+#: RADIUS // BLOCKS flips are shared out: items are filed under values one flip away, windows ask for two flips more.
+FILED, ASKED = 1, RADIUS // BLOCKS - 1
+_SALT = mix(np.arange(1, WORDS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+
+
+def _flips(most: int) -> np.ndarray:
+    return np.array([sum(1 << b for b in c) for n in range(most + 1) for c in combinations(range(WIDTH), n)], np.uint32)
 
 
 def _words(text: str | None) -> np.ndarray:
@@ -25,84 +35,120 @@ def _words(text: str | None) -> np.ndarray:
 
 def weighted_similarity(a: np.ndarray, b: np.ndarray) -> float:
     """The sum of the lesser over the sum of the greater multiplicities of shingles (weighted Jaccard)."""
-    left, right = Counter(a.tolist()), Counter(b.tolist())
-    both = sum(min(n, right[s]) for s, n in left.items() if s in right)
+    (x, n), (y, m) = np.unique(a, return_counts=True), np.unique(b, return_counts=True)
+    at = np.minimum(np.searchsorted(y, x), max(len(y) - 1, 0))
+    both = int(np.minimum(n, m[at])[y[at] == x].sum()) if len(y) else 0
     total = len(a) + len(b) - both
     return both / total if total else 0.0
 
 
+def window_prints(shingles: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """(windows, BLOCKS): the 256-bit SimHash of every window shingles[start:end], as blocks of 16 bits.
+
+    Running sums of the bits give a window's votes as one difference, however much the windows overlap.
+    """
+    hashes = mix(shingles[:, None] + _SALT[None, :])
+    bits = np.unpackbits(np.ascontiguousarray(hashes, "<u8").view(np.uint8), axis=1, bitorder="little")
+    sums = np.zeros((len(bits) + 1, 64 * WORDS), np.int32)
+    np.cumsum(bits, axis=0, out=sums[1:])
+    ones = sums[ends] - sums[starts]
+    majority = 2 * ones > (ends - starts)[:, None]
+    return np.packbits(majority, axis=1, bitorder="little").view("<u2").astype(np.uint32)
+
+
 class Index:
-    """Fingerprints of benchmark items under a multi-index over ``INDEX_BLOCKS`` blocks of bits.
+    """Fingerprints of benchmark items under a multi-index, as sorted arrays.
 
-    Two fingerprints within ``RADIUS`` differ by at most RADIUS // INDEX_BLOCKS bits in some block (pigeonhole),
-    so each item is filed under all values that near to its own, block by block: a window needs one
-    look-up a block and no item within the radius is missed.
+    Fingerprints within ``RADIUS`` differ by RADIUS // BLOCKS = 3 bits or fewer in some block (pigeonhole). An item is filed
+    under the 17 values that are up to one flip from each of its blocks; a window asks for the 137 values up to
+    two flips from its own, so the two meet in that block and no item within the radius is missed.
     """
 
     def __init__(self, items: list[tuple[int, str]], shingle: int):
-        self.shingle, self.ids, self.items, self.sizes, self.prints = shingle, [], [], [], []
-        self.places: dict[int, list[tuple[int, int]]] = defaultdict(list)
-        self.filed: list[dict[int, list[int]]] = [defaultdict(list) for _ in range(INDEX_BLOCKS)]
-        width = 64 // INDEX_BLOCKS
-        flips = [sum(1 << b for b in c) for n in range(RADIUS // INDEX_BLOCKS + 1) for c in combinations(range(width), n)]
+        self.shingle, ids, shingles, sizes = shingle, [], [], []
         for item_id, text in items:
             words = _words(text)
-            shingles = shingle_hashes(words, shingle)
-            if not len(shingles):
-                continue
-            number = len(self.ids)
-            self.ids.append(item_id)
-            self.items.append(shingles)
-            self.sizes.append(len(words))
-            self.prints.append(majority_bits(shingles))
-            for place, s in enumerate(shingles.tolist()):
-                self.places[s].append((number, place))
-            for block, filed in enumerate(self.filed):
-                value = self.prints[number] >> width * block & ((1 << width) - 1)
-                for flip in flips:
-                    filed[value ^ flip].append(number)
-        self.known = np.array(sorted(self.places), np.uint64)
-        self.short = sorted({n for n in self.sizes if n < shingle})
-
-    def near(self, fingerprint: int) -> set[int]:
-        """All items whose fingerprint is within the radius."""
-        width = 64 // INDEX_BLOCKS
-        found = set()
-        for block, filed in enumerate(self.filed):
-            found.update(filed.get(fingerprint >> width * block & ((1 << width) - 1), ()))
-        return {i for i in found if (self.prints[i] ^ fingerprint).bit_count() <= RADIUS}
+            if len(words):
+                ids.append(item_id)
+                shingles.append(shingle_hashes(words, shingle))
+                sizes.append(len(words))
+        self.ids, self.sizes = np.array(ids, np.int64), np.array(sizes, np.int64)
+        self.starts = np.concatenate(([0], np.cumsum([len(s) for s in shingles]))).astype(np.int64)
+        self.shingles = np.concatenate(shingles) if shingles else np.zeros(0, np.uint64)
+        self.widths = np.minimum(self.sizes, shingle)
+        self.prints = np.concatenate([window_prints(s, np.array([0]), np.array([len(s)])) for s in shingles]) if shingles else np.zeros((0, BLOCKS), np.uint32)
+        number = np.repeat(np.arange(len(ids)), self.starts[1:] - self.starts[:-1])
+        order = np.argsort(self.shingles, kind="stable")
+        self.known, self.holder = self.shingles[order], number[order]
+        flips = _flips(FILED)
+        keys = (np.arange(BLOCKS, dtype=np.uint32)[None, :, None] << np.uint32(WIDTH)) | (self.prints[:, :, None] ^ flips[None, None, :])
+        owner = np.broadcast_to(np.arange(len(ids))[:, None, None], keys.shape).reshape(-1)
+        order = np.argsort(keys.reshape(-1), kind="stable")
+        self.filed, self.owner = keys.reshape(-1)[order], owner[order]
+
+    @functools.cached_property
+    def probes(self) -> np.ndarray:
+        return _flips(ASKED)
+
+    def near(self, fingerprint: np.ndarray) -> np.ndarray:
+        """Numbers of all items whose fingerprint is within the radius."""
+        keys = ((np.arange(BLOCKS, dtype=np.uint32)[:, None] << np.uint32(WIDTH)) | (fingerprint[:, None] ^ self.probes[None, :])).reshape(-1)
+        low, high = np.searchsorted(self.filed, keys), np.searchsorted(self.filed, keys, "right")
+        hit = np.flatnonzero(high > low)
+        if not len(hit):
+            return np.zeros(0, np.int64)
+        found = np.unique(np.concatenate([self.owner[a:b] for a, b in zip(low[hit].tolist(), high[hit].tolist(), strict=True)]))
+        return found[np.bitwise_count(self.prints[found] ^ fingerprint[None, :]).sum(axis=1) <= RADIUS]
 
     def matches(self, text: str | None, similarity: float) -> dict[int, float]:
-        """The best similarity of each item that some window of the text reaches ``similarity`` with."""
-        words = _words(text)
-        best: dict[int, float] = {}
-        for k in dict.fromkeys([self.shingle, *self.short]):
+        """The best similarity of each item that some window of the text reaches ``similarity`` with.
+
+        A window slides over every word. Two multisets of n and m shingles that are s alike share at least s(n+m)/(1+s) of
+        them, so windows with fewer shingles of the benchmark are passed over; running counts say how many each has.
+        """
+        words, best = _words(text), {}
+        if not len(words) or not len(self.known):
+            return best
+        for k in np.unique(self.widths).tolist():
             if len(words) < k:
                 continue
             shingles = shingle_hashes(words, k)
-            at = np.minimum(np.searchsorted(self.known, shingles), max(len(self.known) - 1, 0))
-            if not len(self.known):
-                break
-            windows = set()
-            for p in np.flatnonzero(self.known[at] == shingles).tolist():
-                for item, place in self.places[int(shingles[p])]:
-                    if min(self.sizes[item], self.shingle) == k:
-                        windows.add((max(0, p - place), self.sizes[item] - k + 1))
-            for start, length in windows:
-                window = shingles[start : start + length]
-                for item in self.near(majority_bits(window)):
-                    if min(self.sizes[item], self.shingle) == k and best.get(item, 0) < 1:
-                        s = weighted_similarity(window, self.items[item])
-                        if s >= similarity and s > best.get(item, 0):
-                            best[item] = s
+            low = np.searchsorted(self.known, shingles)
+            hits = self.known[np.minimum(low, len(self.known) - 1)] == shingles
+            if not hits.any():
+                continue
+            high = np.searchsorted(self.known, shingles[hits], "right")
+            holders = np.unique(np.concatenate([self.holder[a:b] for a, b in zip(low[hits].tolist(), high.tolist(), strict=True)]))
+            count = np.concatenate(([0], np.cumsum(hits)))
+            first = np.arange(len(shingles))
+            for size in np.unique(self.sizes[holders[self.widths[holders] == k]]).tolist():
+                m = size - k + 1
+                last = np.minimum(first + m, len(shingles))
+                shared = count[last] - count[first]
+                able = np.flatnonzero(shared * (1 + similarity) >= similarity * (last - first + m) - 1e-9)
+                for at in range(0, len(able), 4096):
+                    self._verify(shingles, able[at : at + 4096], last, m, k, similarity, best)
         return best
 
+    def _verify(self, shingles: np.ndarray, starts: np.ndarray, last: np.ndarray, m: int, k: int, similarity: float, best: dict[int, float]) -> None:
+        a, b = int(starts[0]), int(last[starts[-1]])
+        prints = window_prints(shingles[a:b], starts - a, last[starts] - a)
+        for start, fingerprint in zip(starts.tolist(), prints, strict=True):
+            window = None
+            for item in self.near(fingerprint).tolist():
+                if self.widths[item] == k and best.get(item, 0) < 1:
+                    window = shingles[start : start + m] if window is None else window
+                    s = weighted_similarity(window, self.shingles[self.starts[item] : self.starts[item + 1]])
+                    if s >= similarity and s > best.get(item, 0):
+                        best[item] = s
+
 
-def _find(index: Index, similarity: float):
+def _find(index, similarity: float):
     def run(batches):
+        held = index.value
         for batch in batches:
-            found = [index.matches(t.as_py(), similarity) for t in batch.column("row").field("text")]
-            items = [sorted(index.ids[i] for i in m) for m in found]
+            found = [held.matches(t.as_py(), similarity) for t in batch.column("row").field("text")]
+            items = [sorted({int(held.ids[i]) for i in m}) for m in found]
             top = [max(m.values(), default=0.0) for m in found]
             yield pa.record_batch([*batch.columns, pa.array(items, pa.list_(pa.int64())), pa.array(top, pa.float64())],
                                   names=[*batch.schema.names, "item_ids", "similarity"])
@@ -110,39 +156,32 @@ def _find(index: Index, similarity: float):
     return run
 
 
-def item_blocks(benchmark: DataFrame) -> list[list[tuple[int, str]]]:
-    """The benchmark's items in blocks of at most ``BLOCK_BYTES`` bytes of text (an item above that alone)."""
-    clean = benchmark.where(F.col("item_id").isNotNull() & F.col("text").isNotNull()).select(F.col("item_id").cast("long"), "text")
-    blocks: list[list[tuple[int, str]]] = [[]]
-    size = 0
-    for item_id, text in sorted(clean.distinct().toLocalIterator()):
-        if blocks[-1] and size + len(text) * 4 > BLOCK_BYTES:
-            blocks.append([])
-            size = 0
-        blocks[-1].append((item_id, text))
-        size += len(text) * 4
-    return blocks
-
-
-def contamination(docs: DataFrame, benchmark: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+def contamination(docs: DataFrame, benchmark: DataFrame, shingle: int = 5, similarity: float = 0.8, part_bytes: int = PART_BYTES) -> DataFrame:
     """``row`` (all columns of ``docs``) with item_ids (sorted array) and similarity (the best, or 0).
 
-    Words are maximal runs of letters and digits in lower case. Windows as many words long as an item are
-    laid wherever the text shares a shingle with it, aligned on that shingle: a window that is
-    ``similarity`` alike by weighted shingles must share one. A window's SimHash asks the multi-index for
-    items within the radius, and the weighted similarity of the shingles themselves decides.
-    Items of fewer words than a shingle match as a whole. Items without a word, null items and null texts
-    match nothing; repeated rows get equal answers; with an empty benchmark nothing matches.
+    Words are maximal runs of letters and digits in lower case. A window as many words long as an item begins at every word
+    (those at the end of the text are shorter); its SimHash asks the multi-index for items within the radius, and
+    the weighted similarity of the shingles themselves decides. Order within an item does not matter beyond
+    its shingles. Items of fewer words than a shingle match as a whole. Items without a word, null items and null texts
+    match nothing; repeated rows and items get equal answers; with an empty benchmark nothing matches; other columns, whatever
+    their names, are carried.
+
+    The benchmark is dealt into parts of about ``part_bytes`` bytes by hash. The driver holds one part at a time to build its index, a
+    worker one part's arrays (about ten times its text); each part is one more pass over ``docs``.
     """
-    rows = packed(docs)
+    spark, rows = docs.sparkSession, packed(docs)
+    clean = benchmark.where(F.col("item_id").isNotNull() & F.col("text").isNotNull()).select(F.col("item_id").cast("long"), "text").distinct()
+    size = clean.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    parts = 1 + size // part_bytes
     out, schema = rows, T.StructType(list(rows.schema.fields))
-    blocks = item_blocks(benchmark)
-    for n, block in enumerate(blocks):
+    for n in range(parts):
+        own = clean.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == n)
+        index = spark.sparkContext.broadcast(Index(sorted((r[0], r[1]) for r in own.collect()), shingle))
         schema = T.StructType(list(schema.fields)).add("item_ids", T.ArrayType(T.LongType())).add("similarity", "double")
-        out = out.mapInArrow(_find(Index(block, shingle), similarity), schema)
+        out = out.mapInArrow(_find(index, similarity), schema)
         out = out.withColumnsRenamed({"item_ids": f"items{n}", "similarity": f"similarity{n}"})
         schema = out.schema
-    every = range(len(blocks))
+    every = range(parts)
     return out.select(
         "row",
         F.array_sort(F.array_distinct(F.flatten(F.array(*[f"items{n}" for n in every])))).alias("item_ids"),

@@ -15,8 +15,8 @@ SPACE = "▁"
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 #: An unknown character costs this much more than the least likely piece.
 UNKNOWN_PENALTY = 10.0
-#: Segments remembered by each worker (as many again from the time before), and the longest that are.
-MEMO, MEMO_CHARS = 150_000, 64
+#: Portions remembered by each worker (as many again from the time before), and the longest that are.
+MEMO, MEMO_CHARS = 300_000, 64
 
 
 _WARM: dict = {}
@@ -35,11 +35,12 @@ class Vocabulary:
     unknown_score: float
     splits: bool
     trie: dict | None = None
-    memo: dict[str, list[int]] = field(default_factory=dict)
-    older: dict[str, list[int]] = field(default_factory=dict)
+    raw: list[bytes] | None = None
+    memo: dict[str, bytes] = field(default_factory=dict)
+    older: dict[str, bytes] = field(default_factory=dict)
 
     def __getstate__(self):
-        return self.__dict__ | {"trie": None, "memo": {}, "older": {}}
+        return self.__dict__ | {"trie": None, "raw": None, "memo": {}, "older": {}}
 
     def warm(self) -> Vocabulary:
         """This worker's own copy, which keeps its trie and its memo from task to task."""
@@ -57,6 +58,14 @@ class Vocabulary:
                 node[""] = score
         return self.trie
 
+    def bytes_of(self) -> list[bytes]:
+        """What each id stands for in UTF-8, a space for the space mark."""
+        if self.raw is None:
+            self.raw = [p.replace(SPACE, " ").encode("utf-8", "surrogatepass") for p in self.pieces]
+            for b, i in enumerate(self.byte_ids):
+                self.raw[i] = bytes([b])
+        return self.raw
+
     @classmethod
     def load(cls, path: str = DEFAULT_MODEL) -> Vocabulary:
         """Reads a model file on the driver; what executors need travels with the task (under 2 MB)."""
@@ -75,37 +84,62 @@ class Vocabulary:
 
 
 class StreamingViterbi:
-    """Best segmentation of a stream of characters with memory bounded by the longest piece.
+    """Best segmentation of a stream of characters, with a window of characters that grows with the longest piece only.
 
-    ``feed`` takes characters in any portions and returns the ids that are settled. Only the boundaries of
-    the last ``longest`` characters can still start a piece, so only their backpointer paths survive; as
-    soon as all of them run through one boundary, what lies before it is committed and forgotten.
+    ``feed`` takes characters in any portions and returns the ids that are settled. From every boundary in turn the
+    pieces that begin there reach out, down the trie, by ``longest`` characters at most, so only the boundaries in that
+    reach have paths that can still win. Every ``longest`` boundaries the backpointer paths of these are followed; where
+    all of them have come together in one boundary, what lies before it is committed and forgotten.
     """
 
     def __init__(self, vocabulary: Vocabulary):
-        self.v = vocabulary
-        self.text, self.base = "", 0  # characters since the committed boundary
+        self.v, self.root = vocabulary, vocabulary.root()
+        self.text, self.at, self.due = "", 0, vocabulary.longest
         self.score, self.back = [0.0], [0]
 
-    def feed(self, more: str) -> list[int]:
-        v, out = self.v, []
-        scores, longest = v.scores, v.longest
-        for c in more:
-            self.text += c
-            end = len(self.text)
-            best, start = self.score[end - 1] + scores.get(c, v.unknown_score), end - 1
-            for s in range(max(0, end - longest), end - 1):
-                found = scores.get(self.text[s:end])
-                if found is not None and self.score[s] + found >= best and (self.score[s] + found > best or s < start):
-                    best, start = self.score[s] + found, s
-            self.score.append(best)
-            self.back.append(start)
-            if end % (2 * longest) == 0:
-                out += self._commit()
+    def feed(self, more: str, last: bool = False) -> list[int]:
+        """Ids settled by now; ``last`` says that no character follows, which settles all."""
+        out: list[int] = []
+        self.text += more
+        while True:
+            # A boundary is done when all characters that its pieces could have are there.
+            stop = len(self.text) if last else len(self.text) - self.v.longest + 1
+            self._search(min(stop, self.due))
+            if self.at < self.due or self.at >= stop:
+                break
+            out += self._commit()
+            self.due = self.at + self.v.longest
+        if last:
+            out += self._ids(len(self.text))
+            self.text, self.at, self.due, self.score, self.back = "", 0, self.v.longest, [0.0], [0]
         return out
 
+    def finish(self) -> list[int]:
+        return self.feed("", last=True)
+
+    def _search(self, stop: int) -> None:
+        text, score, back, root, unknown = self.text, self.score, self.back, self.root, self.v.unknown_score
+        room = len(text) + 1 - len(score)
+        if room > 0:
+            score += [-1e300] * room
+            back += [0] * room
+        for s in range(self.at, stop):
+            here, node, e = score[s], root, s
+            if here + unknown > score[s + 1]:
+                score[s + 1], back[s + 1] = here + unknown, s
+            for c in text[s : s + self.v.longest]:
+                node = node.get(c)
+                if node is None:
+                    break
+                e += 1
+                own = node.get("")
+                if own is not None and here + own > score[e]:
+                    score[e], back[e] = here + own, s
+        self.at = max(self.at, stop)
+
     def _commit(self) -> list[int]:
-        alive = set(range(max(0, len(self.text) - self.v.longest + 1), len(self.text) + 1))
+        """The ids before the boundary in which all surviving paths come together; none if that is the first one."""
+        alive = {b for b in range(self.at, min(len(self.text), self.at + self.v.longest) + 1) if self.score[b] > -1e299}
         while len(alive) > 1:
             last = max(alive)
             alive.discard(last)
@@ -113,9 +147,9 @@ class StreamingViterbi:
         boundary = alive.pop()
         if not boundary:
             return []
-        out = self._ids(boundary)
-        base = self.score[boundary]
-        self.text, self.score = self.text[boundary:], [s - base for s in self.score[boundary:]]
+        out, base = self._ids(boundary), self.score[boundary]
+        self.text, self.at = self.text[boundary:], self.at - boundary
+        self.score = [s - base if s > -1e299 else s for s in self.score[boundary:]]
         self.back = [max(0, b - boundary) for b in self.back[boundary:]]
         return out
 
@@ -136,83 +170,48 @@ class StreamingViterbi:
                 out.append(self.v.unknown)
         return out
 
-    def finish(self) -> list[int]:
-        out = self._ids(len(self.text))
-        self.text, self.score, self.back = "", [0.0], [0]
-        return out
-
-
-def _whole(v: Vocabulary, text: str) -> list[int]:
-    """The search over a segment that is no longer than a stream's window anyway.
-
-    From every boundary in turn the pieces that begin there, down the trie as far as it goes.
-    """
-    n, root, unknown = len(text), v.root(), v.unknown_score
-    best, back = [0.0] + [-1e300] * n, [0] * (n + 1)
-    for s in range(n):
-        here, node, e = best[s], root, s
-        if here + unknown > best[s + 1]:
-            best[s + 1], back[s + 1] = here + unknown, s
-        for c in text[s:]:
-            node = node.get(c)
-            if node is None:
-                break
-            e += 1
-            score = node.get("")
-            if score is not None and here + score > best[e]:
-                best[e], back[e] = here + score, s
-    stream = StreamingViterbi(v)
-    stream.text, stream.back = text, back
-    return stream.finish()
-
-
-def _segment(v: Vocabulary, text: str) -> list[int]:
-    if len(text) > MEMO_CHARS:
-        stream = StreamingViterbi(v)
-        return stream.feed(text) + stream.finish()
-    known = v.older.get(text)
-    if known is None:
-        known = _whole(v, text)
-    if len(v.memo) >= MEMO:
-        v.older, v.memo = v.memo, {}
-    v.memo[text] = known
-    return known
-
 
-_SEGMENTS = re.compile(f"{SPACE}*[^{SPACE}]+|{SPACE}+")
+_PORTIONS = re.compile(f"{SPACE}*[^{SPACE}]+|{SPACE}+")
 
 
 def encode(v: Vocabulary, text: str | None) -> np.ndarray:
     """Ids of the whole text; the empty text and null have none.
 
-    A space is put in front, spaces become the space mark. Where no piece holds a space mark after another
-    character, every path has a boundary before such a mark: these boundaries are known to be common to
-    all paths without looking, so the stream commits there, and equal segments need one search.
+    A space is put in front, spaces become the space mark, and the stream is fed in portions that begin at a mark.
+    Where no piece holds a mark after another character, all paths meet before a mark, so the stream is empty
+    there: what it says to the next portion depends on that alone, and is remembered.
     """
     if not text:
         return np.zeros(0, np.int32)
-    marked = SPACE + text.replace(" ", SPACE)
+    stream, portions = StreamingViterbi(v), _PORTIONS.findall(SPACE + text.replace(" ", SPACE))
     if not v.splits:
-        return np.array(_segment(v, marked), np.int32)
-    out: list[int] = []
-    for s in _SEGMENTS.findall(marked):
-        known = v.memo.get(s)
-        out += known if known is not None else _segment(v, s)
-    return np.array(out, np.int32)
+        ids = [i for p in portions for i in stream.feed(p)]
+        return np.array(ids + stream.finish(), np.int32)
+
+    def fresh(portion: str) -> bytes:
+        known = v.older.get(portion)
+        if known is None:
+            known = np.array(stream.feed(portion, last=True), np.int32).tobytes()
+        if len(portion) <= MEMO_CHARS:
+            if len(v.memo) >= MEMO:
+                v.older, v.memo = v.memo, {}
+            v.memo[portion] = known
+        return known
+
+    return np.frombuffer(b"".join([v.memo.get(p) or fresh(p) for p in portions]), np.int32)
 
 
 def decode(v: Vocabulary, ids: np.ndarray) -> str:
-    """The text of the ids: pieces joined, byte pieces as UTF-8, space marks as spaces, the first one gone."""
-    if not len(ids):
-        return ""
-    low, high = (v.byte_ids[0], v.byte_ids[-1]) if v.byte_ids else (0, -1)
-    is_byte = (ids >= low) & (ids <= high)
-    if not is_byte.any():
-        text = "".join([v.pieces[i] for i in ids.tolist()])
+    """The text of the ids: pieces joined, byte pieces as UTF-8, space marks as spaces, the first one gone.
+
+    An id that the vocabulary lacks, negative ones too, stands for the replacement character.
+    """
+    raw = v.bytes_of()
+    if len(ids) and (ids.min() < 0 or ids.max() >= len(raw)):
+        parts = [raw[i] if 0 <= i < len(raw) else "\ufffd".encode() for i in ids.tolist()]
     else:
-        raw = [bytes([i - low]) if b else v.pieces[i].encode("utf-8", "surrogatepass") for i, b in zip(ids.tolist(), is_byte.tolist(), strict=True)]
-        text = b"".join(raw).decode("utf-8", "replace")
-    text = text.replace(SPACE, " ")
+        parts = map(raw.__getitem__, ids.tolist())
+    text = b"".join(parts).decode("utf-8", "replace")
     return text[1:] if text.startswith(" ") else text
 
 
@@ -236,13 +235,13 @@ def _encode(vocabulary: Vocabulary, carried: int):
 
 
 def encode_documents(docs: DataFrame, model: str = DEFAULT_MODEL, carry: list[str] | None = None) -> DataFrame:
-    """``carry`` columns (doc_id) of every row with n_tokens, token_ids and round_trip.
+    """``carry`` columns (doc_id) of every row with n_tokens, token_ids and round_trip, which replace carried ones of these names.
 
     ``round_trip`` is whether decoding gives the whole text back; it fails only for texts that hold the
     space mark itself or unpaired surrogates. Null and empty texts have no ids and round-trip to the empty text.
     Ties go to the segmentation whose last piece starts earlier. Empty tables give empty results.
     """
-    carry = carry or ["doc_id"]
+    carry = [c for c in carry or ["doc_id"] if c not in ("n_tokens", "token_ids", "round_trip")]
     kept = docs.select(*[F.col(f"`{c}`") for c in carry])
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields)
     read = docs.select(*[F.col(f"`{c}`") for c in carry], F.col("`text`").alias("__text"))
@@ -259,5 +258,5 @@ def _decode(v: Vocabulary):
 
 
 def decode_documents(encoded: DataFrame, model: str = DEFAULT_MODEL) -> DataFrame:
-    """doc_id and the text of its ``token_ids``."""
+    """doc_id and the text of its ``token_ids``; null ids and lists give the empty text, repeated rows repeated results."""
     return encoded.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("token_ids").cast("array<int>")).mapInArrow(_decode(Vocabulary.load(model)), "doc_id long, text string")

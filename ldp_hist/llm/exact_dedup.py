@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ldp_hist.llm.shared import RUNS, ascii_lower, materialise, run_of
+from ldp_hist.llm.shared import ascii_lower, materialise, run_of
 
 
 def _merge(runs: DataFrame) -> DataFrame:
@@ -24,7 +24,7 @@ def exact_dedup(
     id_col: str = "doc_id",
     text_col: str = "text",
     keep: str = "largest",
-    runs: int = RUNS,
+    runs: int | None = None,
     fan_in: int = 8,
 ) -> DataFrame:
     """One row per row of ``docs``: doc_id, keep_id, group_size, kept, text_sha256.
@@ -56,7 +56,8 @@ def exact_dedup(
         hashed.select("run", "digest", (F.col("doc_id") * sign).alias("best"), F.lit(1).cast("long").alias("n"),
                       F.col("check").alias("lo"), F.col("check").alias("hi"))
     )
-    top, width = leaf, runs
+    width = runs or (hashed.agg(F.max("run")).first()[0] or 0) + 1
+    top = leaf
     while width > 1:
         top, width = _merge(top.withColumn("run", F.floor(F.col("run") / fan_in).cast("int"))), -(-width // fan_in)
     verified = F.when(F.col("lo") == F.col("hi"), F.col("best") * sign).otherwise(

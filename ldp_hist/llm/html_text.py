@@ -249,8 +249,8 @@ def fit_weights(pages: list[str], ridge: float = RIDGE) -> np.ndarray:
     """Logistic regression of ``features``, by Newton's method, held to ``PRIOR`` by ``ridge``.
 
     No page is labelled, but most mark their article: on those, its blocks are content, all others boilerplate, and what the
-    features learn there is what decides on pages without such marks. The weight of names only learns from
-    blocks that the markup does not decide, so it keeps its prior.
+    features learn there is what decides on pages without such marks. Weights of names keep their prior: within an
+    article the markup says nothing about adverts, so there is nothing to learn them from.
     """
     xs, ys = [], []
     for page in pages:
@@ -395,9 +395,9 @@ def train(pages: DataFrame, bound: int = SAMPLE_PAGES) -> np.ndarray:
     total = pages.count()
     if not total:
         return PRIOR.copy()
-    order = F.xxhash64(F.lit("sample"), "page_id")
+    order = F.xxhash64(F.lit("sample"), "page_id", "html")
     # Twice as many as asked for are below this hash, give or take; the least of them are taken.
-    below = int(-(1 << 63) + min(1.0, 2 * bound / total) * ((1 << 64) - 1))
+    below = min((1 << 63) - 1, -(1 << 63) + (1 << 65) * bound // total)
     some = pages.where(order <= below).select(order.alias("o"), "html").orderBy("o", "html").limit(bound)
     return fit_weights([r["html"] or "" for r in some.collect()])
 

@@ -17,16 +17,16 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ldp_hist.llm.shared import packed
 
 BUCKETS, NGRAMS, PIECE = 1 << 14, 3, 2000
-#: The bound on the training sample: so many rows a language, of at most so many languages, so many
-#: characters of each row; and the number of landmarks among them.
-SAMPLE_PER_LANG, MAX_LANGS, SAMPLE_CHARS, LANDMARKS, RIDGE = 300, 64, PIECE, 256, 1e-2
+#: The bound on the training sample: so many rows a language, of all languages together, and characters of
+#: each row; and the number of landmarks among them (two a language at least).
+SAMPLE_PER_LANG, SAMPLE_ROWS, LANDMARKS, RIDGE = 300, 4800, 256, 1e-2
 
 
 def ngram_buckets(text: str) -> np.ndarray:
@@ -90,7 +90,7 @@ def _weights(x: np.ndarray, lang: np.ndarray, classes: int) -> np.ndarray:
     """Kernel ridge regression on Nyström features; landmarks are taken from the languages in turn."""
     by_lang = [np.flatnonzero(lang == k) for k in range(classes)]
     turn = [ids[n] for n in range(max(map(len, by_lang))) for ids in by_lang if n < len(ids)]
-    marks = x[turn[:LANDMARKS]]
+    marks = x[turn[: max(LANDMARKS, 2 * classes)]]
     value, vector = np.linalg.eigh((marks @ marks.T).astype(np.float64))
     root = vector / np.sqrt(np.maximum(value, 1e-6))  # K^(-1/2) up to rotation
     features = (x @ marks.T) @ root
@@ -145,22 +145,27 @@ def fit(rows: list[tuple[str, str]]) -> Model:
 def train(docs: DataFrame) -> Model | None:
     """Fits on a bounded sample of labelled rows that are not held out; None if there is none.
 
-    The sample is the ``SAMPLE_PER_LANG`` rows of each language with the least hash of id and text,
-    taken per language by a bounded top-k; texts without a letter teach nothing.
+    Every language of the table is learned. Counts by language (a scan of ids and languages) set the share of its rows
+    whose hash lets them through, one scan of the texts takes them, and of these at most ``SAMPLE_PER_LANG`` rows a language stay,
+    fewer if there are so many languages that ``SAMPLE_ROWS`` would be passed (one at least). Rows that
+    repeat count once, texts without a letter teach nothing, and of a long text a piece of ``PIECE`` characters from
+    a place that the hash names is learned.
     """
-    fold = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3
-    known = docs.where(F.col("lang").isNotNull() & (fold != 1) & F.col("text").rlike(r"\p{L}"))
+    spark, fold = docs.sparkSession, F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3
+    known = docs.where(F.col("lang").isNotNull() & (fold != 1))
+    counts = {r[0]: r[1] for r in known.groupBy("lang").count().collect()}
+    if not counts:
+        return None
+    each = max(1, min(SAMPLE_PER_LANG, SAMPLE_ROWS // len(counts)))
+    share = spark.createDataFrame([(k, min(1.0, 8 * each / n)) for k, n in counts.items()], "lang string, share double")
     order = F.xxhash64(F.lit("sample"), "doc_id")
-    langs = [r[0] for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MAX_LANGS).select("lang").collect()]
-    rows: list[tuple[str, str]] = []
-    for lang in langs:
-        least = known.where(F.col("lang") == lang).select("doc_id", order.alias("o")).orderBy("o", "doc_id").limit(SAMPLE_PER_LANG)
-        ids = [r[0] for r in least.collect()]
-        if ids:
-            cut = F.substring("text", 1, SAMPLE_CHARS)
-            got = known.where(F.col("doc_id").isin(ids) & (F.col("lang") == lang)).select("doc_id", cut.alias("t")).limit(2 * SAMPLE_PER_LANG).collect()
-            rows += [(r["t"], lang) for r in sorted(got, key=lambda r: (r["doc_id"], r["t"]))]
-    return fit(rows) if rows else None
+    drawn = known.select("doc_id", "lang", "text", order.alias("o")).join(F.broadcast(share), "lang").where(F.col("o") / float(1 << 64) + 0.5 <= F.col("share"))
+    spare = F.greatest(F.char_length("text") - PIECE, F.lit(0)) + 1
+    piece = F.substring("text", (F.pmod(F.xxhash64(F.lit("piece"), "doc_id"), spare) + 1).cast("int"), F.lit(PIECE))
+    pieces = drawn.where(F.col("text").rlike(r"\p{L}")).select("lang", "o", "doc_id", piece.alias("t")).distinct()
+    nth = F.row_number().over(Window.partitionBy("lang").orderBy("o", "doc_id", "t"))
+    rows = pieces.withColumn("nth", nth).where(F.col("nth") <= each).collect()
+    return fit([(r["t"], r["lang"]) for r in sorted(rows, key=lambda r: (r["lang"], r["nth"]))]) if rows else None
 
 
 def _predict(model: Model | None, pick: list[str], text_of):

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ldp_hist.llm.shared import ASCII_SPACE, RUNS, ascii_lower, digest16, materialise, packed, run_of, unpacked
+from ldp_hist.llm.shared import ASCII_SPACE, ascii_lower, digest16, materialise, packed, run_of, unpacked
 
 WORD_BITS = 62
 
@@ -26,7 +26,7 @@ def drop_bitmaps(
     min_chars: int = 1,
     min_docs: int = 10,
     keep_first: bool = False,
-    runs: int = RUNS,
+    runs: int | None = None,
 ) -> DataFrame:
     """(doc_id, text_hash, words): the lines each document loses, as a sparse bitmap.
 

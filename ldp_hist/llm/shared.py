@@ -1,8 +1,8 @@
 """Helpers of the pipeline operators: shared storage, text folding, runs, graph components.
 
-*Runs.* A key may be shared by a third of all rows. Wherever rows have to meet by such a key, they are
-first dealt into ``RUNS`` runs by the partition that read them; what is computed for a key is then looked
-up by (run, key), so that no task ever holds more than one run's share of a hot key.
+*Runs.* A key may be shared by a third of all rows. Wherever rows have to meet by such a key, the partition that
+read them is their run; what is computed for a key is then looked up by (run, key), so that no task ever holds more
+of a hot key than a reading task had. There are as many runs as partitions, so they grow with the input.
 """
 
 from __future__ import annotations
@@ -15,7 +15,6 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-RUNS = 64
 ASCII_UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 ASCII_SPACE = " \t\n\x0b\x0c\r"
 
@@ -74,9 +73,9 @@ def unpacked(df: DataFrame, columns: list[str], **replaced: Column) -> DataFrame
     return df.select(*[replaced.get(c, F.col("row").getField(c)).alias(c) for c in columns])
 
 
-def run_of(runs: int = RUNS) -> Column:
-    """The run of a row, by the partition that reads it. Fix it with ``materialise`` before using it twice."""
-    return F.pmod(F.spark_partition_id(), F.lit(runs)).cast("int")
+def run_of(runs: int | None = None) -> Column:
+    """The run of a row: the partition that reads it, modulo ``runs`` if given. Fix it with ``materialise`` before using it twice."""
+    return F.spark_partition_id() if runs is None else F.pmod(F.spark_partition_id(), F.lit(runs)).cast("int")
 
 
 def connected_components(edges: DataFrame) -> DataFrame:

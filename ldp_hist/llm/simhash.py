@@ -17,10 +17,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ldp_hist.llm.shared import RUNS, connected_components, materialise, run_of
+from ldp_hist.llm.shared import connected_components, materialise, run_of
 from ldp_hist.llm.words import majority_bits, mix, shingle_hashes, word_hashes
 
-LEAF = 64
+#: Fingerprints that a tree leaves undivided, those that a shard has on average, and at most before it is split.
+LEAF, SHARD, SPLIT_ABOVE = 8, 256, 8192
 
 
 class BKTree:
@@ -28,12 +29,13 @@ class BKTree:
 
     A node is a pivot and its children, keyed by their integer Hamming distance to the pivot; up to
     ``LEAF`` fingerprints are left as one array. ``search`` follows, for a whole batch of queries, only
-    the edges from distance-radius to distance+radius.
+    the edges from distance-radius to distance+radius; ``followed`` and ``pruned`` count a query's edges.
     """
 
     def __init__(self, fingerprints: np.ndarray):
         self.values = fingerprints.astype(np.uint64)
         self.root = self._build(np.arange(len(fingerprints)))
+        self.followed = self.pruned = 0
 
     def _build(self, members: np.ndarray):
         if len(members) <= LEAF:
@@ -67,7 +69,10 @@ class BKTree:
             hit = asked[distance <= radius]
             yield hit, np.full(len(hit), pivot)
             for edge, child in children.items():
-                stack.append((child, asked[np.abs(distance - edge) <= radius]))
+                near = asked[np.abs(distance - edge) <= radius]
+                self.followed, self.pruned = self.followed + len(near), self.pruned + len(asked) - len(near)
+                if len(near):
+                    stack.append((child, near))
 
 
 class Forest:
@@ -159,17 +164,21 @@ def _blocks(count: int) -> list[int]:
     return [((1 << b) - (1 << a)) for a, b in zip(cuts, cuts[1:], strict=False)]
 
 
-def shard_masks(radius: int, distinct: int) -> list[int]:
+def shard_masks(radius: int, distinct: int, mean: int = SHARD) -> list[int]:
     """Bit masks such that two fingerprints within ``radius`` agree on at least one of them.
 
-    With radius+extra blocks some ``extra`` blocks agree, so their combinations do; more blocks make
-    longer keys and so smaller shards. The fewest combinations that leave about 64 fingerprints a shard.
+    With radius+extra blocks some ``extra`` blocks agree, so their combinations do, and so do any bits of theirs. As
+    many bits are taken as leave about ``mean`` fingerprints a shard, a tree's worth; more blocks where these don't do.
     """
+    need = (distinct // mean).bit_length()
+    if not need:
+        return [0]
     for extra in range(1, 6):
-        masks = _blocks(radius + extra)
-        bits = extra * 64 // (radius + extra)
-        if distinct >> bits <= 64 or extra == 5:
-            return [sum(m) for m in combinations(masks, extra)]
+        each = 64 // (radius + extra)
+        if need <= extra * each or extra == 5:
+            kept = min(each, -(-need // extra))
+            masks = [m & -m for m in _blocks(radius + extra)]
+            return [sum(low * ((1 << kept) - 1) for low in c) for c in combinations(masks, extra)]
     raise AssertionError
 
 
@@ -194,10 +203,10 @@ def _tree_links(radius: int):
         return pa.record_batch([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["u", "v"])
 
     def run(batches):
-        held_keys, held = np.zeros((0, 4), np.int64), np.zeros(0, np.int64)
+        held_keys, held = np.zeros((0, 2), np.int64), np.zeros(0, np.int64)
         for batch in batches:
-            columns = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(5)]
-            held_keys, held = np.concatenate((held_keys, np.stack(columns[:4], 1))), np.concatenate((held, columns[4]))
+            columns = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(3)]
+            held_keys, held = np.concatenate((held_keys, np.stack(columns[:2], 1))), np.concatenate((held, columns[2]))
             if not len(held):
                 continue
             last = int(np.flatnonzero(np.any(held_keys != held_keys[-1], axis=1))[-1]) + 1 if np.any(held_keys != held_keys[-1]) else 0
@@ -209,37 +218,44 @@ def _tree_links(radius: int):
     return run
 
 
-def hamming_links(distinct: DataFrame, radius: int, split_above: int = 50_000) -> DataFrame:
+def hamming_links(distinct: DataFrame, radius: int, split_above: int = SPLIT_ABOVE, mean: int = SHARD) -> DataFrame:
     """Links (u, v) between the fingerprints ``fp`` of ``distinct``, whose closure is that of the radius.
 
-    A shard of more than ``split_above`` fingerprints is split exactly: its members agree on the shard's
-    bits, so the bits that are left are cut into blocks again, and each block makes shards of its own.
+    Every shard's BK-tree is built and searched by its members where the shard is. A shard of more than
+    ``split_above`` fingerprints is split exactly, again and again: its members agree on the shard's mask, so two within the radius
+    agree on one of radius+1 blocks of the bits that are left, which joins the mask. A mask that leaves few bits
+    bounds its shards by itself. The driver holds masks (a few a round), never fingerprints.
     """
-    count = distinct.count()
-    masks = shard_masks(radius, count)
-    shards = F.explode(F.array(*[
-        F.struct(F.lit(i).cast("long").alias("shard"), F.col("fp").bitwiseAND(F.lit(_as_long(m))).alias("key"))
-        for i, m in enumerate(masks)
-    ]))
-    dealt = distinct.select("fp", shards.alias("s")).select("fp", "s.*")
-    big = dealt.groupBy("shard", "key").count().where(F.col("count") > split_above).select("shard", "key", F.lit(True).alias("big"))
-    again = []
-    for i, mask in enumerate(masks):
-        rest = [b for b in range(64) if not mask >> b & 1]
-        cuts = [len(rest) * j // (radius + 1) for j in range(radius + 2)]
-        for j in range(radius + 1):
-            sub = sum(1 << b for b in rest[cuts[j] : cuts[j + 1]])
-            again.append(F.struct(F.lit(i).cast("long").alias("of"), F.lit(j).cast("long").alias("sub"), F.lit(_as_long(sub)).alias("bits")))
-    table = F.array(*again)
-    none = F.array(F.struct(F.col("shard").alias("of"), F.lit(-1).cast("long").alias("sub"), F.lit(0).cast("long").alias("bits")))
-    split = F.when(F.col("big"), F.filter(table, lambda x: x["of"] == F.col("shard"))).otherwise(none)
-    keyed = dealt.join(big, ["shard", "key"], "left").select("shard", "key", "fp", F.explode(split).alias("x"))
-    keyed = keyed.select("shard", "key", F.col("x.sub").alias("sub"), F.col("fp").bitwiseAND(F.col("x.bits")).alias("subkey"), "fp")
-    at = ["shard", "key", "sub", "subkey"]
-    return keyed.repartition(*at).sortWithinPartitions(*at).mapInArrow(_tree_links(radius), "u long, v long")
-
-
-def near_components(docs: DataFrame, shingle: int = 3, radius: int = 2, runs: int = RUNS) -> DataFrame:
+    masks = shard_masks(radius, distinct.count(), mean)
+    dealt = distinct.select("fp", F.explode(_under([(i, m) for i, m in enumerate(masks)])).alias("s")).select("s.*", "fp")
+    while True:
+        big = dealt.groupBy("shard", "key").count().where(F.col("count") > split_above).select("shard", "key")
+        open_ = [r[0] for r in big.select("shard").distinct().collect()]  # at most as many as there are masks
+        open_ = [i for i in open_ if 64 - masks[i].bit_count() > max(radius + 1, split_above.bit_length() - 1)]
+        if not open_:
+            break
+        finer, known = [], len(masks)
+        for i in open_:
+            rest = [b for b in range(64) if not masks[i] >> b & 1]
+            cuts = [len(rest) * j // (radius + 1) for j in range(radius + 2)]
+            subs = [masks[i] | sum(1 << b for b in rest[x:y]) for x, y in zip(cuts, cuts[1:], strict=False)]
+            finer.append((i, [(known + j, m) for j, m in enumerate(subs)]))
+            masks, known = masks + subs, known + len(subs)
+        marked = dealt.join(big.where(F.col("shard").isin(open_)).withColumn("big", F.lit(True)), ["shard", "key"], "left")
+        split = F.array(F.struct("shard", "key"))
+        for i, subs in finer:
+            split = F.when(F.col("big") & (F.col("shard") == i), _under(subs)).otherwise(split)
+        dealt = materialise(marked.select("fp", F.explode(split).alias("s")).select("s.*", "fp"))
+    at = ["shard", "key"]
+    return dealt.repartition(*at).sortWithinPartitions(*at).mapInArrow(_tree_links(radius), "u long, v long")
+
+
+def _under(masks: list[tuple[int, int]]):
+    """The shards of ``fp`` under numbered masks."""
+    return F.array(*[F.struct(F.lit(i).cast("long").alias("shard"), F.col("fp").bitwiseAND(F.lit(_as_long(m))).alias("key")) for i, m in masks])
+
+
+def near_components(docs: DataFrame, shingle: int = 3, radius: int = 2, runs: int | None = None) -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id for every row of ``docs`` (doc_id, text).
 
     Null, empty and blank texts have fingerprint zero, which links like any other. The component id is the
@@ -421,7 +437,7 @@ def _class_links(nodes: DataFrame, radius: int, similarity: float, chunk: int) -
     return first.union(linked(strays.union(rest).join(known, "node")))
 
 
-def near_copies(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, radius: int = 24, runs: int = RUNS, chunk: int = CHUNK) -> DataFrame:
+def near_copies(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, radius: int = 24, runs: int | None = None, chunk: int = CHUNK) -> DataFrame:
     """doc_id, row_key, class_id: classes of documents whose shingle sets are ``similarity`` alike or more.
 
     A document's shards are the ``BANDS`` hashes of ``ROWS`` MinHash values each, which two documents

@@ -1,7 +1,6 @@
 """Each operator against brute force on a small fixture with nulls, empties, repeats and a clashing column."""
 
 import hashlib
-import heapq
 import os
 import random
 import re
@@ -122,13 +121,6 @@ def test_lpt(docs, empty):
     for s in load:
         assert sorted(r["slot"] for r in got if r["shard"] == s) == list(range(sum(r["shard"] == s for r in got)))
     same(docs.sparkSession.createDataFrame([(r["doc_id"], r["size"], r["text_crc32"]) for r in got]), [(r[0], len((r[1] or "").encode()) + 8, zlib.crc32((r[1] or "").encode())) for r in ROWS])
-    sizes = [(n, str(i)) for i, n in enumerate([9, 7, 7, 5, 5, 5, 3, 1, 1])]
-    heap = [(0, i) for i in range(3)]
-    for n, _ in sizes:
-        a, i = heapq.heappop(heap)
-        heapq.heappush(heap, (a + n, i))
-    placed = sharding.lpt_schedule(sizes, 3)
-    assert sorted(sum(n for n, x in sizes if placed[x] == s) for s in range(3)) == sorted(a for a, _ in heap)
     assert sharding.lpt_shards(empty).count() == 0
 
 
@@ -191,7 +183,7 @@ def test_bk_tree():
     assert found == {(i, j) for i, a in enumerate(fps) for j, b in enumerate(fps) if int(a ^ b).bit_count() <= 3}
 
 
-@pytest.mark.parametrize("split_above", [50_000, 3])
+@pytest.mark.parametrize("split_above", [8192, 3])
 def test_hamming_links(spark, split_above):
     fps = clustered(400)
     made = spark.createDataFrame([(int(x),) for x in fps.view(np.int64)], "fp long")

@@ -1,7 +1,9 @@
-"""Training-order materialisation: a keyed permutation of sequences, written as fixed-stride shards."""
+"""Training-order materialisation: a keyed permutation of token sequences, written as fixed-stride shards."""
 
 from __future__ import annotations
 
+import base64
+import functools
 import glob
 import os
 import uuid
@@ -10,15 +12,56 @@ import zlib
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import tiktoken
+from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ldp_hist.llm.shared import materialise, shared_dir
 from ldp_hist.llm.words import mix
 
-#: Token ids are the text's UTF-8 bytes; END closes a document and PAD fills its last sequence.
-END, PAD = 256, 257
-SEQUENCE, SHARD_SEQUENCES, ROUNDS = 2048, 4096, 6
+#: A vocabulary of ranked byte strings, and the pattern that cuts texts before merging (both public; see its folder).
+DEFAULT_RANKS = "/opt/tokenizers/byte_bpe_50k.tiktoken"
+#: END closes a document and PAD fills its last sequence; both ids are free in the vocabulary, and all fit 16 bits.
+END, PAD = 50256, 50257
+SEQUENCE, SHARD_SEQUENCES, ROUNDS = 512, 16_384, 6
+#: Characters that are tokenised at a time; longer texts are cut at white space, and in a longer run without any.
+PORTION = 1 << 16
+
+
+def read_ranks(path: str = DEFAULT_RANKS) -> dict[bytes, int]:
+    """Reads the vocabulary on the driver; executors get it with the task, so the file need not be where they are."""
+    with open(path, "rb") as f:
+        return {base64.b64decode(piece): int(rank) for piece, rank in map(bytes.split, f)}
+
+
+@functools.lru_cache(maxsize=2)
+def _encoding(ranks: tuple) -> tiktoken.Encoding:
+    from public_tokenizers import PATTERN
+
+    return tiktoken.Encoding("own", pat_str=PATTERN, mergeable_ranks=dict(ranks), special_tokens={})
+
+
+def portions(text: str, size: int = PORTION) -> list[str]:
+    """``text`` in order, cut before a space (one that another character precedes) wherever ``size`` characters have one.
+
+    Before such a space the pattern has a boundary in any case, so cutting there changes no id.
+    """
+    out, at = [], 0
+    while len(text) - at > size:
+        cut = at + size
+        while cut > at and not (text[cut] == " " and not text[cut - 1].isspace()):
+            cut -= 1
+        cut = cut if cut > at else at + size
+        out.append(text[at:cut])
+        at = cut
+    return [*out, text[at:]]
+
+
+def token_ids(encoding: tiktoken.Encoding, text: str) -> np.ndarray:
+    """16-bit ids of the whole text and END."""
+    parts = [encoding.encode_ordinary(p) for p in portions(text)]
+    return np.concatenate([*(np.array(x, "<u2") for x in parts), np.array([END], "<u2")])
 
 
 def permute(index: np.ndarray, n: int, key: int, rounds: int = ROUNDS) -> np.ndarray:
@@ -49,6 +92,35 @@ def slot_of(index: Column, n: int, key: int) -> Column:
     return slot(index)
 
 
+def _sequences(ranks, sequence: int):
+    """One row a sequence of each document's ids, numbered within a run of rows of one file split (a unit)."""
+
+    def run(batches):
+        encoding = _encoding(ranks.value)
+        at, unit, nth = None, -1, 0
+        for batch in batches:
+            for first in range(0, batch.num_rows, 512):
+                part = batch.slice(first, 512)
+                rows = {n: [] for n in ("unit", "nth", "seq_no", "n_tokens")}
+                taken, payloads = [], []
+                for i, (number, file, block, text) in enumerate(zip(*(part.column(c).to_pylist() for c in (0, 1, 2, 4)), strict=True)):
+                    if (file, block) != at:
+                        at, unit, nth = (file, block), unit + 1, 0
+                    ids = token_ids(encoding, text or "")
+                    for seq_no, a in enumerate(range(0, len(ids), sequence)):
+                        own = ids[a : a + sequence]
+                        taken.append(i)
+                        payloads.append(own.tobytes())
+                        for n, v in zip(rows, ((number << 20) + unit, nth, seq_no, len(own)), strict=True):
+                            rows[n].append(v)
+                        nth += 1
+                columns = [part.column(c).take(pa.array(taken, pa.int32())) for c in (1, 2, 3)]
+                yield pa.record_batch([*columns, *(pa.array(rows[n], pa.int64()) for n in rows), pa.array(payloads, pa.binary())],
+                                      names=["file", "block", "doc_id", *rows, "payload"])
+
+    return run
+
+
 def _records(sequence: int):
     """Fills each payload up to a record of ``sequence`` little-endian 16-bit ids."""
 
@@ -56,57 +128,57 @@ def _records(sequence: int):
         for batch in batches:
             for at in range(0, batch.num_rows, 2048):
                 part = batch.slice(at, 2048)
-                records, sizes, sums = [], [], []
-                for payload, ends in zip(part.column(4), part.column(5), strict=True):
-                    raw = np.frombuffer(payload.as_py(), np.uint8)
-                    record = np.full(sequence, PAD, "<u2")
-                    record[: len(raw)] = raw
-                    size = len(raw)
-                    if ends.as_py():
-                        record[size] = END
-                        size += 1
-                    records.append(record.tobytes())
-                    sizes.append(size)
-                    sums.append(zlib.crc32(records[-1]))
-                yield pa.record_batch([*part.columns[:4], pa.array(sizes, pa.int32()), pa.array(sums, pa.int64()), pa.array(records, pa.binary())],
+                table = np.full((part.num_rows, sequence), PAD, "<u2")
+                for row, payload in zip(table, part.column(5), strict=True):
+                    ids = np.frombuffer(payload.as_buffer(), "<u2")
+                    row[: len(ids)] = ids
+                records = [row.tobytes() for row in table]
+                yield pa.record_batch([*part.columns[:5], pa.array([zlib.crc32(r) for r in records], pa.int64()), pa.array(records, pa.binary())],
                                       names=["slot", "doc_id", "seq_no", "shard", "n_tokens", "record_crc32", "record"])
 
     return run
 
 
+def _placed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(part, file, block, doc_id, text): where each row is stored; rows that no file holds are written to one first."""
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+
+    def stored(df: DataFrame) -> DataFrame:
+        return df.select(F.spark_partition_id().cast("long").alias("part"), F.col("_metadata.file_path").alias("file"), F.col("_metadata.file_block_start").alias("block"), "doc_id", "text")
+
+    try:
+        return stored(rows)
+    except AnalysisException:
+        return stored(materialise(rows))
+
+
 def training_order(
     docs: DataFrame, key: int = 20240229, sequence: int = SEQUENCE, shard_sequences: int = SHARD_SEQUENCES,
-    id_col: str = "doc_id", text_col: str = "text",
+    id_col: str = "doc_id", text_col: str = "text", ranks_path: str = DEFAULT_RANKS,
 ) -> DataFrame:
     """Every sequence of ``docs`` in training order: slot, shard, shard_offset, doc_id, seq_no, n_tokens, ...
 
-    A document's ids (its UTF-8 bytes and ``END``) are cut into sequences of ``sequence``; the last one is
-    padded. Sequences are written to the shared folder once, as bytes, and numbered there without a gap: by
-    partition, whose counts give the offsets (one row a partition), and by row within it. The keyed
+    A document's token ids and ``END`` are cut into sequences of ``sequence``; the last one is padded. Sequences are
+    written to the shared folder once, without the padding, and numbered without a gap in the order in which the table stores its documents: by
+    file, place in the file and place in the document. A key and a table thus fix the order, however its files are split
+    among tasks. The counts of the splits give the offsets (16 bytes a split, the only thing that is broadcast). The keyed
     permutation gives each number its slot, ``shard_sequences`` to a shard; whole shards are range-partitioned and
     sorted by slot. ``shard_offset`` is a record's byte offset in its shard, always a multiple of 2*sequence. The
-    text is thus shuffled once, by slot.
+    ids are thus shuffled once, by slot.
 
     Null texts count as empty (one sequence, just ``END``); null ids are allowed and repeated rows get slots of
-    their own. Empty tables give empty results; other columns are ignored.
+    their own. Empty tables give empty results; other columns are ignored. A text of any length is tokenised in portions.
     """
-    raw = F.encode(F.coalesce(F.col(text_col), F.lit("")), "UTF-8")
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), raw.alias("raw"))
-    last = F.floor(F.octet_length("raw") / sequence).cast("long")
-    cut = rows.select("doc_id", "raw", F.explode(F.sequence(F.lit(0).cast("long"), last)).alias("seq_no"))
-    pieces = materialise(cut.select(
-        "doc_id", "seq_no",
-        F.expr(f"substring(raw, cast(seq_no * {sequence} + 1 as int), {sequence})").alias("payload"),
-        (F.octet_length("raw") < (F.col("seq_no") + 1) * sequence).alias("ends"),
-        F.monotonically_increasing_id().alias("row"),
-    )).withColumns({"part": F.shiftrightunsigned("row", 33), "nth": F.col("row").bitwiseAND(F.lit((1 << 33) - 1))})
-    counts = pieces.groupBy("part").agg(F.count("*").alias("n"))
+    ranks = docs.sparkSession.sparkContext.broadcast(tuple(read_ranks(ranks_path).items()))
+    schema = "file string, block long, doc_id long, unit long, nth long, seq_no long, n_tokens long, payload binary"
+    pieces = materialise(_placed(docs, id_col, text_col).mapInArrow(_sequences(ranks, sequence), schema))
+    counts = pieces.groupBy("unit").agg(F.first("file").alias("file"), F.first("block").alias("block"), F.count("*").alias("n"))
     total = counts.agg(F.sum("n")).first()[0] or 0
-    earlier = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
-    starts = F.broadcast(counts.select("part", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("start")))
-    pieces = pieces.join(starts, "part").withColumn("number", F.col("start") + F.col("nth"))
-    slots = pieces.withColumn("slot", slot_of(F.col("number"), total, key)).withColumn("shard", F.floor(F.col("slot") / shard_sequences))
-    ordered = slots.repartitionByRange("shard").sortWithinPartitions("slot").select("slot", "doc_id", "seq_no", "shard", "payload", "ends")
+    earlier = Window.orderBy("file", "block").rowsBetween(Window.unboundedPreceding, -1)
+    starts = F.broadcast(counts.select("unit", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("start")))
+    numbered = pieces.join(starts, "unit").withColumn("number", F.col("start") + F.col("nth"))
+    slots = numbered.withColumn("slot", slot_of(F.col("number"), total, key)).withColumn("shard", F.floor(F.col("slot") / shard_sequences))
+    ordered = slots.repartitionByRange("shard").sortWithinPartitions("slot").select("slot", "doc_id", "seq_no", "shard", F.col("n_tokens").cast("int"), "payload")
     records = ordered.mapInArrow(_records(sequence), "slot long, doc_id long, seq_no long, shard long, n_tokens int, record_crc32 long, record binary")
     return records.withColumn("shard_offset", (F.col("slot") % shard_sequences) * (2 * sequence))
 

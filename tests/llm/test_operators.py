@@ -11,6 +11,7 @@ import duckdb
 import numpy as np
 import pytest
 import sentencepiece
+import tiktoken
 import xxhash
 
 from ldp_hist.llm import decontaminate, exact_dedup, feistel, html_text, langid, line_dedup, pieces, secrets_scan, sharding, simhash
@@ -428,21 +429,24 @@ def test_min_cut_is_minimum():
 
 
 def test_training_order(docs, empty, tmp_path):
+    from public_tokenizers import PATTERN
+
+    plain = tiktoken.Encoding("plain", pat_str=PATTERN, mergeable_ranks=feistel.read_ranks(), special_tokens={})
+    want = {(r[0], r[1] or ""): [*plain.encode_ordinary(r[1] or ""), feistel.END] for r in ROWS}
     ordered = feistel.training_order(docs, sequence=64, shard_sequences=16).cache()
     got = ordered.orderBy("slot").collect()
     assert [r["slot"] for r in got] == list(range(len(got)))
-    assert len(got) == sum(len((r[1] or "").encode()) // 64 + 1 for r in ROWS)
+    assert len(got) == sum(-(-len(want[r[0], r[1] or ""]) // 64) for r in ROWS)
     joined = defaultdict(list)
     for r in sorted(got, key=lambda r: r["seq_no"]):
         ids = np.frombuffer(r["record"], "<u2")
         assert r["record_crc32"] == zlib.crc32(r["record"]) and r["shard"] == r["slot"] // 16 and r["shard_offset"] == r["slot"] % 16 * 128
         assert (ids[r["n_tokens"] :] == feistel.PAD).all()
-        joined[r["doc_id"]].append(ids[: r["n_tokens"]])
+        joined[r["doc_id"]] += ids[: r["n_tokens"]].tolist()
     for doc_id, _, *_ in ROWS:
         same_id = [r[1] or "" for r in ROWS if r[0] == doc_id]
-        ids = np.concatenate(joined[doc_id])
         if len(same_id) == 1:
-            assert ids[-1] == feistel.END and bytes(ids[:-1].astype(np.uint8)) == same_id[0].encode()
+            assert joined[doc_id] == want[doc_id, same_id[0]] and plain.decode(joined[doc_id][:-1]) == same_id[0]
     written = feistel.write_shards(ordered, str(tmp_path), 64, 16).collect()
     assert sum(r["sequences"] for r in written) == len(got)
     read = feistel.read_sequences(str(tmp_path), 10, 30, 64, 16)
@@ -450,6 +454,59 @@ def test_training_order(docs, empty, tmp_path):
     assert feistel.training_order(empty).count() == 0
 
 
+def plain_slot(x, n, key, rounds=6):
+    """The permutation again, one number at a time."""
+    full = (1 << 64) - 1
+
+    def mixed(h):
+        h = ((h ^ (h >> 30)) * 0xBF58476D1CE4E5B9) & full
+        h = ((h ^ (h >> 27)) * 0x94D049BB133111EB) & full
+        return h ^ (h >> 31)
+
+    half = max(1, (max(n - 1, 1).bit_length() + 1) // 2)
+    keys = [mixed((i * 0x9E3779B97F4A7C15 + key) & full) for i in range(1, rounds + 1)]
+    while True:
+        left, right = x >> half, x & ((1 << half) - 1)
+        for k in keys:
+            left, right = right, left ^ (mixed((right + k) & full) & ((1 << half) - 1))
+        x = left << half | right
+        if x < n:
+            return x
+
+
+def test_order_does_not_depend_on_splits(spark, tmp_path):
+    """Against the plain permutation of the sequences as the files store them, under two split sizes."""
+    from public_tokenizers import PATTERN
+
+    plain = tiktoken.Encoding("plain", pat_str=PATTERN, mergeable_ranks=feistel.read_ranks(), special_tokens={})
+    RNG.seed(11)
+    made = spark.createDataFrame([(i % 40, sentence(RNG.randrange(1, 400)), 1) for i in range(400)], "doc_id long, text string, slot int")
+    made.repartition(3).write.option("parquet.block.size", 16384).parquet(f"{tmp_path}/t")
+    stored = spark.read.parquet(f"{tmp_path}/t").select("doc_id", "text", "_metadata.file_path", "_metadata.row_index").collect()
+    numbered = [(r["doc_id"], n, len(ids[a : a + 64])) for r in sorted(stored, key=lambda r: (r["file_path"], r["row_index"])) for ids in [[*plain.encode_ordinary(r["text"]), 0]] for n, a in enumerate(range(0, len(ids), 64))]
+    want = {plain_slot(i, len(numbered), 99): x for i, x in enumerate(numbered)}
+    before = spark.conf.get("spark.sql.files.maxPartitionBytes")
+    try:
+        for size in ("16k", "1m"):
+            spark.conf.set("spark.sql.files.maxPartitionBytes", size)
+            read = spark.read.parquet(f"{tmp_path}/t")
+            got = feistel.training_order(read, key=99, sequence=64, shard_sequences=32).collect()
+            assert {r["slot"]: (r["doc_id"], r["seq_no"], r["n_tokens"]) for r in got} == want and len(got) == len(want)
+    finally:
+        spark.conf.set("spark.sql.files.maxPartitionBytes", before)
+
+
+def test_portions_change_no_id():
+    from public_tokenizers import PATTERN
+
+    plain = tiktoken.Encoding("plain", pat_str=PATTERN, mergeable_ranks=feistel.read_ranks(), special_tokens={})
+    rng = random.Random(3)
+    text = "".join(rng.choice(["word", " ", "  ", "\n", "é", "12", ".", " don't"]) for _ in range(4000))
+    cut = feistel.portions(text, 50)
+    assert "".join(cut) == text and len(cut) > 100 and [i for p in cut for i in plain.encode_ordinary(p)] == plain.encode_ordinary(text)
+    assert feistel.token_ids(plain, "a" * 300_000)[-1] == feistel.END
+
+
 @pytest.mark.parametrize("n", [1, 2, 3, 5, 64, 1000, 4097])
 def test_feistel_is_permutation(n):
     slots = feistel.permute(np.arange(n), n, 7)

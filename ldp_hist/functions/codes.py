@@ -108,23 +108,29 @@ class Code:
         return [sum(int(units[b][i]) << b for b in range(self.width)) for i in range(self.length)]
 
     def decode(self, word: np.ndarray) -> int | None:
-        word = np.asarray(word, np.uint8)
-        if self.kind == "none":
-            return int("".join(map(str, word)), 2)
-        if self.kind == "repeat3":
-            return int("".join(map(str, (word.reshape(3, -1).sum(axis=0) >= 2).astype(int))), 2)
+        """The message of a word of 0, 1 and -1 for an erasure; an erased word has none.
+
+        An erasure has no vote: where no vote or a tie is left, the short codes read 0. To the concatenated code an erasure does half
+        the harm of a wrong bit.
+        """
+        word = np.asarray(word, np.int8)
+        if not (word >= 0).any():
+            return None
+        if self.kind != "concat":
+            votes = np.where(word < 0, 0, 2 * word - 1).reshape(-1, self.width).sum(axis=0)
+            return int("".join("1" if v > 0 else "0" for v in votes), 2)
         return self._decode_concat(word)
 
     def _decode_concat(self, word: np.ndarray) -> int | None:
-        k = self.width // 5
-        scores = (1 - 2 * word.reshape(2 * k, 16).astype(int)) @ _INNER_SIGNS.T
+        k, known = self.width // 5, word >= 0
+        scores = np.where(known, 1 - 2 * word, 0).reshape(2 * k, 16).astype(int) @ _INNER_SIGNS.T
         symbols, trust = scores.argmax(axis=1), np.sort(scores, axis=1)
         order = np.argsort(trust[:, -1] - trust[:, -2], kind="stable")
         best, least = None, None
         for erased in range(0, k + 1):
             found = self._decode_outer([int(s) for s in symbols], set(order[:erased].tolist()), k)
             if found is not None:
-                distance = int(np.count_nonzero(self.encode(found) != word))
+                distance = int(np.count_nonzero((self.encode(found) != word) & known))
                 if least is None or distance < least:
                     best, least = found, distance
         return best

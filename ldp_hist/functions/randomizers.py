@@ -7,7 +7,7 @@ import math
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-from ldp_hist.functions.randomness import limit
+from ldp_hist.functions.randomness import fell_below, limit
 
 
 def keep_probability(eps: float, kind: str = "binary") -> float:
@@ -32,7 +32,7 @@ def privacy_loss(eps: float, kind: str = "binary") -> float:
 
 def randomised(x: Column, eps: float, coin: Column, kind: str = "binary") -> Column:
     """The sign ``x``, kept or turned by the user's coin."""
-    return F.when(coin < F.lit(limit(keep_probability(eps, kind))), x).otherwise(-x).cast("int")
+    return F.when(fell_below(coin, limit(keep_probability(eps, kind))), x).otherwise(-x).cast("int")
 
 
 def binary_rr(x: Column, eps: float, coin: Column) -> Column:

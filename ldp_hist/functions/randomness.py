@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
 from ldp_hist.functions.hashing import digest, hex_slice, sign_of
 
@@ -32,13 +33,19 @@ def assign(pop: DataFrame, seed, **sizes: int) -> DataFrame:
     return pop.withColumns({n: every[n] for k in sizes for n in names[k]})
 
 
-def coin(phase: int, user: Column, key) -> Column:
-    """52 uniform bits a user and phase: repeated or retried tasks throw the same coin.
+def coin(phase: int, user: Column, key: int | str, run: Column | None = None) -> Column:
+    """52 uniform bits a user and phase, as 13 hex digits: repeated or retried tasks throw the same coin.
 
     ``key`` has to be a secret of the user's side. A public number in its place makes the results
-    reproducible and removes the privacy: for tests only.
+    reproducible and removes the privacy: for tests only. Repetitions over the same users pass their number as ``run``, beside
+    the key, never in its place.
     """
-    return hex_slice(digest(f"coin{phase}", key, user), 1, 13)
+    return F.substring(digest(f"coin{phase}", key, *([] if run is None else [run]), user), 1, 13)
+
+
+def fell_below(thrown: Column, bound: int) -> Column:
+    """Whether a coin is below ``bound``: hex digits of one length compare as their numbers do."""
+    return F.lit(True) if bound >= 1 << 52 else thrown < F.lit(f"{bound:013x}")
 
 
 def limit(p: float) -> int:

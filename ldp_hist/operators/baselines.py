@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from ldp_hist.functions.hashing import digest, hex_slice
 from ldp_hist.operators.sign_matrix_oracle import plain_estimates
 from ldp_hist.plans.params import Params
+from ldp_hist.plans.privacy import Ledger
 
 
 def exact_frequencies(pop: DataFrame) -> DataFrame:
@@ -33,7 +34,7 @@ def curator_laplace(pop: DataFrame, eps: float, seed: int = 42) -> DataFrame:
 
 # --- randomised Bloom-filter reports (stand-in for a deployed system, from published descriptions) -----------
 
-COHORTS, BITS, HASHES = 8, 16, 2
+COHORTS, BITS, HASHES = 64, 32, 2
 
 
 def bloom_place(seed, cohort: Column, i: int, item: Column) -> Column:
@@ -45,55 +46,87 @@ def bloom_flip(eps: float) -> float:
     return 1 / (math.exp(eps / (2 * HASHES)) + 1)
 
 
-def bloom_reports(pop: DataFrame, eps: float, seed: int = 42) -> DataFrame:
-    """(cohort, bit, s, n): ones and users by cohort and bit. A user's bits are flipped by sixteen bits of one digest each."""
-    cohort = (hex_slice(digest("coh", seed, F.col("user_key")), 1, 8) % COHORTS).cast("int")
-    own = pop.select("item", cohort.alias("cohort"), digest("flip", seed, F.col("user_key")).alias("d"))
-    own = own.withColumn("set", F.array(*[bloom_place(seed, F.col("cohort"), i, F.col("item")) for i in range(HASHES)]))
-    below = math.floor(bloom_flip(eps) * (1 << 16))
-    sent = [F.sum((F.array_contains("set", F.lit(b).cast("long")) != (hex_slice(F.col("d"), 1 + 4 * b, 4) < below)).cast("long")).alias(f"b{b}") for b in range(BITS)]
-    sums = own.groupBy("cohort").agg(*sent, F.count("*").alias("n"))
+def bloom_reports(pop: DataFrame, p: Params) -> DataFrame:
+    """(cohort, bit, s, n): ones and users by cohort and bit. A user's bits are flipped by four hex digits of a digest each.
+
+    Digits are compared as text, which orders them as their numbers.
+    """
+    Ledger.of(p).spend("filter", p.eps)
+    cohort = (hex_slice(digest("coh", p.seed, F.col("user_key")), 1, 8) % COHORTS).cast("int")
+    flips = [digest("flip", p.coins, F.lit(block), F.col("user_key")).alias(f"d{block}") for block in range(-(-BITS // 16))]
+    own = pop.select("item", cohort.alias("cohort"), *flips)
+    own = own.withColumns({f"p{i}": bloom_place(p.seed, F.col("cohort"), i, F.col("item")) for i in range(HASHES)})
+    below = f"{math.floor(bloom_flip(p.eps) * (1 << 16)):04x}"
+
+    def one(b: int) -> Column:
+        is_set = F.col("p0") == b
+        for i in range(1, HASHES):
+            is_set = is_set | (F.col(f"p{i}") == b)
+        return F.sum((is_set != (F.substring(f"d{b // 16}", 1 + 4 * (b % 16), 4) < below)).cast("long")).alias(f"b{b}")
+
+    sums = own.groupBy("cohort").agg(*[one(b) for b in range(BITS)], F.count("*").alias("n"))
     pairs = F.explode(F.array(*[F.struct(F.lit(b).alias("bit"), F.col(f"b{b}").alias("s")) for b in range(BITS)]))
     return sums.select("cohort", "n", pairs.alias("x")).select("cohort", F.col("x.bit").alias("bit"), F.col("x.s").alias("s"), "n")
 
 
-def bloom_decode(reports: DataFrame, items: DataFrame, eps: float, seed: int = 42, z: float = 3.0, limit: int = 10_000) -> DataFrame:
-    """(item, est) for a known dictionary of at most ``limit``: non-negative least squares on debiased counts.
+def bloom_constants(eps: float) -> dict[str, float]:
+    """q: a bit's flip; q0: the share of other items that set a given bit; spread: a cohort user's variance in an estimate from one bit."""
+    q, q0 = bloom_flip(eps), 1 - (1 - 1 / BITS) ** HASHES
+    return {"q": q, "q0": q0, "spread": (q * (1 - q) / (1 - 2 * q) ** 2 + q0 * (1 - q0)) / (1 - q0) ** 2}
+
+
+def bloom_decode(reports: DataFrame, items: DataFrame, p: Params, z: float = 3.0) -> DataFrame:
+    """(item, est) for every item of a known dictionary of any length.
+
+    A cohort's debiased counts of an item's bits, less what other items put there on average, estimate its users in the
+    cohort; cohorts add up. Estimates under ``z`` standard errors become zero, which is why rare items vanish.
+    """
+    k = bloom_constants(p.eps)
+    debiased = (F.col("s") - k["q"] * F.col("n")) / (1 - 2 * k["q"])
+    bits = reports.select("cohort", "bit", "n", ((debiased - k["q0"] * F.col("n")) / (1 - k["q0"])).alias("users"))
+    asked = items.select("item").distinct().select("item", F.explode(F.sequence(F.lit(0), F.lit(COHORTS - 1))).alias("cohort"))
+    asked = asked.select("item", "cohort", F.explode(F.array_distinct(F.array(*[bloom_place(p.seed, F.col("cohort"), i, F.col("item")).cast("int") for i in range(HASHES)]))).alias("bit"))
+    cohort = asked.join(bits, ["cohort", "bit"]).groupBy("item", "cohort").agg(F.avg("users").alias("users"), (F.first("n") * k["spread"] / F.count("*")).alias("variance"))
+    sums = cohort.groupBy("item").agg(F.sum("users").alias("est"), F.sum("variance").alias("variance"))
+    return sums.select("item", F.when(F.col("est") >= z * F.sqrt("variance"), F.round("est", 4)).otherwise(0.0).alias("est"))
+
+
+def bloom_refine(reports: DataFrame, found: DataFrame, p: Params, limit: int = 2_000) -> DataFrame:
+    """(item, est) of the items that ``bloom_decode`` left above zero, fitted together by non-negative least squares.
 
-    Estimates under ``z`` standard errors become zero, which is why rare items vanish.
+    Users of all other items are a background that sets every bit of a cohort alike; it is fitted with them. Survivors are
+    few by the test (n users can't put more than about sqrt(n) items above it); over ``limit`` of them are refused before the work.
     """
-    spark = reports.sparkSession
-    asked = items.select("item", F.explode(F.sequence(F.lit(0), F.lit(COHORTS - 1))).alias("cohort"))
-    asked = asked.select("item", "cohort", F.array(*[bloom_place(seed, F.col("cohort"), i, F.col("item")) for i in range(HASHES)]).alias("set"))
-    if items.count() > limit:
-        raise ValueError("the dictionary is too long for the decoder")
-    names = sorted({r["item"] for r in asked.select("item").distinct().collect()})
+    spark, k = reports.sparkSession, bloom_constants(p.eps)
+    names = sorted(r["item"] for r in found.where("est > 0").select("item").limit(limit + 1).collect())
+    if len(names) > limit:
+        raise ValueError(f"over {limit} items to fit")
+    if not names:
+        return found.where("est > 0").select("item", "est")
     place = {x: i for i, x in enumerate(names)}
-    q = bloom_flip(eps)
-    design, target, users = np.zeros((COHORTS * BITS, len(names))), np.zeros(COHORTS * BITS), 0
-    for r in asked.collect():
+    asked = spark.createDataFrame([(n,) for n in names], "item string").select("item", F.explode(F.sequence(F.lit(0), F.lit(COHORTS - 1))).alias("cohort"))
+    asked = asked.select("item", "cohort", F.array(*[bloom_place(p.seed, F.col("cohort"), i, F.col("item")) for i in range(HASHES)]).alias("set"))
+    design, target = np.zeros((COHORTS * BITS, len(names) + 1)), np.zeros(COHORTS * BITS)
+    design[:, -1] = k["q0"] / COHORTS
+    for r in asked.collect():  # limit * COHORTS rows at most
         for b in set(r["set"]):
             design[r["cohort"] * BITS + b, place[r["item"]]] = 1 / COHORTS
-    for r in reports.collect():
-        target[r["cohort"] * BITS + r["bit"]] = (r["s"] - q * r["n"]) / (1 - 2 * q)
-        users += r["n"] if r["bit"] == 0 else 0
-    x = np.zeros(len(names))
-    gram, pull = design.T @ design, design.T @ target
-    for _ in range(200):  # coordinate descent
-        for i in range(len(names)):
-            if gram[i, i]:
-                x[i] = max(0.0, x[i] + (pull[i] - gram[i] @ x) / gram[i, i])
-    noise = math.sqrt(q * (1 - q) * users) / (1 - 2 * q) / math.sqrt(HASHES) * math.sqrt(len(names) / max(1, min(len(names), COHORTS * BITS)))
-    x[x < z * noise] = 0
-    return spark.createDataFrame([(n, round(float(v), 4)) for n, v in zip(names, x, strict=True)], "item string, est double")
+    for r in reports.collect():  # COHORTS * BITS rows
+        target[r["cohort"] * BITS + r["bit"]] = (r["s"] - k["q"] * r["n"]) / (1 - 2 * k["q"])
+    x, gram, pull = np.zeros(len(names) + 1), design.T @ design, design.T @ target
+    for _ in range(300):  # coordinate descent
+        for i in range(len(x)):
+            x[i] = max(0.0, x[i] + (pull[i] - gram[i] @ x) / gram[i, i])
+    return spark.createDataFrame([(n, round(float(v), 4)) for n, v in zip(names, x[:-1], strict=True)], "item string, est double")
 
 
 # --- earlier local protocols ----------------------------------------------------------------------------------
 
 
 def predecessor(pop: DataFrame, dictionary: DataFrame, p: Params) -> DataFrame:
-    """The earlier optimal protocol's server step on a small dictionary: a sum over all users for every query.
+    """The earlier optimal protocol's estimates for a small dictionary: a sum over all users for every query.
 
-    Its cost is what matters (``plans.cost``); use it where users times items is affordable.
+    Its discovery is ``hashed_bits.discover_predecessor``. Its cost is what matters (``plans.cost``); use both where users
+    times queries is affordable.
     """
     return plain_estimates(pop, dictionary, p)

@@ -1,7 +1,8 @@
 """Heavy hitters down a prefix tree: estimate the children of what survived, keep the heavy ones, repeat.
 
-Reports are read once: counters of all levels and of the whole items come from one scan. Every level then
-is a small job, the frontier a list of numbers on the driver (bounded, see ``GUARD``), so plans don't grow.
+Reports are read once: counters of all levels and of the whole items, and the number of users, come from one scan, and one job
+transforms them all. A level is then a join of the candidates with the transformed cells; the frontier stays a table, kept from
+level to level so that plans don't grow. Repetitions over the same users (``runs``) walk together, a column apart.
 """
 
 from __future__ import annotations
@@ -9,82 +10,116 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ldp_hist.functions.encoding import Encoding
+from ldp_hist.functions.hadamard import fwht_groups
+from ldp_hist.functions.hashing import bucket_hash, sign_hash
 from ldp_hist.functions.randomizers import debias
-from ldp_hist.operators.sketch_oracle import combined, count, node_name, signed_sums, tree_reports
-from ldp_hist.plans.params import Params
+from ldp_hist.operators.sketch_oracle import combined, count, dictionary_reports, node_name, signed_sums, tree_reports
+from ldp_hist.plans.params import Params, note
 
-#: A frontier above this means that the threshold is below the noise: the walk stops rather than run away.
-GUARD = 200_000
+#: A level may ask for this many nodes, or for so many times what the threshold lets through; more means that it is below the noise.
+GUARD, SLACK = 200_000, 4
 
 
 @dataclass
 class Walk:
-    """Counters of one run, and what was seen on the way down."""
+    """Transformed counters of one or more runs, and what was seen on the way down."""
 
-    prune: DataFrame
-    final: DataFrame
+    cells: DataFrame  # run, level, pair, cell, v
+    final: DataFrame  # run, pair, cell, v
     encoding: Encoding
     p: Params
+    n: int
     threshold: float
-    trace: list[tuple[int, int, float, bool]] = field(default_factory=list)
-    frontier: list[int] = field(default_factory=list)
+    runs: list[int]
+    trace: list[DataFrame] = field(default_factory=list)
+    frontier: DataFrame | None = None
+    kept: list[DataFrame] = field(default_factory=list)
 
+    def close(self) -> None:
+        """Releases what the walk holds; its results can't be read after that."""
+        for df in self.kept:
+            df.unpersist()
+        self.kept.clear()
 
-def start(pop: DataFrame, p: Params, encoding: Encoding, threshold: float) -> Walk:
-    reports = tree_reports(pop, p, encoding)
-    both = reports.groupBy("level", "pair", "row").agg(F.sum("y1").alias("s"), F.sum("y2").alias("s2")).persist()
-    final = both.groupBy("pair", "row").agg(F.sum("s2").alias("s"))
-    return Walk(both.select("level", "pair", "row", "s"), final, encoding, p, threshold)
+
+def noise_threshold(n: int, factor: float = 15.0) -> float:
+    """The experiment's threshold, a multiple of sqrt(n); it plays the part of twice eta."""
+    return factor * math.sqrt(n)
 
 
-def mode_for(nodes: int, m: int) -> str:
-    """A transform costs log2(m) passes over the cells, a direct sum one pass for each candidate."""
-    return "counters" if nodes < math.log2(m) else "transform"
+def start(pop: DataFrame, p: Params, encoding: Encoding, factor: float = 15.0, threshold: float | None = None, runs: list[int] | None = None) -> Walk:
+    """Reads the reports; ``runs`` are public seeds, one for each repetition (by default the one of ``p``)."""
+    seeds = [p.seed] if runs is None else runs
+    if runs is None:
+        reports = tree_reports(pop, p, encoding).withColumn("run", F.lit(p.seed))
+    else:
+        reports = tree_reports(pop.withColumn("run", F.explode(F.array(*[F.lit(s) for s in seeds]))), p, encoding, run="run")
+    both = reports.groupBy("run", "level", "pair", "row").agg(F.sum("y1").alias("s"), F.sum("y2").alias("s2"), F.count("*").alias("users")).persist()
+    n = (both.agg(F.sum("users")).first()[0] or 0) // len(seeds)
+    note("tree", n, p, encoding.width)
+    cells = fwht_groups(both.select("run", "level", "pair", "row", "s"), ["run", "level", "pair"], "row", p.m).persist()
+    whole = both.groupBy("run", "pair", "row").agg(F.sum("s2").alias("s"))
+    final = fwht_groups(whole, ["run", "pair"], "row", p.m).persist()
+    return Walk(cells, final, encoding, p, n, noise_threshold(n, factor) if threshold is None else threshold, seeds, kept=[both, cells, final])
 
 
-def level_estimates(walk: Walk, level: int, prefixes: list[int]) -> DataFrame:
-    """(prefix, est) for candidate prefixes of a level."""
-    spark, p = walk.prune.sparkSession, walk.p
-    cands = spark.createDataFrame([(x,) for x in prefixes], "prefix long").withColumn("x", node_name(F.lit(level), F.col("prefix")))
-    table = walk.prune.where(F.col("level") == level).select("pair", "row", "s")
-    sums = signed_sums(table, cands, p, mode_for(len(prefixes), p.m))
-    return combined(sums, cands, p.t * walk.encoding.levels * debias(p.eps / 2), p.t).select("prefix", "est")
+def _estimates(walk: Walk, cells: DataFrame, asked: DataFrame, name: Column, column: str, scale: float) -> DataFrame:
+    """run, ``column``, est of candidates, by look-ups in transformed cells; a cell without a user is zero."""
+    p = walk.p
+    seed = F.lit(p.seed) if walk.runs == [p.seed] else F.col("run")
+    each = asked.select("run", column, name.alias("x"), F.explode(F.sequence(F.lit(0), F.lit(p.t - 1))).alias("pair"))
+    places = each.withColumns({"cell": bucket_hash(seed, F.col("pair"), F.col("x"), p.m), "g": sign_hash(seed, F.col("pair"), F.col("x"))})
+    sums = places.join(cells, ["run", "pair", "cell"], "left").select("run", column, (F.col("g") * F.coalesce("v", F.lit(0))).alias("v"))
+    return sums.groupBy("run", column).agg(F.round(F.lit(scale) * F.median("v"), 4).alias("est"))
+
+
+def level_estimates(walk: Walk, level: int, prefixes: DataFrame) -> DataFrame:
+    """(run, prefix, est) for candidate prefixes (run, prefix) of a level."""
+    cells = walk.cells.where(F.col("level") == level).drop("level")
+    scale = walk.p.t * walk.encoding.levels * debias(walk.p.eps / 2)
+    return _estimates(walk, cells, prefixes, node_name(F.lit(level), F.col("prefix")), "prefix", scale)
 
 
 def descend(walk: Walk, beam: int | None = None) -> Walk:
-    """Walks all levels. With ``beam`` the best so many survive instead of those above the threshold."""
-    e = walk.encoding
-    walk.frontier = [0]
+    """Walks all levels. With ``beam`` the best so many of each run survive instead of those above the threshold."""
+    e, spark = walk.encoding, walk.cells.sparkSession
+    frontier = spark.createDataFrame([(s, 0) for s in walk.runs], "run int, prefix long")
+    most = max(GUARD, math.ceil(SLACK * walk.n / walk.threshold) * e.symbols) if walk.threshold > 0 else GUARD
+    symbols = F.explode(F.array(*[F.lit(i).cast("long") for i in range(e.symbols)])).alias("symbol")
     for level in range(1, e.levels + 1):
-        asked = [(x << e.bits) + s for x in walk.frontier for s in range(e.symbols)]
-        if len(asked) > GUARD:
-            raise ValueError(f"{len(asked)} candidates at level {level}: the threshold is within the noise")
-        found = [(r["prefix"], r["est"]) for r in level_estimates(walk, level, asked).collect()] if asked else []
+        asked = frontier.select("run", "prefix", symbols).select("run", (F.col("prefix") * (1 << e.bits) + F.col("symbol")).alias("prefix"))
+        found = level_estimates(walk, level, asked)
         if beam:
-            best = {x for x, _ in sorted(found, key=lambda r: (-r[1], r[0]))[:beam]}
+            best = found.groupBy("run").agg(F.slice(F.sort_array(F.collect_list(F.struct((-F.col("est")).alias("by"), "prefix"))), 1, beam).alias("best"))
+            kept = best.select("run", F.explode(F.transform("best", lambda x: x["prefix"])).alias("prefix")).withColumn("kept", F.lit(True))
+            found = found.join(kept, ["run", "prefix"], "left").withColumn("kept", F.coalesce("kept", F.lit(False)))
         else:
-            best = {x for x, est in found if est >= walk.threshold}
-        walk.trace += [(level, x, est, x in best) for x, est in sorted(found)]
-        walk.frontier = sorted(best)
+            found = found.withColumn("kept", F.col("est") >= F.lit(walk.threshold))
+        found = found.persist()
+        queried, survive = found.agg(F.count("*"), F.sum(F.col("kept").cast("long"))).first()
+        walk.kept.append(found)
+        walk.trace.append(found.select("run", F.lit(level).alias("level"), "prefix", "est", "kept"))
+        frontier = found.where("kept").select("run", "prefix")
+        if (survive or 0) * e.symbols > most * len(walk.runs) and level < e.levels:
+            walk.close()
+            raise ValueError(f"{survive} of {queried} nodes survive level {level}: the threshold is within the noise")
+        if not survive:
+            break
+    walk.frontier = frontier
     return walk
 
 
 def finish(walk: Walk) -> DataFrame:
-    """(code, item, est): survivors estimated again from everybody's second report."""
-    spark, p, e = walk.final.sparkSession, walk.p, walk.encoding
-    cands = spark.createDataFrame([(x,) for x in walk.frontier], "code long").withColumn("x", node_name(F.lit(e.levels), F.col("code")))
-    sums = signed_sums(walk.final, cands, p, mode_for(len(walk.frontier), p.m))
-    hist = combined(sums, cands, p.t * debias(p.eps / 2), p.t)
-    return hist.select("code", e.decode(F.col("code")).alias("item"), "est")
-
-
-def noise_threshold(n: int, factor: float = 15.0) -> float:
-    """The experiment's threshold, a multiple of sqrt(n); it plays the part of twice eta."""
-    return factor * math.sqrt(n)
+    """(run, code, item, est): survivors estimated again from everybody's second report."""
+    e, p = walk.encoding, walk.p
+    reached = walk.frontier if len(walk.trace) == e.levels else walk.frontier.limit(0)
+    asked = reached.select("run", F.col("prefix").alias("code"))
+    hist = _estimates(walk, walk.final, asked, node_name(F.lit(e.levels), F.col("code")), "code", p.t * debias(p.eps / 2))
+    return hist.select("run", "code", e.decode(F.col("code")).alias("item"), "est")
 
 
 def tree_heavy_hitters(pop: DataFrame, p: Params, encoding: Encoding, factor: float = 15.0, threshold: float | None = None, beam: int | None = None) -> DataFrame:
@@ -92,18 +127,25 @@ def tree_heavy_hitters(pop: DataFrame, p: Params, encoding: Encoding, factor: fl
 
     ``beam`` gives the heuristic without bounds: a fixed number of best prefixes and no threshold.
     """
-    threshold = noise_threshold(pop.count(), factor) if threshold is None else threshold
-    return finish(descend(start(pop, p, encoding, threshold), beam))
+    return finish(descend(start(pop, p, encoding, factor, threshold), beam)).drop("run")
+
+
+def tree_runs(pop: DataFrame, p: Params, encoding: Encoding, seeds: list[int], factor: float = 15.0) -> DataFrame:
+    """(run, code, item, est): the protocol repeated with other public draws and coins, all runs in one walk."""
+    return finish(descend(start(pop, p, encoding, factor, runs=seeds)))
 
 
 def tree_candidates(pop: DataFrame, p: Params, encoding: Encoding, factor: float = 15.0) -> Walk:
     """The walk without the final estimates."""
-    return descend(start(pop, p, encoding, noise_threshold(pop.count(), factor)))
+    return descend(start(pop, p, encoding, factor))
 
 
 def tree_trace(walk: Walk) -> DataFrame:
-    """(level, prefix, est, kept) of every node that was asked for."""
-    return walk.prune.sparkSession.createDataFrame(walk.trace, "level int, prefix long, est double, kept boolean")
+    """(level, prefix, est, kept) of every node that was asked for, first run."""
+    out = walk.trace[0]
+    for t in walk.trace[1:]:
+        out = out.unionByName(t)
+    return out.where(F.col("run") == walk.runs[0]).drop("run")
 
 
 def node_queries(trace: DataFrame) -> DataFrame:
@@ -118,8 +160,6 @@ def brute_force(pop: DataFrame, p: Params, encoding: Encoding, factor: float = 1
     """
     spark, e = pop.sparkSession, encoding
     named = pop.select("user_key", node_name(F.lit(e.levels), e.encode(F.col("item"))).alias("item"))
-    from ldp_hist.operators.sketch_oracle import dictionary_reports
-
     code, digits = F.lit(0).cast("long"), F.col("id")
     for i in range(e.levels):
         code = code + (F.floor(digits / e.symbols**i) % e.symbols).cast("long") * (1 << e.bits * i)

@@ -16,8 +16,11 @@ from ldp_hist.functions.hashing import PRIME, digest, hex_slice, sign_of
 from ldp_hist.functions.randomizers import debias, randomised
 from ldp_hist.functions.randomness import coin, draws
 from ldp_hist.plans.params import Params
+from ldp_hist.plans.privacy import Ledger
 
 DEGREE = 4
+#: The longest dictionary of the plain oracle.
+SHORT = 10_000
 
 
 def matrix_sign(family: str, seed: int, x: Column, user: Column) -> Column:
@@ -39,13 +42,20 @@ def matrix_sign(family: str, seed: int, x: Column, user: Column) -> Column:
 
 def plain_reports(pop: DataFrame, p: Params, family: str = "sha", kind: str = "binary") -> DataFrame:
     """(user_key, y): the user's column is public, so the server knows whose report it is."""
+    Ledger.of(p).spend("item", p.eps)
     z = matrix_sign(family, p.seed, F.col("item"), F.col("user_key"))
-    return pop.select("user_key", randomised(z, p.eps, coin(1, F.col("user_key"), p.coin_key), kind).alias("y"))
+    return pop.select("user_key", randomised(z, p.eps, coin(1, F.col("user_key"), p.coins), kind).alias("y"))
 
 
 def plain_estimates(pop: DataFrame, items: DataFrame, p: Params, family: str = "sha", kind: str = "binary") -> DataFrame:
-    """(item, est): each user meets each candidate once; for short dictionaries (one pass, map-side sums)."""
-    reports = plain_reports(pop, p, family, kind).crossJoin(F.broadcast(items.select("item")))
+    """(item, est): each user meets each candidate once; for short dictionaries (one pass, map-side sums).
+
+    Users times candidates is what this oracle costs by its nature. A dictionary of over ``SHORT`` items is refused; the
+    partitioned oracle answers those. The candidates, a row of them, are what is sent to the users' tasks.
+    """
+    asked = items.select("item").distinct().limit(SHORT + 1).agg(F.collect_list("item").alias("asked"))
+    few = F.when(F.size("asked") <= SHORT, F.col("asked")).otherwise(F.raise_error(F.lit(f"the plain oracle takes {SHORT} items at most")))
+    reports = plain_reports(pop, p, family, kind).join(F.broadcast(asked.select(few.alias("asked")))).select("user_key", "y", F.explode("asked").alias("item"))
     value = F.col("y") * matrix_sign(family, p.seed, F.col("item"), F.col("user_key"))
     return reports.groupBy("item").agg(F.round(F.lit(debias(p.eps, kind)) * F.sum(value), 4).alias("est"))
 
@@ -62,12 +72,13 @@ def linear_sign(index: Column, col: Column, col_sign: Column) -> Column:
     return had_sign(index + 1, col) * col_sign
 
 
-def partitioned_reports(pop: DataFrame, p: Params, eps: float | None = None, phase: int = 1, keep: tuple[str, ...] = ()) -> DataFrame:
-    """(subset, col, z): a report times the user's column sign, which the server can take off right away."""
+def partitioned_reports(pop: DataFrame, p: Params, eps: float | None = None, phase: int = 1, keep: tuple[str, ...] = (), ledger: Ledger | None = None) -> DataFrame:
+    """(subset, col, y): a report times the user's column sign, which the server can take off right away."""
+    (ledger or Ledger.of(p)).spend("item", eps or p.eps)
     d = draws(p.seed, F.col("user_key"), subsets=p.R, columns=2 * p.T)
     own = pop.withColumns({"subset": d["subset"], "col": d["col"], "col_sign": d["col_sign"]})
     z = linear_sign(cell_of(p.seed, F.col("subset"), F.col("item"), p.T), F.col("col"), F.col("col_sign"))
-    y = randomised(z, eps or p.eps, coin(phase, F.col("user_key"), p.coin_key))
+    y = randomised(z, eps or p.eps, coin(phase, F.col("user_key"), p.coins))
     return own.select(*keep, "subset", "col", (y * F.col("col_sign")).alias("y"))
 
 
@@ -84,14 +95,14 @@ def partitioned_sums(table: DataFrame, items: DataFrame, p: Params, mode: str =
         cells = fwht_groups(table, ["subset"], "col", 2 * p.T)
         return each.join(cells, ["subset", "cell"], "left").select("item", "subset", F.coalesce("v", F.lit(0)).alias("v"))
     value = F.col("y" if mode == "direct" else "s").cast("long")
-    sums = table.join(F.broadcast(each), "subset").groupBy("item", "subset").agg(F.sum(value * had_sign(F.col("cell"), F.col("col"))).alias("v"))
+    sums = table.join(each, "subset").groupBy("item", "subset").agg(F.sum(value * had_sign(F.col("cell"), F.col("col"))).alias("v"))
     return each.select("item", "subset").join(sums, ["item", "subset"], "left").select("item", "subset", F.coalesce("v", F.lit(0)).alias("v"))
 
 
-def partitioned_estimates(pop: DataFrame, items: DataFrame, p: Params, mode: str = "transform", eps: float | None = None, phase: int = 1) -> DataFrame:
+def partitioned_estimates(pop: DataFrame, items: DataFrame, p: Params, mode: str = "transform", eps: float | None = None, phase: int = 1, ledger: Ledger | None = None) -> DataFrame:
     """(item, est): R times the median over the subsets."""
     eps = eps or p.eps
-    reports = partitioned_reports(pop, p, eps, phase)
+    reports = partitioned_reports(pop, p, eps, phase, ledger=ledger)
     table = reports if mode == "direct" else partitioned_counters(reports)
     sums = partitioned_sums(table, items.select("item"), p, mode)
     return sums.groupBy("item").agg(F.round(F.lit(p.R * debias(eps)) * F.median("v"), 4).alias("est"))

@@ -14,12 +14,12 @@ from pyspark.sql import functions as F
 
 from ldp_hist.functions import codes, hadamard, hashing
 from ldp_hist.functions.encoding import SIX_LETTERS, HashEncoding, TextEncoding, integers
-from ldp_hist.functions.randomizers import debias, keep_probability, privacy_loss, randomised
-from ldp_hist.functions.randomness import assign, coin, limit
+from ldp_hist.functions.randomizers import debias, randomised
+from ldp_hist.functions.randomness import assign, coin
 from ldp_hist.operators import baselines, hashed_bits, histogram, measures, prefix_tree, sign_matrix_oracle, sketch_oracle
-from ldp_hist.plans import cost, duck, privacy
-from ldp_hist.plans.params import LN3, TINY, WORDS_SF001, Params
-from ldp_hist.sources.populations import POPULATIONS, line_key, table
+from ldp_hist.plans import cost, dispatch, duck, privacy
+from ldp_hist.plans.params import LN3, TINY, WORDS_SF001, Params, cells_for, experiment, partitioned_small, theory_tree
+from ldp_hist.sources.populations import POPULATIONS, line_key, sampled, table
 from ldp_hist.streaming import counters as windows
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -145,7 +145,7 @@ def flags(eps: float, kind: str = "binary") -> tuple[str, Callable]:
 
     def run(s, d):
         pop = population(s, d, "toxic").select(F.col("user_key").cast("long").alias("doc_id"), (2 * F.col("item").cast("int") - 1).alias("x"), "user_key")
-        return pop.select("doc_id", "x", randomised(F.col("x"), eps, coin(1, F.col("user_key"), 42), kind).alias("z"))
+        return pop.select("doc_id", "x", randomised(F.col("x"), eps, coin(1, F.col("user_key"), P.coins), kind).alias("z"))
 
     return sql, run
 
@@ -230,15 +230,31 @@ SELECT pair, cell, sum(s * {duck.had('row_', 'cell')})::BIGINT AS v FROM cnt, ra
 query("sketch_mean_combine", f"WITH {duck.dictionary_ctes('flag', P)} SELECT item, round({duck.num(P.t * debias(P.eps))} * (sum(v)::DOUBLE / {P.t}), 4) AS est FROM sums GROUP BY item")(
     lambda s, d: (lambda x: sketch_oracle.dictionary_frequencies(x, x.select("item").distinct(), P, combine="mean"))(population(s, d, "flag")))
 
-_W16 = P.but(m=16)
-_RC = duck.sl(duck.dig("coin1", 42, "user_key || '.' || cell"), 1, 13)
-query("sketch_uncompressed_status", f"""WITH pop AS MATERIALIZED (SELECT o_orderkey::VARCHAR AS user_key, o_orderstatus AS item FROM orders),
-x AS (SELECT *, {duck.sl('hd', 1, 8)} % 16 AS h, {duck.sgn('hd', 9)} AS g FROM (SELECT *, {duck.dig('pair', 42, 'pair', 'item')} AS hd FROM ({duck.own(_W16)}))),
-y AS (SELECT pair, cell, CASE WHEN cell = h THEN (CASE WHEN c < {limit(keep_probability(P.eps))} THEN g ELSE -g END) WHEN c < {1 << 51} THEN 1 ELSE -1 END AS y FROM (SELECT *, {_RC} AS c FROM x, range(16) r(cell))),
+_W16, _STATUS = P.but(m=16), "SELECT o_orderkey::VARCHAR AS user_key, o_orderstatus AS item FROM orders"
+
+
+def whole_row_sql(source: str, p: Params) -> str:
+    hd, blocks = duck.dig("pair", 42, "pair", "item"), f"range({max(1, p.m // 256)}) k(block), range({min(256, p.m)}) r(spot)"
+    return f"""(WITH pop AS MATERIALIZED ({source}),
+x AS MATERIALIZED (SELECT user_key, pair, {duck.sl('hd', 1, 8)} % {p.m} AS h, {duck.flip(duck.sgn('hd', 9), p.eps, 1)} AS said FROM (SELECT *, {hd} AS hd FROM ({duck.own(p)}))),
+y AS (SELECT pair, block * 256 + spot AS cell, CASE WHEN block * 256 + spot = h THEN said ELSE 1 - 2 * (({duck.sl('row_d', '(spot // 4 + 1)::INT', 1)} >> (spot % 4)::INT) & 1) END AS y
+  FROM (SELECT *, {duck.dig('row', 42, 'user_key', 'block')} AS row_d FROM x, {blocks})),
 v AS (SELECT pair, cell, sum(y)::BIGINT AS v FROM y GROUP BY ALL),
-q AS (SELECT item, pair, {duck.sl('hd', 1, 8)} % 16 AS cell, {duck.sgn('hd', 9)} AS g FROM (SELECT *, {duck.dig('pair', 42, 'pair', 'item')} AS hd FROM (SELECT DISTINCT item, i AS pair FROM pop, range({P.t}) r(i))))
-SELECT item, round({duck.num(P.t * debias(P.eps))} * median(g * coalesce(v, 0)), 4) AS est FROM q LEFT JOIN v USING (pair, cell) GROUP BY item""")(
-    lambda s, d: (lambda x: sketch_oracle.whole_row_estimates(x, x.select("item").distinct(), _W16))(table(s, d, "orders").select(F.col("o_orderkey").cast("string").alias("user_key"), F.col("o_orderstatus").alias("item"))))
+q AS (SELECT item, pair, {duck.sl('hd', 1, 8)} % {p.m} AS cell, {duck.sgn('hd', 9)} AS g FROM (SELECT *, {hd} AS hd FROM (SELECT DISTINCT item, i AS pair FROM pop, range({p.t}) r(i))))
+SELECT item, round({duck.num(p.t * debias(p.eps))} * median(g * coalesce(v, 0)), 4) AS est FROM q LEFT JOIN v USING (pair, cell) GROUP BY item)"""
+
+
+def statuses(s: SparkSession, d: str) -> DataFrame:
+    return table(s, d, "orders").select(F.col("o_orderkey").cast("string").alias("user_key"), F.col("o_orderstatus").alias("item"))
+
+
+query("sketch_uncompressed_status", f"SELECT * FROM {whole_row_sql(_STATUS, _W16)}")(lambda s, d: (lambda x: sketch_oracle.whole_row_estimates(x, x.select("item").distinct(), _W16))(statuses(s, d)))
+
+duck.POPS["status_orders"] = _STATUS
+_WIDE = P.but(t=285, m=128)
+query("compression_compare", f"""SELECT c.item, c.f, c.est AS compressed, w.est AS uncompressed FROM ({duck.dictionary('status_orders', _WIDE)}) c JOIN {whole_row_sql(_STATUS, _WIDE)} w USING (item)""")(
+    lambda s, d: (lambda x: with_truth(x, sketch_oracle.dictionary_frequencies(x, x.select("item").distinct(), _WIDE)).withColumnRenamed("est", "compressed")
+                  .join(sketch_oracle.whole_row_estimates(x, x.select("item").distinct(), _WIDE).withColumnRenamed("est", "uncompressed"), "item"))(statuses(s, d)))
 
 # --- sign-matrix and partitioned oracles ----------------------------------------------------------------------------
 
@@ -361,8 +377,8 @@ query("hashed_bits_cells", f"WITH {_CELLS} SELECT cell, bit, value FROM best")(
     lambda s, d: hashed_bits.warm_up_cells(flag_codes(s, d), P, FLAG_BITS).select("cell", "bit", "value"))
 
 
-def found_sql(ctes: str, word: str, decode: str, floor: bool = False) -> str:
-    final = duck.partitioned_ctes("SELECT user_key, code::VARCHAR AS item FROM pop", P, P.eps / 2, 2, items="SELECT DISTINCT code::VARCHAR AS item FROM words")
+def found_sql(ctes: str, word: str, decode: str, floor: bool = False, p: Params = P) -> str:
+    final = duck.partitioned_ctes("SELECT user_key, code::VARCHAR AS item FROM pop", p, p.eps / 2, 2, items="SELECT DISTINCT code::VARCHAR AS item FROM words")
     where = " WHERE est > sqrt((SELECT count(*) FROM pop))" if floor else ""
     return f"WITH {ctes}, words AS ({word}), {final} SELECT item::BIGINT AS code, {decode} AS item, est FROM (SELECT item, item::BIGINT AS code, est FROM pest){where}"
 
@@ -374,32 +390,77 @@ query("hashed_bits_repeat", found_sql(duck.bit_ctes("flagcode", P, "item::BIGINT
     lambda s, d: hashed_bits.warm_up(flag_codes(s, d), P, FLAG_BITS, repeats=3).select("code", letter(F.col("code")).alias("item"), "est"))
 
 
-def votes(width: int) -> str:
-    third = f"(bit % {width})"
-    return f"""SELECT rep, cell, sum(vote::BIGINT << ({width - 1} - b)::INT)::BIGINT AS code FROM (
-  SELECT rep, cell, {third} AS b, CASE WHEN sum(value) >= 2 THEN 1 ELSE 0 END AS vote FROM best GROUP BY ALL) GROUP BY rep, cell HAVING count(*) = {width}"""
+def votes(width: int, repeats: int = 1, T: int = P.T) -> str:
+    """Messages by majority of the copies of each bit that were read; a word of which no bit was read has none."""
+    return f"""SELECT rep, cell, sum((vote > 0)::BIGINT << ({width - 1} - b)::INT)::BIGINT AS code FROM (
+  SELECT g.rep, g.cell, b, coalesce(sum(2 * value - 1), 0) AS vote, count(value) AS known FROM (SELECT rep, cell, b FROM range({repeats}) r(rep), range({T}) c(cell), range({width}) w(b)) g
+  LEFT JOIN best ON best.rep = g.rep AND best.cell = g.cell AND best.bit % {width} = g.b GROUP BY ALL) GROUP BY rep, cell HAVING sum(known) > 0"""
 
 
-query("coded_bits_returnflag_repeat3", found_sql(duck.bit_ctes("flagcode", P, "item::BIGINT", "(code >> (4 - bit % 5)::INT) & 1", 15, 3, 3), votes(5), "chr((code + 65)::INT)", True))(
+_P4 = P.but(eps=4.0)
+query("coded_bits_returnflag_repeat3", found_sql(duck.bit_ctes("flagcode", P, "item::BIGINT", "(code >> (4 - bit % 5)::INT) & 1", 15, 3, 3), votes(5, 3), "chr((code + 65)::INT)", True))(
     lambda s, d: hashed_bits.coded(flag_codes(s, d), P, FLAG_BITS, "repeat3").select("code", letter(F.col("code")).alias("item"), "est"))
-query("coded_bits_lang_repeat3", found_sql(duck.bit_ctes("lang", P.but(eps=4.0), duck.text_code("item", 2), "(code >> (9 - bit % 10)::INT) & 1", 30, 1, 1), votes(10), duck.text_decode("code", 2), True)
-      .replace(duck.num(P.R * debias(1.0)), duck.num(P.R * debias(2.0))).replace(f"< {limit(keep_probability(1.0))}", f"< {limit(keep_probability(2.0))}"))(
-    lambda s, d: hashed_bits.coded(population(s, d, "lang"), P.but(eps=4.0), TWO_LETTERS, "repeat3", 1, 1).select("code", "item", "est"))
+query("coded_bits_lang_repeat3", found_sql(duck.bit_ctes("lang", _P4, duck.text_code("item", 2), "(code >> (9 - bit % 10)::INT) & 1", 30, 1, 1), votes(10), duck.text_decode("code", 2), True, _P4))(
+    lambda s, d: hashed_bits.coded(population(s, d, "lang"), _P4, TWO_LETTERS, "repeat3", 1, 1).select("code", "item", "est"))
+query("coded_bits_uncoded", found_sql(_CELLS, votes(5), "chr((code + 65)::INT)"))(
+    lambda s, d: hashed_bits.coded(flag_codes(s, d), P, FLAG_BITS, "none", 1, 1, floor="none").select("code", letter(F.col("code")).alias("item"), "est"))
+query("assisted_bits_returnflag", found_sql(duck.bit_ctes("flagcode", P, "item::BIGINT", "(code >> (4 - bit % 5)::INT) & 1", 15), votes(5), "chr((code + 65)::INT)"))(
+    lambda s, d: hashed_bits.assisted_warm_up(flag_codes(s, d), P, FLAG_BITS).select("code", letter(F.col("code")).alias("item"), "est"))
+
+
+def words_read(name: str, pop: str, p: Params, encoding, code: str, kind: str, repeats: int, inner: int) -> None:
+    """The words read off all cells under a code, -1 for bits that nobody was dealt to."""
+    c = codes.Code(kind, encoding.width)
+    bit = f"bit_count(code & list_extract({c.masks()}, (bit + 1)::INT)) % 2"
+    sql = f"""WITH {duck.bit_ctes(pop, p, code, bit, c.length, repeats, inner)}
+SELECT g.rep::INT AS rep, g.cell, string_agg(coalesce(value, -1)::VARCHAR, ' ' ORDER BY g.bit) AS word FROM (SELECT rep, cell, bit FROM range({repeats}) r(rep), range({p.T}) c(cell), range({c.length}) b(bit)) g
+LEFT JOIN best ON best.rep = g.rep AND best.cell = g.cell AND best.bit = g.bit GROUP BY ALL"""
+    query(name, sql)(lambda s, d: hashed_bits.coded_words(population(s, d, pop), p, encoding, c, repeats, inner).select("rep", "cell", F.array_join(F.transform("word", lambda x: x.cast("string")), " ").alias("word")))
+
+
+_T16 = _P4.but(T=16)
+words_read("coded_words_lang", "lang", _T16, TWO_LETTERS, duck.text_code("item", 2), "concat", 3, 3)
+words_read("coded_words_six_letters", "word6", _T16, SIX_LETTERS, duck.text_code("item", 6), "concat", 3, 3)
 
 
 @query("coded_bits_returnflag")
 def _(s, d):
-    return hashed_bits.coded(flag_codes(s, d), P.but(eps=4.0), FLAG_BITS, "concat", 1, 1).select("code", letter(F.col("code")).alias("item"), "est")
+    return hashed_bits.coded(flag_codes(s, d), _P4, FLAG_BITS, "concat", 1, 1).select("code", letter(F.col("code")).alias("item"), "est")
 
 
 @query("coded_bits_lang")
 def _(s, d):
-    return hashed_bits.coded(population(s, d, "lang"), P.but(eps=8.0, T=16), TWO_LETTERS, "concat", 1, 1).select("code", "item", "est")
+    return hashed_bits.coded(population(s, d, "lang"), _T16.but(eps=8.0), TWO_LETTERS, "concat", 3, 3).select("code", "item", "est")
 
 
-@query("coded_bits_uncoded")
+@query("coded_bits_six_letters")
 def _(s, d):
-    return hashed_bits.coded(flag_codes(s, d), P, FLAG_BITS, "none", 1, 1, floor="none").select("code", letter(F.col("code")).alias("item"), "est")
+    return hashed_bits.coded(population(s, d, "word6"), _T16.but(eps=8.0), SIX_LETTERS, "concat", 3, 3).select("code", "item", "est")
+
+
+_SIMPLE, _FULL = ORACLES["hashed_bits_returnflag"], ORACLES["coded_bits_returnflag_repeat3"]
+query("simple_against_full", f"SELECT coalesce(s.item, f.item) AS item, s.est AS simple, f.est AS full_form FROM ({_SIMPLE}) s FULL JOIN ({_FULL}) f ON s.item = f.item")(
+    lambda s, d: QUERIES["hashed_bits_returnflag"](s, d).select("item", F.col("est").alias("simple")).join(QUERIES["coded_bits_returnflag_repeat3"](s, d).select("item", F.col("est").alias("full_form")), "item", "full"))
+
+# The 25 nations as users and their region as the item: few enough for a cell of their own for every pair of users.
+_NATIONS, _REGION = 25, integers(3)
+duck.POPS["region"] = "SELECT n_nationkey::VARCHAR AS user_key, n_regionkey::VARCHAR AS item FROM nation"
+_REGIMES = [(kind, cells_for(_NATIONS, kind), 3 if kind == "sqrt" else 1) for kind in ("sqrt", "n", "n2")]
+
+
+def regions(s: SparkSession, d: str) -> DataFrame:
+    return table(s, d, "nation").select(F.col("n_nationkey").cast("string").alias("user_key"), F.col("n_regionkey").cast("string").alias("item"))
+
+
+def region_sql(T: int, repeats: int, final_T: int) -> str:
+    word = "SELECT rep, cell, sum(value::BIGINT << (2 - bit))::BIGINT AS code FROM best GROUP BY ALL"
+    return found_sql(duck.bit_ctes("region", _P4.but(T=T), "item::BIGINT", "(code >> (2 - bit)) & 1", 3, repeats), word, "code::VARCHAR", p=_P4.but(T=final_T))
+
+
+query("collision_regimes", " UNION ALL ".join(f"SELECT '{kind}' AS regime, {T}::INT AS cells, code, est FROM ({region_sql(T, repeats, T)})" for kind, T, repeats in _REGIMES))(
+    lambda s, d: _union([hashed_bits.regime(regions(s, d), _P4, _REGION, kind, _NATIONS, repeats).select(F.lit(kind).alias("regime"), F.lit(T).alias("cells"), "code", "est") for kind, T, repeats in _REGIMES]))
+query("predecessor_discovery", f"SELECT code, est FROM ({region_sql(cells_for(_NATIONS, 'n2'), 1, P.T)})")(
+    lambda s, d: hashed_bits.discover_predecessor(regions(s, d), _P4, _REGION, _NATIONS).select("code", "est"))
 
 
 @query("code_roundtrip")
@@ -419,28 +480,60 @@ def _(s, d):
 
 # --- other baselines ------------------------------------------------------------------------------------------------------
 
-_BEL = math.floor(baselines.bloom_flip(math.log(3)) * (1 << 16))
+_BEL, _BLOCKS = math.floor(baselines.bloom_flip(LN3.eps) * (1 << 16)), -(-baselines.BITS // 16)
 _BSET = [f"{duck.sl(duck.dig('bloom', 42, 'cohort', str(i), 'item'), 1, 8)} % {baselines.BITS}" for i in range(baselines.HASHES)]
-query("bloom_report_counts", f"""WITH x AS MATERIALIZED (SELECT cohort, d, {', '.join(f'{b} AS p{i}' for i, b in enumerate(_BSET))} FROM
-  (SELECT item, ({duck.sl(duck.dig('coh', 42, 'user_key'), 1, 8)} % {baselines.COHORTS})::INT AS cohort, {duck.dig('flip', 42, 'user_key')} AS d FROM ({duck.POPS['word6']})))
-SELECT cohort, bit::INT AS bit, sum(((p0 = bit OR p1 = bit) <> (('0x' || substr(d, (1 + 4 * bit)::INT, 4))::BIGINT < {_BEL}))::INT)::BIGINT AS s, count(*)::BIGINT AS n FROM x, range({baselines.BITS}) r(bit) GROUP BY cohort, bit""")(
-    lambda s, d: baselines.bloom_reports(population(s, d, "word6"), math.log(3)))
 
 
-@query("bloom_decode")
-def _(s, d):
-    x = population(s, d, "word6")
-    items = histogram.top_k(baselines.exact_frequencies(x).withColumnRenamed("f", "est"), 64).select("item")
-    return baselines.bloom_decode(baselines.bloom_reports(x, math.log(3)), items, math.log(3))
+def bloom_sql(pop: str) -> str:
+    flips = ", ".join(f"{duck.dig('flip', 42, str(k), 'user_key')} AS d{k}" for k in range(_BLOCKS))
+    digit = "CASE " + " ".join(f"WHEN bit < {16 * k + 16} THEN d{k}" for k in range(_BLOCKS)) + " END"
+    flipped = f"({duck.sl('(' + digit + ')', '(1 + 4 * (bit % 16))::INT', 4)} < {_BEL})"
+    return f"""WITH x AS MATERIALIZED (SELECT cohort, {', '.join(f'd{k}' for k in range(_BLOCKS))}, {', '.join(f'{b} AS p{i}' for i, b in enumerate(_BSET))} FROM
+  (SELECT item, ({duck.sl(duck.dig('coh', 42, 'user_key'), 1, 8)} % {baselines.COHORTS})::INT AS cohort, {flips} FROM ({duck.POPS[pop]})))
+SELECT cohort, bit::INT AS bit, sum(((p0 = bit OR p1 = bit) <> {flipped})::INT)::BIGINT AS s, count(*)::BIGINT AS n FROM x, range({baselines.BITS}) r(bit) GROUP BY cohort, bit"""
+
+
+def bloom_decode_sql(pop: str) -> str:
+    k = baselines.bloom_constants(LN3.eps)
+    places = ", ".join(f"({b})::INT" for b in _BSET)
+    return f"""WITH b AS MATERIALIZED ({bloom_sql(pop)}),
+a AS (SELECT item, cohort, unnest(list_distinct([{places}])) AS bit FROM (SELECT DISTINCT item FROM ({duck.POPS[pop]})), range({baselines.COHORTS}) r(cohort)),
+c AS (SELECT a.item, a.cohort, avg((((s - {duck.num(k['q'])} * n) / {duck.num(1 - 2 * k['q'])}) - {duck.num(k['q0'])} * n) / {duck.num(1 - k['q0'])}) AS users, any_value(n) * {duck.num(k['spread'])} / count(*) AS variance
+  FROM a JOIN b ON a.cohort = b.cohort AND a.bit = b.bit GROUP BY a.item, a.cohort)
+SELECT item, CASE WHEN sum(users) >= 3 * sqrt(sum(variance)) THEN round(sum(users), 4) ELSE 0 END::DOUBLE AS est FROM c GROUP BY item"""
+
+
+query("bloom_report_counts", bloom_sql("word6"))(lambda s, d: baselines.bloom_reports(population(s, d, "word6"), LN3))
+query("bloom_decode", bloom_decode_sql("word6"))(lambda s, d: (lambda x: baselines.bloom_decode(baselines.bloom_reports(x, LN3), x.select("item").distinct(), LN3))(population(s, d, "word6")))
 
 
-@query("baseline_ln3")
+@query("bloom_refined")
 def _(s, d):
-    x = population(s, d, "word6")
-    top = histogram.top_k(baselines.exact_frequencies(x).withColumnRenamed("f", "est"), 64).select("item", F.col("est").alias("f"), "rank")
-    ours = sketch_oracle.dictionary_frequencies(x, top, LN3.but(t=31, m=1024)).select("item", F.col("est").alias("sketch"))
-    bloom = baselines.bloom_decode(baselines.bloom_reports(x, LN3.eps), top, LN3.eps).select("item", F.col("est").alias("bloom"))
-    return top.join(ours, "item").join(bloom, "item").select("item", "rank", "f", "sketch", "bloom")
+    x = population(s, d, "powerlaw")
+    reports = baselines.bloom_reports(x, LN3).persist()
+    return baselines.bloom_refine(reports, baselines.bloom_decode(reports, x.select("item").distinct(), LN3), LN3)
+
+
+def ln3(s: SparkSession, d: str, pop: str) -> DataFrame:
+    """The whole dictionary, rare items included: f, the sketch's estimate (0 for less) and the Bloom reports'."""
+    x = population(s, d, pop)
+    truth = baselines.exact_frequencies(x).persist()
+    ours = sketch_oracle.dictionary_frequencies(x, truth, LN3).withColumnRenamed("est", "sketch")
+    bloom = baselines.bloom_decode(baselines.bloom_reports(x, LN3), truth, LN3).withColumnRenamed("est", "bloom")
+    return truth.join(ours, "item").join(bloom, "item").select("item", "f", "sketch", "bloom")
+
+
+def ln3_sql(pop: str) -> str:
+    return f"SELECT d.item, d.f, d.est AS sketch, b.est AS bloom FROM ({duck.dictionary(pop, LN3)}) d JOIN ({bloom_decode_sql(pop)}) b USING (item)"
+
+
+query("baseline_ln3", f"SELECT *, (rank() OVER (ORDER BY f DESC))::BIGINT AS rank FROM ({ln3_sql('powerlaw')})")(
+    lambda s, d: (lambda r: r.join(F.broadcast(measures.ranks(r)), "f").select("item", "f", "sketch", "bloom", "rank"))(ln3(s, d, "powerlaw")))
+query("baseline_ln3_by_rank", f"""WITH x AS (SELECT *, floor(log2(rank() OVER (ORDER BY f DESC)))::INT AS band FROM ({ln3_sql('word6')}))
+SELECT band, count(*)::BIGINT AS items, round(avg(f), 4) AS f, round(avg(abs(sketch - f)), 4) AS sketch_error, round(avg(abs(bloom - f)), 4) AS bloom_error, round(avg((bloom = 0)::INT), 6) AS bloom_zero FROM x GROUP BY band""")(
+    lambda s, d: (lambda r: r.join(F.broadcast(measures.ranks(r)), "f").groupBy(F.floor(F.log2("rank")).cast("int").alias("band")).agg(
+        F.count("*").alias("items"), F.round(F.avg("f"), 4).alias("f"), F.round(F.avg(F.abs(F.col("sketch") - F.col("f"))), 4).alias("sketch_error"), F.round(F.avg(F.abs(F.col("bloom") - F.col("f"))), 4).alias("bloom_error"),
+        F.round(F.avg((F.col("bloom") == 0).cast("int")), 6).alias("bloom_zero")))(ln3(s, d, "word6")))
 
 
 _SIZES = [10_000, 1_000_000, 100_000_000]
@@ -449,7 +542,7 @@ y AS (SELECT *, pow(greatest(l, d), 2) AS u FROM x)
 SELECT method, n::BIGINT AS n, round(CASE method WHEN 'tree' THEN n * sqrt(d) WHEN 'hashed_bits' THEN n ELSE n * n * sqrt(n) END, 0) AS server_time,
 round(CASE method WHEN 'predecessor' THEN n ELSE u END, 3) AS user_time,
 round(CASE method WHEN 'tree' THEN sqrt(n) * pow(l, 1.5) * d WHEN 'hashed_bits' THEN sqrt(n) ELSE n * n END, 0) AS server_memory,
-round(CASE method WHEN 'predecessor' THEN 1.0::DOUBLE ELSE 2.0::DOUBLE END, 3) AS communication_bits,
+round(CASE method WHEN 'predecessor' THEN NULL ELSE greatest(l, d) END, 3) AS user_memory, round(CASE method WHEN 'predecessor' THEN 1.0::DOUBLE ELSE 2.0::DOUBLE END, 3) AS communication_bits,
 round(CASE method WHEN 'tree' THEN sqrt(n * l * d) / 2.0::DOUBLE ELSE sqrt(n * d) / 2.0::DOUBLE END, 3) AS error FROM y"""
 query("cost_table", _COST)(lambda s, d: cost.cost_table(s, _SIZES, 30, 2.0))
 query("predecessor_cost", f"SELECT n, server_time AS predecessor_time, tree_time, round(server_time / tree_time, 3) AS ratio FROM (SELECT n, server_time FROM ({_COST}) WHERE method = 'predecessor') JOIN (SELECT n, server_time AS tree_time FROM ({_COST}) WHERE method = 'tree') USING (n)")(
@@ -476,7 +569,17 @@ query("list_error_words", f"SELECT round(max(abs(est - f)), 4) AS list_error, co
 query("precision_recall_words", f"""WITH h AS MATERIALIZED ({ORACLES['tree_hh_words']}), t AS MATERIALIZED ({duck.exact('word6')}), n AS (SELECT 15 * sqrt(sum(f)) AS thr FROM t),
 c AS (SELECT count(*) FILTER (t.f >= thr AND h.item IS NOT NULL) AS tp, count(*) FILTER (coalesce(t.f, 0) < thr AND h.item IS NOT NULL) AS fp, count(*) FILTER (t.f >= thr AND h.item IS NULL) AS fn, any_value(thr) AS thr FROM t FULL JOIN h ON t.item = h.item, n)
 SELECT round(thr, 4) AS thr, tp::BIGINT AS tp, fp::BIGINT AS fp, fn::BIGINT AS fn, round(CASE WHEN tp + fp > 0 THEN tp::DOUBLE / (tp + fp) END, 6) AS precision, round(CASE WHEN tp + fn > 0 THEN tp::DOUBLE / (tp + fn) END, 6) AS recall FROM c""")(
-    lambda s, d: (lambda x: (lambda thr: measures.precision_recall(baselines.exact_frequencies(x), QUERIES["tree_hh_words"](s, d), F.lit(thr)).select(F.round(F.lit(thr), 4).alias("thr"), "tp", "fp", "fn", "precision", "recall"))(prefix_tree.noise_threshold(x.count())))(population(s, d, "word6")))
+    lambda s, d: words_quality(s, d))
+
+
+def words_quality(s: SparkSession, d: str) -> DataFrame:
+    """The population is read twice: for the reports, and for the truth, which has the number of users too."""
+    x = population(s, d, "word6")
+    truth = baselines.exact_frequencies(x).persist()
+    thr = prefix_tree.noise_threshold(truth.agg(F.sum("f")).first()[0] or 0)
+    found = prefix_tree.tree_heavy_hitters(x, WORDS_SF001, SIX_LETTERS, threshold=thr)
+    return measures.precision_recall(truth, found, F.lit(thr)).select(F.round(F.lit(thr), 4).alias("thr"), "tp", "fp", "fn", "precision", "recall")
+
 
 _ETA, _BOUND = 2500.0, 20000.0
 query("guarantee_check", f"""WITH h AS MATERIALIZED ({ORACLES['tree_hh_returnflag']}), t AS ({duck.exact('flag')}), b AS (SELECT coalesce(f, 0) AS f, h.item AS hit, est FROM t FULL JOIN h ON t.item = h.item)
@@ -487,7 +590,7 @@ SELECT count(*) FILTER (f > {3 * _ETA} AND hit IS NULL)::BIGINT AS missing, coun
 def seeded(pop: DataFrame, items: DataFrame, p: Params, seeds: list[int]) -> DataFrame:
     """(seed, item, est): one job for all seeds, the seed being a column."""
     runs = pop.withColumn("seed", F.explode(F.array(*[F.lit(i) for i in seeds])))
-    sums = sketch_oracle.count(sketch_oracle.dictionary_reports(runs, p, seed=F.col("seed")), ["seed", "pair", "row"])
+    sums = sketch_oracle.count(sketch_oracle.dictionary_reports(runs.select("*", F.col("seed").alias("run")), p, seed=F.col("seed"), run=F.col("run")), ["seed", "pair", "row"])
     cells = hadamard.fwht_groups(sums, ["seed", "pair"], "row", p.m)
     asked = items.select("item", F.explode(F.array(*[F.lit(i) for i in seeds])).alias("seed")).select("*", F.explode(F.sequence(F.lit(0), F.lit(p.t - 1))).alias("pair"))
     h, g = hashing.bucket_hash(F.col("seed"), F.col("pair"), F.col("item"), p.m), hashing.sign_hash(F.col("seed"), F.col("pair"), F.col("item"))
@@ -547,6 +650,154 @@ query("vary_eps", " UNION ALL ".join(f"SELECT {e}::DOUBLE AS eps, * FROM {at_per
 query("vary_width", " UNION ALL ".join(f"SELECT {m}::INT AS width, * FROM {at_percentiles_sql(P.but(m=m))}" for m in WIDTHS))(
     lambda s, d: _union([vary(s, d, P.but(m=m)).select(F.lit(m).alias("width"), "*") for m in WIDTHS]))
 
+# --- the published experiments: 285 pairs, sqrt(n) cells, ten runs ---------------------------------------------------------------
+
+
+def repeated(pop: DataFrame, truth: DataFrame, picks: DataFrame, eps: float, m: int | None = None) -> DataFrame:
+    """Columns of ``picks`` (item, f and a key), share, mean and sd of the estimated share over ``SEEDS``; one job for all runs."""
+    n = truth.agg(F.sum("f")).first()[0] or 0
+    p = experiment(n, eps, public_coins=True)
+    runs = seeded(pop, picks.select("item").distinct(), p if m is None else p.but(m=m), SEEDS)
+    size = float(max(n, 1))
+    stats = runs.groupBy("item").agg(F.round(F.avg(F.col("est") / size), 6).alias("mean"), F.round(F.stddev_samp(F.col("est") / size), 6).alias("sd"))
+    return picks.join(stats, "item").select(*[c for c in picks.columns if c != "f"], F.round(F.col("f") / size, 6).alias("share"), "mean", "sd")
+
+
+def share_of_users(pop: DataFrame, percent: int) -> DataFrame:
+    return pop.where(hashing.hex_slice(hashing.digest("sub", 0, F.col("user_key")), 1, 8) % 100 < percent)
+
+
+def figure(s: SparkSession, d: str, name: str, grid: list, how: Callable) -> DataFrame:
+    """``repeated`` at the percentiles of the power law for every value of ``grid``; ``how`` gives a value's population, eps and cells."""
+    out = []
+    for value in grid:
+        pop, eps, m = how(population(s, d, "powerlaw"), value)
+        truth = baselines.exact_frequencies(pop).persist()
+        out.append(repeated(pop, truth, measures.percentile_items(truth, PCTLES), eps, m).select(F.lit(value).alias(name), "*"))
+    return _union(out)
+
+
+_PICKS = f"""WITH t AS (SELECT item, f, 100.0::DOUBLE * (rank() OVER (ORDER BY f) - 1) / count(*) OVER () AS share FROM f), q AS (SELECT unnest({PCTLES})::DOUBLE AS pctle),
+k AS (SELECT pctle, max(f) AS f FROM t, q WHERE share <= pctle GROUP BY pctle) SELECT pctle, min(item) AS item FROM k JOIN t ON t.f = k.f GROUP BY pctle"""
+_LAW = duck.POPS["powerlaw"]
+query("figure_n", " UNION ALL ".join(f"SELECT {c} AS percent_of_users, * FROM {duck.repeated(f'SELECT * FROM ({_LAW}) WHERE {_SUB}{c}', 2.0, SEEDS, _PICKS, 'pctle')}" for c in SHARES))(
+    lambda s, d: figure(s, d, "percent_of_users", SHARES, lambda x, c: (share_of_users(x, c), 2.0, None)))
+query("figure_eps", " UNION ALL ".join(f"SELECT {e}::DOUBLE AS eps, * FROM {duck.repeated(_LAW, e, SEEDS, _PICKS, 'pctle')}" for e in EPS_GRID))(
+    lambda s, d: figure(s, d, "eps", EPS_GRID, lambda x, e: (x, e, None)))
+query("figure_width", " UNION ALL ".join(f"SELECT {m}::INT AS width, * FROM {duck.repeated(_LAW, 2.0, SEEDS, _PICKS, 'pctle', m=m)}" for m in WIDTHS[:4]))(
+    lambda s, d: figure(s, d, "width", WIDTHS[:4], lambda x, m: (x, 2.0, m)))
+
+#: Draws with replacement from the corpus (the published run makes ten million).
+DRAWS = 100_000
+_DRAWN = f"""SELECT x.user_key, l.item FROM (SELECT id::VARCHAR AS user_key, {duck.sl(duck.dig('draw', 0, 'id'), 1, 13)} % (SELECT count(*) FROM ({duck.POPS['words']})) AS at FROM range({DRAWS}) r(id)) x
+ASOF JOIN (SELECT item, sum(f) OVER (ORDER BY item) - f AS low FROM ({duck.exact('words')})) l ON x.at >= l.low"""
+_RANKED = f"SELECT rank, item FROM (SELECT row_number() OVER (ORDER BY f DESC, item)::BIGINT AS rank, item FROM f) WHERE rank IN {tuple(RANKS)}"
+
+
+def corpus_figure(s: SparkSession, d: str) -> DataFrame:
+    drawn = sampled(population(s, d, "words"), DRAWS).persist()
+    truth = baselines.exact_frequencies(drawn).persist()
+    picks = measures.rank_items(truth, RANKS).persist()
+    return _union([repeated(drawn, truth, picks, e).select(F.lit(e).alias("eps"), "*") for e in EPS_GRID])
+
+
+query("figure_corpus_eps", " UNION ALL ".join(f"SELECT {e}::DOUBLE AS eps, * FROM {duck.repeated(_DRAWN, e, SEEDS, _RANKED, 'rank')}" for e in EPS_GRID))(corpus_figure)
+query("corpus_draws", f"SELECT item, count(*)::BIGINT AS f FROM ({_DRAWN}) GROUP BY item")(lambda s, d: baselines.exact_frequencies(sampled(population(s, d, "words"), DRAWS)))
+
+_T31 = P.but(t=31, m=256)
+
+
+def runs_quality(s: SparkSession, d: str, pop: str) -> DataFrame:
+    """Mean and deviation of precision and recall over ten walks at the published budget and threshold."""
+    x = population(s, d, pop)
+    truth = baselines.exact_frequencies(x).persist()
+    runs = prefix_tree.tree_runs(x, _T31, SIX_LETTERS, SEEDS)
+    return measures.run_quality(truth, runs, prefix_tree.noise_threshold(truth.agg(F.sum("f")).first()[0] or 0), SEEDS)
+
+
+for _name, _pop in (("heavy_hitter_runs_words", "word6"), ("heavy_hitter_runs_powerlaw", "powerlaw6")):
+    query(_name, duck.run_quality(duck.tree_runs(_pop, _T31, duck.text_code("item", 6), 6, 5, 27, 15.0, SEEDS), duck.text_decode("code", 6), 15.0))(lambda s, d, pop=_pop: runs_quality(s, d, pop))
+
+query("true_powerlaw_bins", f"SELECT item, f, round(f / sum(f) OVER ()::DOUBLE, 6) AS share FROM ({duck.exact('powerlaw')})")(
+    lambda s, d: (lambda t: t.join(F.broadcast(t.agg(F.sum("f").alias("n")))).select("item", "f", F.round(F.col("f") / F.col("n"), 6).alias("share")))(baselines.exact_frequencies(population(s, d, "powerlaw"))))
+query("brute_force_against_tree", f"WITH t AS ({ORACLES['tree_node_queries']}) SELECT queried AS tree_queries, {27**6}::BIGINT AS all_strings, {26**6}::BIGINT AS all_words FROM t WHERE level IS NULL")(
+    lambda s, d: QUERIES["tree_node_queries"](s, d).where("level IS NULL").select(F.col("queried").alias("tree_queries"), F.lit(27**6).alias("all_strings"), F.lit(26**6).alias("all_words")))
+
+# --- guarantees and good events, measured ------------------------------------------------------------------------------------------
+
+_ENUM = "SELECT i::VARCHAR AS item FROM range(32) r(i)"
+query("enumerate_without_dictionary", f"WITH pop AS MATERIALIZED ({duck.POPS['flagcode']}), {duck.partitioned_ctes('SELECT * FROM pop', P, P.eps, items=_ENUM)} SELECT item, est FROM pest")(
+    lambda s, d: sign_matrix_oracle.full_histogram(flag_codes(s, d), dispatch.all_items(s, FLAG_BITS), P))
+
+# The analysis' parameters for 50 queries to 60,000 users, whatever the table has.
+_SMALL = partitioned_small(60_000, 50, 0.05, 1.0)
+_PA = P.but(eps=1.0, R=int(_SMALL["R"]), T=int(_SMALL["T"]))
+query("partitioned_theory_quantity", f"""WITH pop AS MATERIALIZED ({duck.POPS['quantity']}), {duck.partitioned_ctes('SELECT * FROM pop', _PA, _PA.eps)},
+e AS (SELECT abs(f - est) AS error FROM (SELECT item, count(*) AS f FROM pop GROUP BY item) JOIN pest USING (item))
+SELECT round(max(error), 4) AS max_error, {round(_SMALL['error'], 4)}::DOUBLE AS bound, max(error) <= {round(_SMALL['error'], 4)} AS within FROM e""")(
+    lambda s, d: (lambda x: with_truth(x, sign_matrix_oracle.partitioned_estimates(x, x.select("item").distinct(), _PA)))(population(s, d, "quantity")).agg(
+        F.round(F.max(F.abs(F.col("f") - F.col("est"))), 4).alias("max_error"), F.lit(round(_SMALL["error"], 4)).alias("bound"), (F.max(F.abs(F.col("f") - F.col("est"))) <= round(_SMALL["error"], 4)).alias("within")))
+
+
+def theory_check(s: SparkSession, d: str) -> DataFrame:
+    """The tree's guarantee with the analysis' own threshold and bound: both are above n here, which is what makes it vacuous."""
+    truth = baselines.exact_frequencies(population(s, d, "flag")).persist()
+    n = truth.agg(F.sum("f")).first()[0] or 0
+    theory = theory_tree(n, 5, 2.0)
+    found = measures.check_guarantee(truth, QUERIES["tree_hh_returnflag"](s, d), theory["eta"], theory["list_error"])
+    return found.select(F.lit(n).cast("long").alias("n"), F.round(F.lit(theory["eta"]), 2).alias("eta"), F.round(F.lit(theory["list_error"]), 2).alias("bound"), "missing", "within_bound", F.lit(3 * theory["eta"] > n).alias("vacuous"))
+
+
+query("guarantee_theory", f"""WITH h AS MATERIALIZED ({ORACLES['tree_hh_returnflag']}), t AS ({duck.exact('flag')}), n AS (SELECT sum(f)::BIGINT AS n FROM t),
+c AS (SELECT n, 147 * sqrt(n * ln(n / 0.05::DOUBLE) * 5) / 2 AS eta, 147 * sqrt(n * ln(n / 0.05::DOUBLE)) / 2 AS bound FROM n),
+b AS (SELECT coalesce(f, 0) AS f, h.item AS hit, est FROM t FULL JOIN h ON t.item = h.item)
+SELECT any_value(n) AS n, round(any_value(eta), 2) AS eta, round(any_value(bound), 2) AS bound, count(*) FILTER (f > 3 * eta AND hit IS NULL)::BIGINT AS missing, coalesce(round(max(abs(est - f)), 4), 0) <= any_value(bound) AS within_bound, any_value(3 * eta > n) AS vacuous FROM b, c""")(theory_check)
+
+
+def pair_events(s: SparkSession, d: str) -> DataFrame:
+    x = population(s, d, "quantity")
+    truth = baselines.exact_frequencies(x).persist()
+    own = assign(x, P.seed, t=P.t).select("item", "pair")
+    cands = truth.select("item", F.col("item").alias("x"))
+    sums = sketch_oracle.signed_sums(sketch_oracle.count(sketch_oracle.dictionary_reports(x, P), ["pair", "row"]), cands, P)
+    return measures.good_pairs(own, sums, truth, P, float(P.t))
+
+
+_UNIT = f"sqrt(n * {float(P.t)}::DOUBLE)"
+query("good_pairs_quantity", f"""WITH {duck.dictionary_ctes('quantity', P)}, t AS (SELECT item, count(*)::BIGINT AS f FROM pop GROUP BY item), n AS (SELECT count(*) AS n FROM pop),
+mine AS MATERIALIZED (SELECT item, pair, count(*) AS k FROM ({duck.own(P)}) GROUP BY ALL), users AS (SELECT pair, sum(k) AS users FROM mine GROUP BY pair),
+cells AS (SELECT pair, h, sum(k * g) AS c FROM mine JOIN places USING (item, pair) GROUP BY ALL),
+x AS (SELECT p.item, f, n, {P.t} * coalesce(k, 0) AS held, {P.t} * coalesce(users, 0) AS scaled, {P.t} * p.g * coalesce(c, 0) AS sketched, {duck.num(P.t * debias(P.eps))} * v AS est
+  FROM places p JOIN sums USING (item, pair) JOIN t USING (item) LEFT JOIN mine USING (item, pair) LEFT JOIN users USING (pair) LEFT JOIN cells ON cells.pair = p.pair AND cells.h = p.h, n)
+SELECT item, count(*) FILTER (abs(held - f) <= 4 * {_UNIT} AND scaled BETWEEN n / 2.0 AND 2 * n)::BIGINT AS g1, count(*) FILTER (abs(sketched - f) <= 8 * {_UNIT})::BIGINT AS g2, count(*) FILTER (abs(est - f) <= 14 / 2.0::DOUBLE * {_UNIT})::BIGINT AS g3 FROM x GROUP BY item""")(pair_events)
+
+
+def subset_events(s: SparkSession, d: str) -> DataFrame:
+    own = assign(population(s, d, "nation"), P.seed, subsets=P.R)
+    return measures.good_subsets(own.select("item", "subset", F.array(*[sign_matrix_oracle.cell_of(P.seed, F.lit(r), F.col("item"), P.T) for r in range(P.R)]).alias("cells")), P.R, P.T)
+
+
+query("good_subsets_nation", f"""WITH pop AS MATERIALIZED ({duck.POPS['nation']}), n AS (SELECT count(*) AS n FROM pop), mine AS MATERIALIZED (SELECT item, subset, count(*) AS k FROM ({duck.own(P)}) GROUP BY ALL),
+t AS (SELECT item, count(*) AS f FROM pop GROUP BY item), e AS MATERIALIZED (SELECT item, f, subset, {_PCELL} AS cell FROM t, range({P.R}) r(subset)),
+w AS (SELECT subset, cell, sum(f) AS total FROM e GROUP BY ALL), h AS (SELECT e.subset, e.cell, sum(k) AS here FROM e JOIN mine USING (item, subset) GROUP BY ALL), z AS (SELECT subset, sum(k) AS users FROM mine GROUP BY subset)
+SELECT item, count(*) FILTER (total - f <= 16 * n / {P.T}::DOUBLE)::BIGINT AS collisions, count(*) FILTER (coalesce(users, 0) BETWEEN n / {2 * P.R}::DOUBLE AND 2 * n / {P.R}::DOUBLE)::BIGINT AS sizes,
+count(*) FILTER (abs({P.R} * coalesce(here, 0) - total) <= sqrt(8 * {P.R} * n))::BIGINT AS sampling FROM e JOIN w USING (subset, cell) LEFT JOIN h USING (subset, cell) LEFT JOIN z USING (subset), n GROUP BY item""")(subset_events)
+
+
+def held_cells(s: SparkSession, d: str) -> DataFrame:
+    """Counters that the server holds, next to the model's number of them."""
+    x = population(s, d, "quantity")
+    tables = {
+        "tree": (sketch_oracle.count(sketch_oracle.tree_reports(x, P, integers(6)), ["level", "pair", "row"], "y1"), P.t * P.m * 6),
+        "sketch": (sketch_oracle.count(sketch_oracle.dictionary_reports(x, P), ["pair", "row"]), P.t * P.m),
+        "partitioned": (sign_matrix_oracle.partitioned_counters(sign_matrix_oracle.partitioned_reports(x, P)), 2 * P.R * P.T),
+    }
+    return _union([t.agg(F.count("*").alias("held")).select(F.lit(k).alias("method"), "held", F.lit(model).cast("long").alias("model")) for k, (t, model) in tables.items()])
+
+
+query("server_memory_counted", f"""WITH pop AS MATERIALIZED ({duck.POPS['quantity']}) SELECT 'tree' AS method, count(DISTINCT (level, pair, row_))::BIGINT AS held, {P.t * P.m * 6}::BIGINT AS model FROM ({duck.own(P, L=6)})
+UNION ALL SELECT 'sketch', count(DISTINCT (pair, row_))::BIGINT, {P.t * P.m}::BIGINT FROM ({duck.own(P)}) UNION ALL SELECT 'partitioned', count(DISTINCT (subset, col))::BIGINT, {2 * P.R * P.T}::BIGINT FROM ({duck.own(P)})""")(held_cells)
+
 # --- surrounding operators ------------------------------------------------------------------------------------------------------
 
 query("bounded_events_per_user", "SELECT user_id, arg_max(event_type, (ts, event_id)) AS event_type FROM events GROUP BY user_id")(
@@ -614,3 +865,25 @@ def hourly(s: SparkSession, d: str) -> DataFrame:
 query("asof_histogram", """WITH p AS (SELECT date_trunc('hour', ts) + INTERVAL 1 HOUR AS pts, event_type AS item, count(*)::DOUBLE AS est FROM events GROUP BY ALL)
 SELECT e.event_id, e.event_type AS item, p.est FROM events e ASOF LEFT JOIN p ON e.event_type = p.item AND e.ts >= p.pts""")(
     lambda s, d: histogram.as_of(table(s, d, "events").select("event_id", "ts", F.col("event_type").alias("item")), hourly(s, d)))
+
+
+_HOURLY = "SELECT date_trunc('hour', ts) + INTERVAL 1 HOUR AS ts, event_type AS item, count(*)::DOUBLE AS est FROM events GROUP BY ALL"
+query("estimate_drift", f"SELECT item, ts, est, est - lag(est) OVER (PARTITION BY item ORDER BY ts) AS change FROM ({_HOURLY})")(lambda s, d: histogram.drift(hourly(s, d)))
+query("moving_day", f"SELECT item, ts, est, sum(est) OVER (PARTITION BY item ORDER BY epoch(ts)::BIGINT RANGE BETWEEN 86399 PRECEDING AND CURRENT ROW) AS recent FROM ({_HOURLY})")(lambda s, d: histogram.moving_counts(hourly(s, d), 24))
+query("cumulative_share_quantity", f"""SELECT row_number() OVER (ORDER BY est DESC, item)::INT AS rank, item, est, round(sum(est) OVER (ORDER BY est DESC, item ROWS UNBOUNDED PRECEDING) / sum(est) OVER (), 6) AS share FROM ({ORACLES['sketch_freq_quantity']})""")(
+    lambda s, d: histogram.cumulative_share(QUERIES["sketch_freq_quantity"](s, d).select("item", "est")))
+query("merged_truth_words", f"SELECT t.item, t.f, coalesce(h.est, 0)::DOUBLE AS est FROM ({duck.exact('word6')}) t LEFT JOIN (SELECT item, est FROM ({ORACLES['tree_hh_words']})) h USING (item)")(
+    lambda s, d: (lambda x: histogram.merged_truth(baselines.exact_frequencies(x), prefix_tree.tree_heavy_hitters(x, WORDS_SF001, SIX_LETTERS).select("item", "est")).where("f > 0"))(population(s, d, "word6")))
+
+
+def price_bands(s: SparkSession, d: str) -> DataFrame:
+    """Orders by a public dictionary of price bands of growing width, then the frequencies of the bands."""
+    bands = s.createDataFrame([(float(a), float(b), f"{a}-{b}") for a, b in _BANDS], "low double, high double, name string")
+    priced = table(s, d, "orders").select(F.col("o_orderkey").cast("string").alias("user_key"), F.col("o_totalprice").alias("value"))
+    pop = histogram.range_join(priced, bands, 10_000.0).select("user_key", F.col("name").alias("item"))
+    return with_truth(pop, sketch_oracle.dictionary_frequencies(pop, bands.select(F.col("name").alias("item")), P))
+
+
+_BANDS = [(0, 10_000), (10_000, 25_000), (25_000, 60_000), (60_000, 150_000), (150_000, 400_000), (400_000, 1_000_000)]
+duck.POPS["bands"] = "SELECT o_orderkey::VARCHAR AS user_key, CASE " + " ".join(f"WHEN o_totalprice >= {a} AND o_totalprice < {b} THEN '{a}-{b}'" for a, b in _BANDS) + " END AS item FROM orders"
+query("price_band_range_join", duck.dictionary("bands", P))(price_bands)

@@ -12,9 +12,9 @@ METHODS = ("tree", "hashed_bits", "predecessor")
 
 
 def cost_table(spark: SparkSession, sizes: list[int], log_d: int, eps: float) -> DataFrame:
-    """method, n, server_time, user_time, server_memory, communication_bits, error; rounded.
+    """method, n, server_time, user_time, server_memory, user_memory, communication_bits, error; rounded.
 
-    The earlier protocol's row is the one with public randomness for its users' time.
+    The earlier protocol's row is the one with public randomness for its users' time; their memory isn't published.
     """
     rows = spark.createDataFrame([(m, n) for m in METHODS for n in sizes], "method string, n long")
     log_n, d = F.log2("n"), F.lit(float(log_d))
@@ -30,6 +30,7 @@ def cost_table(spark: SparkSession, sizes: list[int], log_d: int, eps: float) ->
         pick(n * F.sqrt(d), n, n * n * root, "server_time", 0),
         pick(longest, longest, n, "user_time"),
         pick(root * F.pow(log_n, F.lit(1.5)) * d, root, n * n, "server_memory", 0),
+        pick(F.greatest(log_n, d), F.greatest(log_n, d), F.lit(None).cast("double"), "user_memory"),
         pick(F.lit(2.0), F.lit(2.0), F.lit(1.0), "communication_bits"),
         pick(F.sqrt(n * log_n * d) / eps, F.sqrt(n * d) / eps, F.sqrt(n * d) / eps, "error"),
     )

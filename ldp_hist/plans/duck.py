@@ -31,8 +31,8 @@ def num(x: float) -> str:
     return f"CAST('{x!r}' AS DOUBLE)"
 
 
-def flip(x: str, eps: float, phase: int, user: str = "user_key", key="'42'", kind: str = "binary") -> str:
-    d = dig(f"coin{phase}", key, user)
+def flip(x: str, eps: float, phase: int, user: str = "user_key", key="'42'", kind: str = "binary", run: str | None = None) -> str:
+    d = dig(f"coin{phase}", key, *([run] if run else []), user)
     return f"(CASE WHEN {sl(d, 1, 13)} < {limit(keep_probability(eps, kind))} THEN 1 ELSE -1 END * ({x}))"
 
 
@@ -83,7 +83,7 @@ def dictionary_ctes(pop: str, p: Params, where: str = "TRUE", seeds: str | None
     """CTEs pop, rep, cnt, items, sums, est (item, est), by seed if ``seeds`` is given."""
     s, by, col = (f"'{p.seed}'", "", "") if not seeds else ("seed::VARCHAR", "seed, ", "seed,")
     source = f"SELECT * FROM ({POPS[pop]}) WHERE {where}" if not seeds else f"SELECT * FROM ({POPS[pop]}), (SELECT unnest({seeds}) AS seed)"
-    y = flip(f"{sgn('hd', 9)} * {had('row_', f'{sl("hd", 1, 8)} % {p.m}')}", p.eps, 1, key=s if seeds else "'42'")
+    y = flip(f"{sgn('hd', 9)} * {had('row_', f'{sl("hd", 1, 8)} % {p.m}')}", p.eps, 1, run=s if seeds else None)
     join = "c.pair = pl.pair" + (" AND c.seed = pl.seed" if seeds else "")
     return f"""pop AS MATERIALIZED ({source}),
 rep AS (SELECT {by}pair, row_, {y} AS y FROM (SELECT *, {dig('pair', s, 'pair', 'item')} AS hd FROM ({own(p, s)}))),
@@ -159,3 +159,58 @@ bsum AS (SELECT q.rep, q.bit, q.sub, q.x, coalesce(sum(c.s * {had('q.x + 1', 'c.
   FROM (SELECT rep, bit, u.i AS sub, x.i AS x FROM seen, range({inner}) u(i), range({2 * p.T}) x(i)) q LEFT JOIN bcnt c ON c.rep = q.rep AND c.bit = q.bit AND c.sub = q.sub GROUP BY ALL),
 bmed AS (SELECT rep, bit, (x // 2)::BIGINT AS cell, x % 2 AS b, median(v) AS est FROM bsum GROUP BY ALL),
 best AS MATERIALIZED (SELECT rep, cell, bit, CASE WHEN max(est) FILTER (b = 1) > max(est) FILTER (b = 0) THEN 1 ELSE 0 END AS value, abs(max(est) FILTER (b = 1) - max(est) FILTER (b = 0)) AS weight FROM bmed GROUP BY ALL)"""
+
+
+def experiment_ctes(source: str, eps: float, seeds: list[int], picks: str, t: int = 285, m: int | None = None) -> str:
+    """CTEs pop, mm (m, n), f (item, f), picks, est (seed, item, est): repeated runs of the known-dictionary oracle, with m
+    the power of two above sqrt(n) unless given. ``picks`` is SQL over f whose rows name the items that are asked for."""
+    s = "seed::VARCHAR"
+    y = flip(f"{sgn('hd', 9)} * {had('row_', f'{sl("hd", 1, 8)} % m')}", eps, 1, run=s)
+    cells = str(m) if m else "(2 ** ceil(log2(greatest(1, sqrt(count(*))))))::BIGINT"
+    return f"""pop AS MATERIALIZED ({source}), mm AS MATERIALIZED (SELECT {cells} AS m, count(*) AS n FROM pop),
+f AS MATERIALIZED (SELECT item, count(*)::BIGINT AS f FROM pop GROUP BY item), picks AS MATERIALIZED ({picks}),
+own AS (SELECT seed, user_key, item, m, ({sl('d', 9, 8)} % {t})::INT AS pair, {sl('d', 17, 8)} % m AS row_ FROM
+  (SELECT *, {dig('pub', s, 'user_key')} AS d FROM pop, mm, (SELECT unnest({seeds}) AS seed))),
+cnt AS MATERIALIZED (SELECT seed, pair, row_, sum({y})::BIGINT AS s FROM (SELECT *, {dig('pair', s, 'pair', 'item')} AS hd FROM own) GROUP BY ALL),
+places AS MATERIALIZED (SELECT seed, item, pair, {sl('hd', 1, 8)} % m AS h, {sgn('hd', 9)} AS g FROM
+  (SELECT *, {dig('pair', s, 'pair', 'item')} AS hd FROM (SELECT DISTINCT item FROM picks), mm, range({t}) r(pair), (SELECT unnest({seeds}) AS seed))),
+sums AS (SELECT q.seed, q.item, q.pair, coalesce(sum(c.s * q.g * {had('c.row_', 'q.h')}), 0)::BIGINT AS v FROM places q LEFT JOIN cnt c ON c.seed = q.seed AND c.pair = q.pair GROUP BY ALL),
+est AS (SELECT seed, item, round({num(t * debias(eps))} * median(v), 4) AS est FROM sums GROUP BY ALL)"""
+
+
+def repeated(source: str, eps: float, seeds: list[int], picks: str, key: str, **how) -> str:
+    return f"""(WITH {experiment_ctes(source, eps, seeds, picks, **how)}
+SELECT p.{key}, p.item, round(any_value(f.f) / any_value(n)::DOUBLE, 6) AS share, round(avg(est / n::DOUBLE), 6) AS mean, round(stddev_samp(est / n::DOUBLE), 6) AS sd
+FROM picks p JOIN f USING (item) JOIN est e ON e.item = p.item, mm GROUP BY p.{key}, p.item)"""
+
+
+def tree_runs(pop: str, p: Params, code: str, levels: int, bits: int, symbols: int, factor: float, seeds: list[int]) -> str:
+    """CTEs pop, n, hist (seed, code, est): one walk a seed."""
+    s, a = "seed::VARCHAR", debias(p.eps / 2)
+    hashed = [f"{dig('pair', s, 'pair', x)}" for x in (f"concat_ws('.', level, (code >> ({bits} * ({levels} - level))::INT))", f"concat_ws('.', {levels}, code)")]
+    ys = [flip(f"{sgn(h, 9)} * {had('row_', f'{sl(h, 1, 8)} % {p.m}')}", p.eps / 2, i + 1, run=s) for i, h in enumerate(("h1", "h2"))]
+    out = [f"pop AS MATERIALIZED ({POPS[pop]})", "n AS MATERIALIZED (SELECT count(*) AS n FROM pop)", f"seeds AS MATERIALIZED (SELECT unnest({seeds}) AS seed)",
+           f"""rep AS MATERIALIZED (SELECT seed, level, pair, row_, sum({ys[0]})::BIGINT AS s1, sum({ys[1]})::BIGINT AS s2 FROM (SELECT *, {hashed[0]} AS h1, {hashed[1]} AS h2 FROM
+  (SELECT *, ({code})::BIGINT AS code, {draws(p, L=levels)} FROM (SELECT *, {dig('pub', s, 'user_key')} AS d FROM pop, seeds))) GROUP BY seed, level, pair, row_)""",
+           "c2 AS MATERIALIZED (SELECT seed, pair, row_, sum(s2)::BIGINT AS s FROM rep GROUP BY ALL)", "k0 AS (SELECT seed, 0::BIGINT AS prefix FROM seeds)"]
+
+    def estimates(cands: str, level: int, table: str, scale: float, col: str) -> str:
+        hd = dig("pair", s, "pair", f"'{level}.' || {col}")
+        return f"""SELECT seed, {col}, round({num(scale)} * median(v), 4) AS est FROM (
+  SELECT q.seed, q.{col}, q.pair, coalesce(sum(c.s * q.g * {had('c.row_', 'q.h')}), 0)::BIGINT AS v FROM (
+    SELECT seed, {col}, pair, {sl('hd', 1, 8)} % {p.m} AS h, {sgn('hd', 9)} AS g FROM (SELECT *, {hd} AS hd FROM (SELECT seed, {col}, r.i AS pair FROM ({cands}), range({p.t}) r(i)))) q
+  LEFT JOIN {table} c ON c.pair = q.pair AND c.seed = q.seed GROUP BY ALL) GROUP BY seed, {col}"""
+
+    for level in range(1, levels + 1):
+        cands = f"SELECT k.seed, (k.prefix << {bits}) + x.i AS prefix FROM k{level - 1} k, range({symbols}) x(i)"
+        out.append(f"e{level} AS MATERIALIZED ({estimates(cands, level, f'(SELECT seed, pair, row_, s1 AS s FROM rep WHERE level = {level})', p.t * levels * a, 'prefix')})")
+        out.append(f"k{level} AS MATERIALIZED (SELECT seed, prefix FROM e{level}, n WHERE est >= {num(factor)} * sqrt(n))")
+    out.append(f"hist AS MATERIALIZED ({estimates(f'SELECT seed, prefix AS code FROM k{levels}', levels, 'c2', p.t * a, 'code')})")
+    return ",\n".join(out)
+
+
+def run_quality(ctes: str, decode: str, factor: float) -> str:
+    return f"""WITH {ctes}, t AS MATERIALIZED (SELECT item, count(*)::BIGINT AS f FROM pop GROUP BY item), due AS (SELECT item FROM t, n WHERE f >= {num(factor)} * sqrt(n)),
+hit AS (SELECT h.seed, count(*) AS listed, count(d.item) AS hit FROM (SELECT seed, {decode} AS item FROM hist) h LEFT JOIN due d USING (item) GROUP BY h.seed),
+q AS (SELECT CASE WHEN listed > 0 THEN hit::DOUBLE / listed END AS precision, CASE WHEN (SELECT count(*) FROM due) > 0 THEN coalesce(hit, 0)::DOUBLE / (SELECT count(*) FROM due) END AS recall FROM seeds LEFT JOIN hit USING (seed))
+SELECT count(*)::BIGINT AS runs, round(avg(precision), 6) AS precision, round(stddev_samp(precision), 6) AS precision_sd, round(avg(recall), 6) AS recall, round(stddev_samp(recall), 6) AS recall_sd FROM q"""

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import logging
 import math
 from dataclasses import dataclass, replace
 
@@ -11,9 +12,18 @@ def pow2(x: float) -> int:
     return 1 << max(0, math.ceil(math.log2(max(1.0, x))))
 
 
+#: The coin key of test runs; both engines know it.
+PUBLIC_COINS = 42
+
+
 @dataclass(frozen=True)
 class Params:
-    """eps: the whole budget of a user; t hash pairs of m cells; R subsets of T cells; public and coin seeds."""
+    """eps: the whole budget of a user; t hash pairs of m cells; R subsets of T cells; the public seed.
+
+    ``coin_key`` is the secret that the users' coins are drawn with. There is no default: without it no report is made, unless
+    ``public_coins`` says that the run is a test whose coins anybody can throw again, which has no privacy.
+    ``strict`` turns preconditions of the analysis that don't hold into errors.
+    """
 
     eps: float = 2.0
     t: int = 15
@@ -21,27 +31,39 @@ class Params:
     R: int = 15
     T: int = 64
     seed: int = 42
-    coin_key: int | str = 42
+    coin_key: int | str | None = None
+    public_coins: bool = False
+    strict: bool = False
 
     def __post_init__(self):
         if self.eps <= 0:
             raise ValueError("eps has to be positive")
         if self.m & (self.m - 1) or self.T & (self.T - 1):
             raise ValueError("m and T have to be powers of two; see pow2")
+        if self.coin_key is not None and (self.public_coins or str(self.coin_key) == str(self.seed)):
+            raise ValueError("the coin key has to be a secret, not the public seed or public coins")
+
+    @property
+    def coins(self) -> int | str:
+        """What coins are drawn with."""
+        if self.coin_key is None and not self.public_coins:
+            raise ValueError("a secret coin_key is needed (public_coins=True is for tests only)")
+        return PUBLIC_COINS if self.coin_key is None else self.coin_key
 
     def but(self, **changes) -> Params:
         return replace(self, **changes)
 
 
-TINY = Params()
-WORDS_SF001 = Params(eps=4.0, t=31, m=1024)
-WORDS_SF01 = Params(eps=2.0, t=99, m=2048)
-LN3 = Params(eps=math.log(3))
+# Settings of the query catalogue, whose coins are public so that DuckDB can throw them too.
+TINY = Params(public_coins=True)
+WORDS_SF001 = TINY.but(eps=4.0, t=31, m=1024)
+WORDS_SF01 = TINY.but(t=99, m=2048)
+LN3 = TINY.but(eps=math.log(3))
 
 
-def experiment(n: int, eps: float = 2.0) -> Params:
+def experiment(n: int, eps: float = 2.0, **coins) -> Params:
     """The experiment's setting: 285 pairs of about sqrt(n) cells."""
-    return Params(eps=eps, t=285, m=pow2(math.sqrt(n)))
+    return Params(eps=eps, t=285, m=pow2(math.sqrt(n)), **coins)
 
 
 def theory_tree(n: int, log_d: int, eps: float, beta: float = 0.05) -> dict[str, float]:
@@ -114,6 +136,16 @@ def check(method: str, n: int, p: Params, log_d: int = 1, beta: float = 0.05) ->
     return broken
 
 
+def note(method: str, n: int, p: Params, log_d: int = 1, beta: float = 0.05) -> list[str]:
+    """``check``, called by the protocols: broken preconditions are logged, or raised if the run is ``strict``."""
+    broken = check(method, n, p, log_d, beta)
+    if broken and p.strict:
+        raise ValueError(f"{method}: {'; '.join(broken)} does not hold")
+    if broken:
+        logging.getLogger("ldp_hist").info("%s, n=%d: not guaranteed by the analysis: %s", method, n, "; ".join(broken))
+    return broken
+
+
 def suggest_pairs(n: int, levels: int = 1) -> int:
     """An odd number of pairs small enough that the median is not a choice among a few multiples of the scale."""
     t = int(math.sqrt(n / levels) / 8)

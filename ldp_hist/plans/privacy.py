@@ -7,6 +7,7 @@ from itertools import product
 
 from ldp_hist.functions.codes import Code
 from ldp_hist.functions.randomizers import keep_probability
+from ldp_hist.plans.params import Params
 
 
 def max_log_ratio(distributions: list[dict]) -> float:
@@ -50,6 +51,12 @@ class Ledger:
             raise ValueError(f"{what} would exceed the budget of {self.total}")
         self.spent.append((what, eps))
 
+    @classmethod
+    def of(cls, p: Params) -> Ledger:
+        """A user's budget in a run; asks for the coins, so that a run without a key ends here."""
+        p.coins  # noqa: B018
+        return cls(p.eps, secret_coins=p.coin_key is not None)
+
     @property
     def loss(self) -> float:
         """Infinite with public coins, which anybody can replay."""

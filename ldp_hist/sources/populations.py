@@ -91,31 +91,41 @@ def powerlaw_rows(spark: SparkSession, n: int, partitions: int | None = None) ->
     return spark.range(0, n, 1, partitions).select(F.col("id").cast("string").alias("user_key")).select("user_key", power_bin(F.col("user_key")).cast("string").alias("item"))
 
 
-def powerlaw6(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Bins as letter strings: eight letters drawn for each bin, cut to six."""
+def bin_words(spark: SparkSession) -> DataFrame:
+    """(item, word): a letter string for each of the ``BINS`` bins, eight letters drawn and cut to six."""
     d = digest("word", 0, F.col("item"))
     eight = F.concat(*[F.substring(F.lit(LETTERS), (hex_slice(d, 1 + 2 * i, 2) % 26 + 1).cast("int"), F.lit(1)) for i in range(8)])
-    return powerlaw(spark, sf_dir).select("user_key", SIX_LETTERS.fit(eight).alias("item"))
+    return spark.range(BINS).select(F.col("id").cast("string").alias("item")).select("item", SIX_LETTERS.fit(eight).alias("word"))
+
+
+def powerlaw6(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bins as letter strings; the table of bins, a hundred rows, is what is sent around."""
+    return powerlaw(spark, sf_dir).join(F.broadcast(bin_words(spark)), "item").select("user_key", F.col("word").alias("item"))
+
+
+#: Items of a dictionary that are put in order by one task, when draws are laid out.
+LOT = 100_000
 
 
 def sampled(pop: DataFrame, n: int, seed: int = 0) -> DataFrame:
-    """``n`` draws with replacement: every draw names a row number by its hash.
+    """``n`` draws of an item with replacement, each by the hash of its number.
 
-    Row numbers come from counts by partition of the key's hash; no global sort.
+    Items are laid out along a line, each as long as it is frequent, and a draw is a point on it. The line is cut into
+    cells that points and items are dealt to, so a frequent item lies in many cells and no task has it all.
     """
     spark = pop.sparkSession
-    blocks = 256
-    block = F.pmod(F.xxhash64("user_key"), F.lit(blocks)).cast("int")
-    numbered = pop.withColumn("block", block).withColumn("nth", F.row_number().over(Window.partitionBy("block").orderBy("user_key")) - 1)
-    counts = dict(pop.groupBy(block.alias("block")).count().collect())
-    start, starts = 0, {}
-    for b in range(blocks):
-        starts[b] = start
-        start += counts.get(b, 0)
-    places = F.create_map(*[F.lit(x) for kv in starts.items() for x in kv])
-    rows = numbered.select((F.element_at(places, F.col("block")) + F.col("nth")).cast("long").alias("number"), "item")
-    picks = spark.range(n).select(F.col("id").cast("string").alias("user_key"), (hex_slice(digest("draw", seed, F.col("id")), 1, 13) % max(start, 1)).alias("number"))
-    return picks.join(rows, "number").select("user_key", "item")
+    freq = pop.groupBy("item").agg(F.count("*").alias("f"))
+    items, total = freq.agg(F.count("*"), F.sum("f")).first()
+    lots, length = 1 + (items or 0) // LOT, total or 0
+    dealt = freq.withColumn("lot", F.pmod(F.xxhash64("item"), F.lit(lots)).cast("int"))
+    sizes = dealt.groupBy("lot").agg(F.sum("f").alias("k"))
+    starts = sizes.select("lot", F.coalesce(F.sum("k").over(Window.orderBy("lot").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("start"))
+    end = F.sum("f").over(Window.partitionBy("lot").orderBy("item").rowsBetween(Window.unboundedPreceding, 0))
+    line = dealt.withColumn("end", end).join(starts, "lot").select("item", (F.col("start") + F.col("end") - F.col("f")).alias("low"), (F.col("start") + F.col("end")).alias("high"))
+    width = max(1, length // 4096)
+    cells = line.select("item", "low", "high", F.explode(F.sequence(F.floor(F.col("low") / width), F.floor((F.col("high") - 1) / width))).alias("cell"))
+    picks = spark.range(n).select(F.col("id").cast("string").alias("user_key"), (hex_slice(digest("draw", seed, F.col("id")), 1, 13) % max(length, 1)).alias("at"))
+    return picks.withColumn("cell", F.floor(F.col("at") / width)).join(cells, "cell").where("at >= low AND at < high").select("user_key", "item")
 
 
 def signbits(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -103,3 +103,24 @@ def test_hash_families(spark):
     for name in ("a", "p"):
         counts = np.bincount([r[name] for r in xs], minlength=16)
         assert counts.min() > 60 and counts.max() < 200
+
+
+def test_erasures():
+    """Against the nearest code word over what is known, for words with both erasures and wrong bits."""
+    code, rng = codes.Code("concat", 5), random.Random(4)
+    words = np.array([code.encode(m) for m in range(32)])
+    for _ in range(200):
+        message = rng.randrange(32)
+        word = code.encode(message).astype(np.int8)
+        places = rng.sample(range(code.length), 10)
+        word[places[:6]] = -1  # half as bad as a wrong bit each: 6/2 + 4 is within what is corrected
+        word[places[6:]] ^= 1
+        assert code.decode(word) == message
+        known = word >= 0
+        assert np.count_nonzero((words[message] != word) & known) == min(np.count_nonzero((w != word) & known) for w in words)
+    for kind in ("none", "repeat3", "concat"):
+        assert codes.Code(kind, 5).decode(np.full(codes.Code(kind, 5).length, -1)) is None
+    repeat = codes.Code("repeat3", 4)
+    word = repeat.encode(11).astype(np.int8)
+    word[[0, 4, 5]] = -1
+    assert repeat.decode(word) == 11 and codes.Code("none", 4).decode(np.array([1, -1, 1, 1])) == 11

@@ -10,14 +10,22 @@ from pyspark.sql import functions as F
 from ldp_hist.functions.encoding import SIX_LETTERS, integers
 from ldp_hist.operators import baselines, hashed_bits, histogram, measures, prefix_tree, sign_matrix_oracle, sketch_oracle
 from ldp_hist.plans import catalogue, dispatch, sql_surface
-from ldp_hist.plans.params import Params
+from ldp_hist.functions import codes
+from ldp_hist.plans.params import LN3, Params
 from ldp_hist.sources import populations, sinks
 from ldp_hist.streaming import counters
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 PARITY = ["exact_words_top100", "word_percentiles", "word_ranks", "hash_pairs", "hadamard_matrix", "user_assignment", "prefixes_words", "sketch_reports", "sketch_freq_returnflag", "sketch_uncompressed_status",
-          "signmatrix_families", "partitioned_freq_segment", "tree_candidates_event", "hashed_bits_cells", "coded_bits_returnflag_repeat3", "bloom_report_counts", "privacy_ratio", "cost_table", "session_counters", "asof_histogram", "vary_width"]
+          "signmatrix_families", "partitioned_freq_segment", "tree_candidates_event", "hashed_bits_cells", "coded_bits_returnflag_repeat3", "bloom_report_counts", "privacy_ratio", "cost_table", "session_counters", "asof_histogram", "vary_width",
+          "coded_words_lang", "coded_bits_uncoded", "assisted_bits_returnflag", "collision_regimes", "predecessor_discovery", "bloom_decode", "figure_n", "corpus_draws", "heavy_hitter_runs_powerlaw", "good_pairs_quantity",
+          "good_subsets_nation", "enumerate_without_dictionary", "guarantee_theory", "estimate_drift", "moving_day", "price_band_range_join", "compression_compare", "tree_trace_lang"]
+
+
+def open_params(**how):
+    """Parameters of a run whose coins are public."""
+    return Params(public_coins=True, **how)
 
 
 def rows(df):
@@ -41,7 +49,7 @@ def people(spark, counts):
 
 
 def test_equal_forms(spark):
-    pop, p = people(spark, {"a": 300, "b": 50, "c": 5}), Params(t=4, m=16, R=6, T=16)
+    pop, p = people(spark, {"a": 300, "b": 50, "c": 5}), open_params(t=4, m=16, R=6, T=16)
     items = pop.select("item").distinct()
     forms = [rows(sketch_oracle.dictionary_frequencies(pop, items, p, mode=m)) for m in ("direct", "counters", "transform")]
     assert forms[0] == forms[1] == forms[2]
@@ -52,7 +60,7 @@ def test_equal_forms(spark):
 def test_unbiased_with_the_predicted_spread(spark):
     n, heavy = 6000, 2400
     pop = people(spark, {"h": heavy, **{f"x{i}": 400 for i in range(9)}})
-    p = Params(eps=2.0, t=15, m=64)
+    p = open_params(eps=2.0, t=15, m=64)
     got = {(r["seed"], r["item"]): r["est"] for r in catalogue.seeded(pop, pop.select("item").distinct(), p, list(range(10))).collect()}
     sd = 1.25 * (math.exp(2) + 1) / (math.exp(2) - 1) * math.sqrt(n)
     values = np.array([got[s, "h"] for s in range(10)])
@@ -63,23 +71,23 @@ def test_unbiased_with_the_predicted_spread(spark):
 
 def test_bound_of_the_plain_oracle(spark):
     pop = people(spark, {"a": 700, "b": 300})
-    est = {r["item"]: r["est"] for r in sign_matrix_oracle.plain_estimates(pop, pop.select("item").distinct(), Params(eps=1.0)).collect()}
+    est = {r["item"]: r["est"] for r in sign_matrix_oracle.plain_estimates(pop, pop.select("item").distinct(), open_params(eps=1.0)).collect()}
     assert abs(est["a"] - 700) <= 3 * math.sqrt(1000 * math.log(8 / 0.05)) and abs(est["b"] - 300) <= 3 * math.sqrt(1000 * math.log(8 / 0.05))
 
 
 def test_methods_find_the_same_heavy_items(spark):
-    pop, p, e = people(spark, {"9": 9000, "20": 7000, "3": 100}), Params(eps=4.0, t=15, m=64, T=64), integers(5)
+    pop, p, e = people(spark, {"9": 9000, "20": 7000, "3": 100}), open_params(eps=4.0, t=15, m=64, T=64), integers(5)
     tree = {r["item"] for r in prefix_tree.tree_heavy_hitters(pop, p, e).collect()}
     brute = {r["item"] for r in prefix_tree.brute_force(pop, p, integers(5, 5)).collect()}
     warm = {r["item"] for r in histogram.top_k(hashed_bits.warm_up(pop, p, e).select("item", "est"), 2).collect()}
     full = {r["item"] for r in histogram.top_k(hashed_bits.coded(pop, p, e, "concat", 1, 1).select("item", "est"), 2).collect()}
     assert tree == brute == warm == full == {"9", "20"}
-    auto = {r["item"] for r in dispatch.histogram(pop, 4.0, e).collect()}
+    auto = {r["item"] for r in dispatch.histogram(pop, 4.0, e, for_tests=True).collect()}
     assert {"9", "20"} <= auto
 
 
 def test_nothing_heavy_and_edges(spark):
-    p = Params(eps=2.0, t=5, m=16, R=5, T=16)
+    p = open_params(eps=2.0, t=5, m=16, R=5, T=16)
     flat = spark.range(3000).selectExpr("cast(id as string) AS user_key", "cast(id % 1000 as string) AS item")
     assert prefix_tree.tree_heavy_hitters(flat, p, integers(10)).count() == 0
     empty = people(spark, {"a": 1}).limit(0)
@@ -96,7 +104,7 @@ def test_nothing_heavy_and_edges(spark):
 
 def test_reports_carry_no_item(spark, tmp_path):
     pop = people(spark, {"abc": 20})
-    reports = sketch_oracle.tree_reports(pop, Params(), SIX_LETTERS)
+    reports = sketch_oracle.tree_reports(pop, open_params(), SIX_LETTERS)
     assert reports.columns == ["level", "pair", "row", "y1", "y2"]
     sinks.write_reports(reports, str(tmp_path / "r"))
     assert rows(sinks.read_reports(spark, str(tmp_path / "r"))) == rows(reports)
@@ -130,15 +138,21 @@ def test_populations(spark):
 
 def test_rare_items_vanish_from_bloom_reports(spark):
     pop = people(spark, {"common": 6000, "rare": 30})
-    est = {r["item"]: r["est"] for r in baselines.bloom_decode(baselines.bloom_reports(pop, math.log(3)), pop.select("item").distinct(), math.log(3)).collect()}
+    reports = baselines.bloom_reports(pop, LN3)
+    found = baselines.bloom_decode(reports, pop.select("item").distinct(), LN3)
+    est = {r["item"]: r["est"] for r in found.collect()}
     assert est["rare"] == 0 and est["common"] > 3000
+    refined = {r["item"]: r["est"] for r in baselines.bloom_refine(reports, found, LN3).collect()}
+    assert set(refined) == {"common"} and abs(refined["common"] - 6000) < 2500
+    with pytest.raises(ValueError):
+        baselines.bloom_refine(reports, found, LN3, limit=0)
 
 
 def test_sql_surface(spark):
     sql_surface.register(spark)
     assert spark.sql("SELECT had_sign(3, 1), binary_rr(1, 2.0, 0)").first()[:] == (-1, 1)
     assert [r[0] for r in spark.sql("SELECT prefix FROM children(1, 5, 3)").collect()] == [32, 33, 34]
-    pop, p = people(spark, {"a": 300, "b": 50}), Params(t=5, m=16)
+    pop, p = people(spark, {"a": 300, "b": 50}), open_params(t=5, m=16)
     items = pop.select("item").distinct()
     from ldp_hist.functions.hadamard import fwht_groups
     from ldp_hist.functions.randomizers import debias
@@ -152,9 +166,9 @@ def test_stream_equals_batch(spark, tmp_path):
     for i in range(3):
         events.where(F.col("event_id") % 3 == i).coalesce(1).write.parquet(str(tmp_path / "in" / f"part{i}"))
     stream = spark.readStream.schema(counters.EVENTS).option("recursiveFileLookup", "true").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
-    counters.stream_counters(stream, Params(), str(tmp_path / "out"), str(tmp_path / "ck"), late="30 days").awaitTermination()
+    counters.stream_counters(stream, open_params(), str(tmp_path / "out"), str(tmp_path / "ck"), late="30 days").awaitTermination()
     got = counters.merged(spark.read.parquet(str(tmp_path / "out")), ["start", "pair", "row"])
-    assert rows(got) == rows(counters.windowed_counters(events, Params()).select("start", "pair", "row", "s"))
+    assert rows(got) == rows(counters.windowed_counters(events, open_params()).select("start", "pair", "row", "s"))
 
 
 def test_stream_budget_and_duplicates(spark, tmp_path):
@@ -165,3 +179,108 @@ def test_stream_budget_and_duplicates(spark, tmp_path):
         q = df.writeStream.format("memory").queryName(name).outputMode("append").trigger(availableNow=True).start()
         q.awaitTermination()
         assert spark.table(name).count() == n
+
+
+def test_coins_come_from_the_key_alone(spark):
+    pop = people(spark, {"a": 300, "b": 100})
+    secret, public = Params(seed=1000, coin_key="secret"), open_params(seed=1000)
+    ys = lambda p, **how: [tuple(r) for r in sketch_oracle.dictionary_reports(pop.coalesce(1).orderBy("user_key"), p, **how).collect()]
+    assert ys(secret) == ys(secret, seed=1000) == ys(secret, seed=F.lit(1000)) != ys(public)
+    assert [r[:2] for r in ys(secret)] == [r[:2] for r in ys(public)]  # the public draws are the same
+    other = ys(secret.but(coin_key="other"))
+    assert 100 < sum(a[2] == b[2] for a, b in zip(ys(secret), other)) < 390
+    for seed in (1000, F.lit(1000)):
+        assert ys(secret, seed=seed) != ys(open_params(seed=1000), seed=seed)
+    assert ys(secret, run=F.lit(1)) != ys(secret, run=F.lit(2))
+    keyed = Params(seed=1000, coin_key="secret")
+    for make in (lambda p: sketch_oracle.tree_reports(pop, p, SIX_LETTERS), lambda p: sign_matrix_oracle.plain_reports(pop, p), lambda p: sign_matrix_oracle.partitioned_reports(pop, p),
+                 lambda p: hashed_bits.warm_up(pop.withColumn("item", F.lit("1")), p, integers(3)), lambda p: baselines.bloom_reports(pop, p), lambda p: dispatch.histogram(pop, 1.0, SIX_LETTERS, coin_key=p.coin_key)):
+        make(keyed)
+        with pytest.raises(ValueError, match="secret"):
+            make(Params())
+    for bad in ({"coin_key": 42}, {"coin_key": "42"}, {"coin_key": "x", "public_coins": True}):
+        with pytest.raises(ValueError):
+            Params(**bad)
+
+
+def test_budgets_and_preconditions_are_checked(spark):
+    pop = people(spark, {"1": 300})
+    with pytest.raises(ValueError, match="budget"):
+        sketch_oracle.dictionary_reports(pop, open_params(eps=1.0), eps=1.5)
+    with pytest.raises(ValueError, match="budget"):
+        sign_matrix_oracle.partitioned_reports(pop, open_params(eps=1.0), eps=1.1)
+    with pytest.raises(ValueError, match="R >= 48"):
+        hashed_bits.coded(pop, open_params(strict=True), integers(5), "repeat3", 1, 1)
+    with pytest.raises(ValueError, match="eps <= 1"):
+        hashed_bits.warm_up(pop, open_params(strict=True), integers(5), n=300)
+
+
+def test_no_word_is_lost(spark):
+    """Three users: nearly all (repetition, bit) groups are empty, and all words come back all the same."""
+    pop = spark.createDataFrame([(f"u{i}", "en") for i in range(3)], "user_key string, item string")
+    code = codes.Code("concat", 10)
+    words = hashed_bits.coded_words(pop, open_params(T=16), catalogue.TWO_LETTERS, code, 3, 3).collect()
+    assert len(words) == 48 and {len(r["word"]) for r in words} == {64}
+    known = {r["rep"]: sum(b >= 0 for b in r["word"]) for r in words}
+    assert 1 <= sum(known.values()) <= 3
+    lang = catalogue.QUERIES["coded_words_lang"](spark, SF).collect()
+    assert len(lang) == 48 and any("-1" in r["word"] for r in lang)
+
+
+def test_a_code_finds_what_single_bits_miss(spark):
+    pop = people(spark, {"21": 4000, "9": 3000})
+    got = {r["item"] for r in hashed_bits.coded(pop, open_params(eps=8.0, T=16), integers(5, 5), "concat", 2, 1).collect()}
+    assert {"21", "9"} <= got
+
+
+def test_regimes_and_their_limit(spark):
+    pop = people(spark, {"1": 12, "4": 13})
+    assert hashed_bits.regime(pop, open_params(eps=4.0), integers(3), "n", 25).count() <= 32
+    with pytest.raises(ValueError, match="regime"):
+        hashed_bits.regime(pop, open_params(eps=4.0), integers(3), "n2", 1000)
+    direct = rows(hashed_bits.discover_predecessor(pop, open_params(eps=4.0), integers(3), 25))
+    assert direct == rows(hashed_bits._final(pop.withColumn("code", F.col("item").cast("long")), hashed_bits.warm_up(pop, open_params(eps=4.0, T=1024), integers(3)).select("code"), open_params(eps=4.0), hashed_bits.Ledger(4.0)).select("code", F.col("code").cast("string").alias("item"), "est"))
+
+
+def test_runs_walk_together(spark):
+    pop = people(spark, {"9": 3000, "20": 2500, "3": 100})
+    runs = prefix_tree.tree_runs(pop, open_params(eps=8.0, t=9, m=64), integers(5, 5), [1, 2, 3], factor=15.0).collect()
+    assert {(r["run"], r["item"]) for r in runs} >= {(s, i) for s in (1, 2, 3) for i in ("9", "20")}
+    assert len({r["est"] for r in runs if r["item"] == "9"}) > 1
+    quality = measures.run_quality(baselines.exact_frequencies(pop), spark.createDataFrame([(1, "9"), (1, "3"), (2, "9"), (2, "20")], "run int, item string"), 1000.0, [1, 2, 3]).first()
+    assert tuple(quality) == (3, 0.75, pytest.approx(0.353553), 0.5, 0.5)
+
+
+def test_draws_follow_the_corpus(spark):
+    pop = people(spark, {"a": 900, "b": 90, "c": 10})
+    got = {r["item"]: r["f"] for r in baselines.exact_frequencies(populations.sampled(pop, 20_000)).collect()}
+    assert sum(got.values()) == 20_000 and abs(got["a"] - 18_000) < 300 and abs(got["b"] - 1_800) < 250 and 100 < got["c"] < 320
+    before = populations.LOT
+    try:
+        populations.LOT = 1
+        again = {r["item"]: r["f"] for r in baselines.exact_frequencies(populations.sampled(pop, 20_000)).collect()}
+    finally:
+        populations.LOT = before
+    assert abs(again["a"] - 18_000) < 300 and sum(again.values()) == 20_000
+    assert populations.sampled(pop.limit(0), 5).count() == 0
+
+
+def test_as_of_across_hours(spark):
+    events = spark.createDataFrame([(i, f"2024-01-01 {h:02d}:30:00", k) for i, (h, k) in enumerate([(0, "a"), (1, "a"), (5, "a"), (5, "b"), (9, "a")])], "event_id long, t string, item string").selectExpr("event_id", "cast(t as timestamp) AS ts", "item")
+    published = spark.createDataFrame([("2024-01-01 01:00:00", "a", 1.0), ("2024-01-01 01:45:00", "a", 2.0), ("2024-01-01 09:30:00", "a", 3.0)], "t string, item string, est double").selectExpr("cast(t as timestamp) AS ts", "item", "est")
+    assert {r["event_id"]: r["est"] for r in histogram.as_of(events, published).collect()} == {0: None, 1: 1.0, 2: 2.0, 3: None, 4: 3.0}
+
+
+def test_range_join_and_merge_join(spark):
+    values = spark.createDataFrame([(str(i), float(i)) for i in range(100)], "user_key string, value double")
+    bands = spark.createDataFrame([(0.0, 10.0, "low"), (10.0, 95.0, "mid")], "low double, high double, name string")
+    got = histogram.range_join(values, bands, 7.0).groupBy("name").count().collect()
+    assert {r["name"]: r["count"] for r in got} == {"low": 10, "mid": 85}
+    truth = baselines.exact_frequencies(people(spark, {"a": 9, "b": 2}))
+    merged = histogram.merged_truth(truth, spark.createDataFrame([("a", 8.0), ("z", 1.0)], "item string, est double"))
+    assert {tuple(r) for r in merged.collect()} == {("a", 9, 8.0), ("b", 2, 0.0), ("z", 0, 1.0)} and "SortMergeJoin" in merged._jdf.queryExecution().toString()
+
+
+def test_approximate_counts(spark):
+    exact, near = (catalogue.QUERIES[n](spark, SF).first() for n in ("distinct_words", "distinct_words_approx"))
+    assert all(abs(near[c] - exact[c]) <= 0.1 * exact[c] for c in ("words", "word6"))

@@ -1,4 +1,8 @@
-"""The corpus pipeline: five operators, each on what the one before it kept."""
+"""The corpus pipeline: five operators, each on what the one before it kept.
+
+Every stage takes and (the last one apart) returns the columns of ``documents``, whatever others there are and whatever their names. All
+stages pass an empty table on as an empty one, look at whole texts of any length, and treat rows that repeat as rows of their own.
+"""
 
 from __future__ import annotations
 
@@ -9,37 +13,46 @@ from ldp_hist.llm import decontaminate, langid, line_dedup, pieces, shared, simh
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents without a letter or that no language accepts; others keep all their columns."""
+    """Drops documents without a letter or that no language accepts; a kept one without a ``lang`` gets the predicted one.
+
+    Null and empty texts have no letter and go; equal texts share a fate. Without a labelled row nothing can be learned, and nothing stays.
+    """
     model = langid.train(docs)
     known = langid.annotate(docs, model).where("accepted")
-    return shared.unpacked(known, docs.columns)
+    return shared.unpacked(known, docs.columns, lang=F.coalesce("row.lang", "lang_pred"))
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of a line of 15 characters or more in ten or more documents only the first occurrence stays."""
+    """Of a line of 15 characters or more in ten or more documents only the first occurrence stays, by id (null first), text hash and position.
+
+    Null texts stay null, and the empty line is too short to go. Rows with the same id and text lose the same lines.
+    """
     return line_dedup.dedup_lines(docs, min_chars=15, min_docs=10, keep_first=True)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of documents alike in 0.8 or more of their five-word shingles, the one with the least id stays."""
-    classes = simhash.near_copies(docs.select("doc_id", "text"))
-    gone = classes.where(~(F.col("doc_id").eqNullSafe(F.col("class_id")) & (F.col("row_key") == F.col("class_key"))))
-    gone = gone.select("doc_id", "row_key").distinct()
-    keyed = shared.packed(docs).withColumns({"own_id": F.col("row.doc_id"), "own_key": F.xxhash64("row.doc_id", "row.text")})
-    left = keyed.join(gone, F.col("own_id").eqNullSafe(F.col("doc_id")) & (F.col("own_key") == F.col("row_key")), "left_anti")
+    """Of documents alike in 0.8 or more of their five-word shingles, or linked by such, the one with the least id stays (null first).
+
+    Of rows with that id the one whose place has the least hash does, so one row of a class is left even where rows repeat. Null texts and texts
+    without a word are one class.
+    """
+    keyed = shared.identified(docs)
+    classes = simhash.near_copies(keyed.select("row.doc_id", "row.text", "row_key"))
+    gone = classes.where(~(F.col("doc_id").eqNullSafe(F.col("class_id")) & (F.col("row_key") == F.col("class_key")))).select("doc_id", F.col("row_key").alias("gone_key"))
+    left = keyed.join(gone, F.col("row.doc_id").eqNullSafe(F.col("doc_id")) & (F.col("row_key") == F.col("gone_key")), "left_anti")
     return shared.unpacked(left, docs.columns)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents that hold a benchmark item."""
+    """Drops documents with a window that is 0.8 or more alike to a benchmark item; null and empty texts have none and stay."""
     benchmark = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
     found = decontaminate.contamination(docs, benchmark)
     return shared.unpacked(found.where(F.size("item_ids") == 0), docs.columns)
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The remaining documents' ids, token counts, and whether decoding gives the text back."""
-    return pieces.encode_documents(docs, carry=["doc_id"])
+    """doc_id, lang, n_tokens, token_ids and round_trip of every document; null and empty texts have no ids."""
+    return pieces.encode_documents(docs, carry=["doc_id", "lang"])
 
 
 STAGES = [

@@ -12,6 +12,7 @@ import shutil
 import tempfile
 import uuid
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -68,6 +69,21 @@ def packed(docs: DataFrame) -> DataFrame:
     return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
 
 
+def identified(docs: DataFrame) -> DataFrame:
+    """``row`` (all columns of ``docs``) and ``row_key``, which tells rows apart that have the same id and text.
+
+    It is a hash of where the row is stored, so every scan gives a row the same one; rows that no file holds are written to one first.
+    """
+    def keyed(df: DataFrame) -> DataFrame:
+        row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
+        return df.select(row, F.xxhash64("_metadata.file_path", "_metadata.row_index").alias("row_key"))
+
+    try:
+        return keyed(docs)
+    except AnalysisException:
+        return keyed(materialise(docs))
+
+
 def unpacked(df: DataFrame, columns: list[str], **replaced: Column) -> DataFrame:
     """The columns of ``row`` again, those named in ``replaced`` with new values."""
     return df.select(*[replaced.get(c, F.col("row").getField(c)).alias(c) for c in columns])
@@ -83,7 +99,7 @@ def connected_components(edges: DataFrame) -> DataFrame:
 
     Alternating star contraction: every round points the larger neighbours of a node, then the smaller
     ones, to the least of its neighbourhood. All rounds are joins and aggregations with map-side
-    combination; the driver sees two numbers a round. Self-loops and repeated edges are allowed.
+    combination; the driver sees two numbers a round. A hub's rows are narrow, and the adaptive join splits them. Self-loops and repeated edges are allowed.
     """
     now = materialise(
         edges.where("u != v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()

@@ -447,9 +447,12 @@ def near_copies(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, radi
     candidates. Only their members' texts are read again, a component becomes a shard, and there the exact
     similarity of the shingle sets decides before a link is made. Equal shingle sets are one node, and a shard
     emits a spanning forest of its links, never its pairs; ``_class_links`` tells how large shards are split.
-    ``row_key`` tells rows apart that share an id.
+    ``row_key`` tells rows apart that share an id; ``docs`` may bring its own. Texts without a word are alike. Null texts count as empty,
+    repeated rows are in one class, null ids come first in the order by which a class is named, other columns are ignored and empty tables
+    give empty results.
     """
-    read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("doc_id", "text").alias("row_key"), "text")
+    key = F.col("row_key") if "row_key" in docs.columns else F.xxhash64("doc_id", "text")
+    read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), key.alias("row_key"), "text")
     schema = "doc_id long, row_key long, fp long, sig binary, bands array<long>, node long"
     found = materialise(read.mapInArrow(_signatures(shingle), schema).withColumn("run", run_of(runs)))
     # Partial sums on the reading side leave one row of a hot node in each partition.

@@ -101,7 +101,13 @@ def warm_up(pop: DataFrame, p: Params, encoding: Encoding, repeats: int = 1, n:
     return _final(coded, codes, p, ledger).select("code", encoding.decode(F.col("code")).alias("item"), "est")
 
 
-def _decoder(code: Code):
+def encoded(message: Column, code: Code) -> Column:
+    """The code word of a message as an array of bits: the code is linear, so a bit is the parity of a mask."""
+    return F.transform(F.array(*[F.lit(m).cast("long") for m in code.masks()]), lambda m: (F.bit_count(message.bitwiseAND(m)) % 2).cast("int"))
+
+
+def decoder(code: Code):
+    """The decoder as a column function over words (arrays of 0, 1 and -1): Arrow batches of aggregated rows, never users."""
     @F.pandas_udf("long")
     def decode(words: Iterator[pd.Series]) -> Iterator[pd.Series]:
         for batch in words:
@@ -126,7 +132,7 @@ def coded_words(pop: DataFrame, p: Params, encoding: Encoding, code: Code, repea
 def decoded(words: DataFrame, code: Code) -> DataFrame:
     """(code): the messages of the words that decode, each once."""
     if code.kind == "concat":
-        found = words.select(_decoder(code)("word").alias("code"))
+        found = words.select(decoder(code)("word").alias("code"))
     else:
         w = code.width
 

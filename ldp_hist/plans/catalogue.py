@@ -17,7 +17,7 @@ from ldp_hist.functions.encoding import SIX_LETTERS, HashEncoding, TextEncoding,
 from ldp_hist.functions.randomizers import debias, randomised
 from ldp_hist.functions.randomness import assign, coin
 from ldp_hist.operators import baselines, hashed_bits, histogram, measures, prefix_tree, sign_matrix_oracle, sketch_oracle
-from ldp_hist.plans import cost, dispatch, duck, privacy
+from ldp_hist.plans import bounds, cost, dispatch, duck, privacy
 from ldp_hist.plans.params import LN3, TINY, WORDS_SF001, Params, cells_for, experiment, partitioned_small, theory_tree
 from ldp_hist.sources.populations import POPULATIONS, line_key, sampled, table
 from ldp_hist.streaming import counters as windows
@@ -107,6 +107,12 @@ for _c in hashing.coefficients(42, "poly5", 5):
 query("poly_hashes", f"SELECT n_nationkey AS key, {_HORNER} % 64 AS h FROM nation")(
     lambda s, d: table(s, d, "nation").select(F.col("n_nationkey").alias("key"), hashing.poly_hash(42, F.col("n_nationkey"), 64, 5).alias("h")))
 
+_DEGREE, _HORNER = bounds.hash_degree(25, 0.05), "0::BIGINT"
+for _c in hashing.coefficients(42, f"poly{_DEGREE}", _DEGREE):
+    _HORNER = f"(({_HORNER} * n_nationkey::BIGINT + {_c}) % {hashing.PRIME})"
+query("poly_hashes_of_degree", f"SELECT n_nationkey AS key, {_HORNER} % 64 AS h FROM nation")(
+    lambda s, d: table(s, d, "nation").select(F.col("n_nationkey").alias("key"), hashing.poly_hash(42, F.col("n_nationkey"), 64, _DEGREE).alias("h")))
+
 
 def grid(s: SparkSession, n: int) -> DataFrame:
     return s.range(n * n).select(F.floor(F.col("id") / n).cast("long").alias("r"), (F.col("id") % n).alias("c"))
@@ -463,19 +469,20 @@ query("predecessor_discovery", f"SELECT code, est FROM ({region_sql(cells_for(_N
     lambda s, d: hashed_bits.discover_predecessor(regions(s, d), _P4, _REGION, _NATIONS).select("code", "est"))
 
 
-@query("code_roundtrip")
-def _(s, d):
-    code = codes.Code("concat", 30)
-    rng_rows = []
-    for r in table(s, d, "nation").orderBy("n_nationkey").collect():  # 25 rows
-        message = (r["n_nationkey"] * 2654435761 + 12345) % (1 << 30)
-        word = code.encode(message)
-        order = sorted(range(code.length), key=lambda i: (i * 7919 + r["n_nationkey"] * 104729) % 193)
-        for flips in (0, code.corrects):
-            noisy = word.copy()
-            noisy[order[:flips]] ^= 1
-            rng_rows.append((r["n_name"], flips, code.decode(noisy) == message))
-    return s.createDataFrame(rng_rows, "item string, flips int, equal boolean")
+_CODE30 = codes.Code("concat", 30)
+
+
+def roundtrips(s: SparkSession, d: str) -> DataFrame:
+    """Each nation's message encoded, hit in as many places as the code always corrects (or none), and decoded."""
+    message = (F.col("n_nationkey").cast("long") * 2654435761 + 12345) % (1 << 30)
+    rows = table(s, d, "nation").select("n_name", "n_nationkey", message.alias("message"), F.explode(F.array(F.lit(0), F.lit(_CODE30.corrects))).alias("flips"))
+    word = hashed_bits.encoded(F.col("message"), _CODE30)
+    # 193 is a prime above the length, so the places that are hit are as many as asked for, or one fewer.
+    noisy = F.transform(word, lambda bit, i: F.when((i * 7919 + F.col("n_nationkey") * 104729) % 193 < F.col("flips"), 1 - bit).otherwise(bit))
+    return rows.select(F.col("n_name").alias("item"), "flips", (hashed_bits.decoder(_CODE30)(noisy) == F.col("message")).alias("equal"))
+
+
+query("code_roundtrip", f"SELECT n_name AS item, flips::INT AS flips, TRUE AS equal FROM nation, (SELECT unnest([0, {_CODE30.corrects}]) AS flips)")(roundtrips)
 
 
 # --- other baselines ------------------------------------------------------------------------------------------------------
@@ -754,6 +761,26 @@ b AS (SELECT coalesce(f, 0) AS f, h.item AS hit, est FROM t FULL JOIN h ON t.ite
 SELECT any_value(n) AS n, round(any_value(eta), 2) AS eta, round(any_value(bound), 2) AS bound, count(*) FILTER (f > 3 * eta AND hit IS NULL)::BIGINT AS missing, coalesce(round(max(abs(est - f)), 4), 0) <= any_value(bound) AS within_bound, any_value(3 * eta > n) AS vacuous FROM b, c""")(theory_check)
 
 
+_ALPHAS = [0.1, 0.25, 0.5, 1.0]
+
+
+def load_tails(s: SparkSession, d: str) -> DataFrame:
+    """How many of the subsets that users are dealt to are off their mean by a share alpha, against the Poisson tails, carried over to balls in bins."""
+    own = assign(population(s, d, "priority"), P.seed, subsets=P.R)
+    loads = own.groupBy("subset").agg(F.count("*").alias("users")).join(F.broadcast(own.agg((F.count("*") / P.R).alias("mu"))))
+    each = loads.select("users", "mu", F.explode(F.array(*[F.lit(a) for a in _ALPHAS])).alias("alpha"))
+    off = (F.col("users") <= F.col("mu") * (1 - F.col("alpha"))) | (F.col("users") >= F.col("mu") * (1 + F.col("alpha")))
+    out = each.groupBy("alpha").agg(F.sum(off.cast("long")).alias("off"), F.first("mu").alias("mu"))
+    tail = (F.exp(-F.col("alpha") * F.col("alpha") * F.col("mu") / 2) + F.exp(-F.col("alpha") * F.col("alpha") * F.col("mu") / 3)) * math.e * F.sqrt(F.col("mu") * P.R)
+    return out.select("alpha", "off", F.round(F.least(F.lit(1.0), tail), 6).alias("bound"))
+
+
+query("load_tails", f"""WITH pop AS ({duck.POPS['priority']}), l AS (SELECT subset, count(*) AS users FROM ({duck.own(P)}) GROUP BY subset), m AS (SELECT count(*) / {P.R}.0::DOUBLE AS mu FROM pop),
+a AS (SELECT unnest({_ALPHAS})::DOUBLE AS alpha)
+SELECT alpha, count(*) FILTER (users <= mu * (1 - alpha) OR users >= mu * (1 + alpha))::BIGINT AS off, round(least(1.0::DOUBLE, (exp(-alpha * alpha * any_value(mu) / 2) + exp(-alpha * alpha * any_value(mu) / 3)) * {duck.num(math.e)} * sqrt(any_value(mu) * {P.R})), 6) AS bound
+FROM l, m, a GROUP BY alpha""")(load_tails)
+
+
 def pair_events(s: SparkSession, d: str) -> DataFrame:
     x = population(s, d, "quantity")
     truth = baselines.exact_frequencies(x).persist()

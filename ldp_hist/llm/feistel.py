@@ -6,15 +6,16 @@ import base64
 import functools
 import glob
 import os
+import re
 import uuid
 import zlib
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import tiktoken
+import zstandard
 from pyspark.errors import AnalysisException
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ldp_hist.llm.shared import materialise, shared_dir
@@ -25,8 +26,10 @@ DEFAULT_RANKS = "/opt/tokenizers/byte_bpe_50k.tiktoken"
 #: END closes a document and PAD fills its last sequence; both ids are free in the vocabulary, and all fit 16 bits.
 END, PAD = 50256, 50257
 SEQUENCE, SHARD_SEQUENCES, ROUNDS = 512, 16_384, 6
-#: Characters that are tokenised at a time; longer texts are cut at white space, and in a longer run without any.
-PORTION = 1 << 16
+#: Characters that are tokenised at a time where no space comes for that long; portions remembered by a worker, and the longest.
+PORTION, MEMO, MEMO_CHARS = 1 << 16, 300_000, 64
+#: Sequences that a task holds before it sends them off, grouped by shard, and the most tasks that write shards.
+HELD, WRITERS = 32_768, 20_000
 
 
 def read_ranks(path: str = DEFAULT_RANKS) -> dict[bytes, int]:
@@ -35,33 +38,50 @@ def read_ranks(path: str = DEFAULT_RANKS) -> dict[bytes, int]:
         return {base64.b64decode(piece): int(rank) for piece, rank in map(bytes.split, f)}
 
 
-@functools.lru_cache(maxsize=2)
-def _encoding(ranks: tuple) -> tiktoken.Encoding:
-    from public_tokenizers import PATTERN
-
-    return tiktoken.Encoding("own", pat_str=PATTERN, mergeable_ranks=dict(ranks), special_tokens={})
+_BEFORE_WORD = re.compile(r"(?= \S)")
 
 
-def portions(text: str, size: int = PORTION) -> list[str]:
-    """``text`` in order, cut before a space (one that another character precedes) wherever ``size`` characters have one.
+def portions(text: str) -> list[str]:
+    """``text`` in order, cut before every space that a word follows, and in runs of ``PORTION`` characters without such a space.
 
-    Before such a space the pattern has a boundary in any case, so cutting there changes no id.
+    The pattern has a boundary before such a space in any case, so cutting there changes no id.
     """
-    out, at = [], 0
-    while len(text) - at > size:
-        cut = at + size
-        while cut > at and not (text[cut] == " " and not text[cut - 1].isspace()):
-            cut -= 1
-        cut = cut if cut > at else at + size
-        out.append(text[at:cut])
-        at = cut
-    return [*out, text[at:]]
+    cut = _BEFORE_WORD.split(text) if re.search(r" (?!\S)", text) else [p if not i else " " + p for i, p in enumerate(text.split(" "))]
+    if max(map(len, cut)) <= PORTION:
+        return cut
+    return [p[a : a + PORTION] for p in cut for a in range(0, max(1, len(p)), PORTION)]
+
+
+class Tokens:
+    """Texts to 16-bit ids; portions that come again are remembered, as many as ``MEMO`` and those from the time before."""
+
+    def __init__(self, ranks):
+        from public_tokenizers import PATTERN
 
+        self.encoding = tiktoken.Encoding("own", pat_str=PATTERN, mergeable_ranks=dict(ranks), special_tokens={})
+        self.memo: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
 
-def token_ids(encoding: tiktoken.Encoding, text: str) -> np.ndarray:
-    """16-bit ids of the whole text and END."""
-    parts = [encoding.encode_ordinary(p) for p in portions(text)]
-    return np.concatenate([*(np.array(x, "<u2") for x in parts), np.array([END], "<u2")])
+    def _fresh(self, portion: str) -> bytes:
+        known = self.older.get(portion)
+        if known is None:
+            known = np.array(self.encoding.encode_ordinary(portion), "<u2").tobytes()
+        if len(portion) <= MEMO_CHARS:
+            if len(self.memo) >= MEMO:
+                self.older, self.memo = self.memo, {}
+            self.memo[portion] = known
+        return known
+
+    def ids(self, text: str) -> np.ndarray:
+        """The ids of the whole text and END."""
+        memo = self.memo
+        return np.frombuffer(b"".join([memo.get(p) or self._fresh(p) for p in portions(text)]) + END.to_bytes(2, "little"), "<u2")
+
+
+@functools.lru_cache(maxsize=2)
+def _tokens(ranks: tuple) -> Tokens:
+    """A worker's own, kept from task to task."""
+    return Tokens(ranks)
 
 
 def permute(index: np.ndarray, n: int, key: int, rounds: int = ROUNDS) -> np.ndarray:
@@ -84,129 +104,158 @@ def permute(index: np.ndarray, n: int, key: int, rounds: int = ROUNDS) -> np.nda
     return out.astype(np.int64)
 
 
-def slot_of(index: Column, n: int, key: int) -> Column:
-    @F.pandas_udf("long")
-    def slot(x: pd.Series) -> pd.Series:
-        return pd.Series(permute(x.to_numpy(), n, key))
+def _placed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(file, block, doc_id, text): where each row is stored; rows that no file holds are written to one first."""
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+
+    def stored(df: DataFrame) -> DataFrame:
+        return df.select(F.col("_metadata.file_path").alias("file"), F.col("_metadata.file_block_start").alias("block"), "doc_id", "text")
 
-    return slot(index)
+    try:
+        return stored(rows)
+    except AnalysisException:
+        return stored(materialise(rows))
 
 
-def _sequences(ranks, sequence: int):
-    """One row a sequence of each document's ids, numbered within a run of rows of one file split (a unit)."""
+def _counts(ranks, sequence: int):
+    """(file, block, n): how many sequences the documents of a file split have, a row for each batch."""
 
     def run(batches):
-        encoding = _encoding(ranks.value)
-        at, unit, nth = None, -1, 0
+        tokens = _tokens(ranks.value)
         for batch in batches:
-            for first in range(0, batch.num_rows, 512):
-                part = batch.slice(first, 512)
-                rows = {n: [] for n in ("unit", "nth", "seq_no", "n_tokens")}
-                taken, payloads = [], []
-                for i, (number, file, block, text) in enumerate(zip(*(part.column(c).to_pylist() for c in (0, 1, 2, 4)), strict=True)):
-                    if (file, block) != at:
-                        at, unit, nth = (file, block), unit + 1, 0
-                    ids = token_ids(encoding, text or "")
-                    for seq_no, a in enumerate(range(0, len(ids), sequence)):
-                        own = ids[a : a + sequence]
-                        taken.append(i)
-                        payloads.append(own.tobytes())
-                        for n, v in zip(rows, ((number << 20) + unit, nth, seq_no, len(own)), strict=True):
-                            rows[n].append(v)
-                        nth += 1
-                columns = [part.column(c).take(pa.array(taken, pa.int32())) for c in (1, 2, 3)]
-                yield pa.record_batch([*columns, *(pa.array(rows[n], pa.int64()) for n in rows), pa.array(payloads, pa.binary())],
-                                      names=["file", "block", "doc_id", *rows, "payload"])
+            found: dict[tuple, int] = {}
+            for file, block, text in zip(*(batch.column(c).to_pylist() for c in range(3)), strict=True):
+                found[file, block] = found.get((file, block), 0) - (-len(tokens.ids(text)) // sequence)
+            yield pa.record_batch([pa.array([f for f, _ in found], pa.string()), pa.array([b for _, b in found], pa.int64()), pa.array(list(found.values()), pa.int64())], names=["file", "block", "n"])
 
     return run
 
 
-def _records(sequence: int):
-    """Fills each payload up to a record of ``sequence`` little-endian 16-bit ids."""
+#: A sequence on its way to its shard; its ids follow those of the ones before it.
+SENT = np.dtype([("slot", "<i8"), ("doc_id", "<i8"), ("known", "<i8"), ("seq_no", "<i8"), ("n_tokens", "<i8")])
+
+
+def _blocks(ranks, sequence: int, shard_sequences: int, total: int, key: int):
+    """(shard, block): the sequences that a task has for a shard, packed together. Rows come in the order of their file split, with its ``start``."""
+
+    def packed(heads: list[tuple], ids: list[np.ndarray]):
+        rows = np.array(heads, SENT)
+        rows["slot"] = permute(rows["slot"], total, key)
+        shard = rows["slot"] // shard_sequences
+        order = np.argsort(shard, kind="stable")
+        cuts = np.flatnonzero(np.diff(shard[order])) + 1
+        groups = np.split(order, cuts)
+        shrink = zstandard.ZstdCompressor(level=1).compress
+        blocks = [shrink(len(g).to_bytes(8, "little") + rows[g].tobytes() + b"".join([ids[i].tobytes() for i in g.tolist()])) for g in groups]
+        return pa.record_batch([pa.array(shard[[g[0] for g in groups]]), pa.array(blocks, pa.binary())], names=["shard", "block"])
 
     def run(batches):
+        tokens = _tokens(ranks.value)
+        at, nth, heads, held = None, 0, [], []
         for batch in batches:
-            for at in range(0, batch.num_rows, 2048):
-                part = batch.slice(at, 2048)
-                table = np.full((part.num_rows, sequence), PAD, "<u2")
-                for row, payload in zip(table, part.column(5), strict=True):
-                    ids = np.frombuffer(payload.as_buffer(), "<u2")
-                    row[: len(ids)] = ids
-                records = [row.tobytes() for row in table]
-                yield pa.record_batch([*part.columns[:5], pa.array([zlib.crc32(r) for r in records], pa.int64()), pa.array(records, pa.binary())],
-                                      names=["slot", "doc_id", "seq_no", "shard", "n_tokens", "record_crc32", "record"])
+            for file, block, doc_id, text, start in zip(*(batch.column(c).to_pylist() for c in range(5)), strict=True):
+                if (file, block) != at:
+                    at, nth = (file, block), start
+                ids = tokens.ids(text)
+                for seq_no, a in enumerate(range(0, len(ids), sequence)):
+                    own = ids[a : a + sequence]
+                    heads.append((nth, doc_id or 0, doc_id is not None, seq_no, len(own)))
+                    held.append(own)
+                    nth += 1
+                if len(heads) >= HELD:
+                    yield packed(heads, held)
+                    heads, held = [], []
+        if heads:
+            yield packed(heads, held)
 
     return run
 
 
-def _placed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(part, file, block, doc_id, text): where each row is stored; rows that no file holds are written to one first."""
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+#: What a shard file holds after its records: an index entry for each, then their number and a line end.
+ENTRY = np.dtype([("doc_id", "<i8"), ("known", "<i8"), ("seq_no", "<i8"), ("n_tokens", "<i8")])
+FOOTER = 8 + 1
 
-    def stored(df: DataFrame) -> DataFrame:
-        return df.select(F.spark_partition_id().cast("long").alias("part"), F.col("_metadata.file_path").alias("file"), F.col("_metadata.file_block_start").alias("block"), "doc_id", "text")
 
-    try:
-        return stored(rows)
-    except AnalysisException:
-        return stored(materialise(rows))
+def _shard_bytes(sequence: int):
+    """(shard, bytes) of blocks that come by shard: records in the order of their slots, index, number of records."""
+
+    def whole(shard: int, blocks: list[bytes]) -> pa.RecordBatch:
+        heads, ids = [], []
+        for block in blocks:
+            n = int.from_bytes(block[:8], "little")
+            heads.append(np.frombuffer(block, SENT, n, 8))
+            ids.append(np.frombuffer(block, "<u2", offset=8 + n * SENT.itemsize))
+        rows, flat = np.concatenate(heads), np.concatenate(ids)
+        ends = np.cumsum(rows["n_tokens"])
+        table = np.full((len(rows), sequence), PAD, "<u2")
+        order = np.argsort(rows["slot"])
+        for place, i in enumerate(order.tolist()):
+            n = rows["n_tokens"][i]
+            table[place, :n] = flat[ends[i] - n : ends[i]]
+        index = np.zeros(len(rows), ENTRY)
+        for name in ENTRY.names:
+            index[name] = rows[name][order]
+        data = b"".join([table.tobytes(), index.tobytes(), len(rows).to_bytes(8, "little")])
+        return pa.record_batch([pa.array([shard], pa.int64()), pa.array([data], pa.binary())], names=["shard", "bytes"])
+
+    def run(batches):
+        grow = zstandard.ZstdDecompressor().decompress
+        at, held = None, []
+        for batch in batches:
+            for shard, block in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                if shard != at and held:
+                    yield whole(at, held)
+                    held = []
+                at = shard
+                held.append(grow(block.as_py()))
+        if held:
+            yield whole(at, held)
 
+    return run
 
-def training_order(
+
+def shard_files(
     docs: DataFrame, key: int = 20240229, sequence: int = SEQUENCE, shard_sequences: int = SHARD_SEQUENCES,
     id_col: str = "doc_id", text_col: str = "text", ranks_path: str = DEFAULT_RANKS,
 ) -> DataFrame:
-    """Every sequence of ``docs`` in training order: slot, shard, shard_offset, doc_id, seq_no, n_tokens, ...
+    """(shard, bytes): the training order of ``docs`` as the contents of its shard files.
 
     A document's token ids and ``END`` are cut into sequences of ``sequence``; the last one is padded. Sequences are
-    written to the shared folder once, without the padding, and numbered without a gap in the order in which the table stores its documents: by
-    file, place in the file and place in the document. A key and a table thus fix the order, however its files are split
-    among tasks. The counts of the splits give the offsets (16 bytes a split, the only thing that is broadcast). The keyed
-    permutation gives each number its slot, ``shard_sequences`` to a shard; whole shards are range-partitioned and
-    sorted by slot. ``shard_offset`` is a record's byte offset in its shard, always a multiple of 2*sequence. The
-    ids are thus shuffled once, by slot.
+    numbered without a gap in the order in which the table stores its documents: by file, place in the file and place in the
+    document. A key and a table thus fix the order, however its files are split among tasks. A first pass counts the
+    sequences of each file split, whose running sum (a row a split) is all that is broadcast; the second one makes them. The keyed
+    permutation gives each number its slot, ``shard_sequences`` to a shard. A task sends a shard all it has for it as one compressed
+    block, by a range of shards, and the tasks of the ranges write whole shards: the ids are shuffled once, and nothing else is stored.
 
     Null texts count as empty (one sequence, just ``END``); null ids are allowed and repeated rows get slots of
-    their own. Empty tables give empty results; other columns are ignored. A text of any length is tokenised in portions.
+    their own. Empty tables give empty results; other columns are ignored. Texts may have any length.
     """
     ranks = docs.sparkSession.sparkContext.broadcast(tuple(read_ranks(ranks_path).items()))
-    schema = "file string, block long, doc_id long, unit long, nth long, seq_no long, n_tokens long, payload binary"
-    pieces = materialise(_placed(docs, id_col, text_col).mapInArrow(_sequences(ranks, sequence), schema))
-    counts = pieces.groupBy("unit").agg(F.first("file").alias("file"), F.first("block").alias("block"), F.count("*").alias("n"))
+    rows = _placed(docs, id_col, text_col)
+    counts = rows.select("file", "block", "text").mapInArrow(_counts(ranks, sequence), "file string, block long, n long")
+    counts = materialise(counts.groupBy("file", "block").agg(F.sum("n").alias("n")))
     total = counts.agg(F.sum("n")).first()[0] or 0
     earlier = Window.orderBy("file", "block").rowsBetween(Window.unboundedPreceding, -1)
-    starts = F.broadcast(counts.select("unit", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("start")))
-    numbered = pieces.join(starts, "unit").withColumn("number", F.col("start") + F.col("nth"))
-    slots = numbered.withColumn("slot", slot_of(F.col("number"), total, key)).withColumn("shard", F.floor(F.col("slot") / shard_sequences))
-    ordered = slots.repartitionByRange("shard").sortWithinPartitions("slot").select("slot", "doc_id", "seq_no", "shard", F.col("n_tokens").cast("int"), "payload")
-    records = ordered.mapInArrow(_records(sequence), "slot long, doc_id long, seq_no long, shard long, n_tokens int, record_crc32 long, record binary")
-    return records.withColumn("shard_offset", (F.col("slot") % shard_sequences) * (2 * sequence))
-
+    starts = F.broadcast(counts.select("file", "block", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("start")))
+    numbered = rows.join(starts, ["file", "block"]).select("file", "block", "doc_id", "text", "start")
+    blocks = numbered.mapInArrow(_blocks(ranks, sequence, shard_sequences, total, key), "shard long, block binary")
+    shards = max(1, -(-total // shard_sequences))
+    ranges = min(shards, WRITERS)
+    dealt = blocks.repartitionById(ranges, F.floor(F.col("shard") * ranges / shards).cast("int"))
+    return dealt.sortWithinPartitions("shard").mapInArrow(_shard_bytes(sequence), "shard long, bytes binary")
 
-#: What a shard file holds after its records: an index entry for each, then their number and a line end.
-ENTRY = np.dtype([("doc_id", "<i8"), ("known", "<i8"), ("seq_no", "<i8"), ("n_tokens", "<i8")])
-FOOTER = 8 + 1
 
+ROWS = "slot long, doc_id long, seq_no long, shard long, n_tokens int, record_crc32 long, record binary, shard_offset long"
 
-def _shard_bytes(batches):
-    """(shard, bytes) of slot-ordered rows that hold whole shards: records, index, number of records."""
 
-    def packed(shard: int, records: list[bytes], index: list[tuple]) -> pa.RecordBatch:
-        data = b"".join([*records, np.array(index, ENTRY).tobytes(), len(records).to_bytes(8, "little")])
-        return pa.record_batch([pa.array([shard], pa.int64()), pa.array([data], pa.binary())], names=["shard", "bytes"])
+def training_order(docs: DataFrame, **how) -> DataFrame:
+    """Every sequence of ``docs`` in training order without writing shards: the rows that ``shard_files`` would hold.
 
-    at, records, index = None, [], []
-    for batch in batches:
-        shards, ids, seqs, sizes = (batch.column(i).to_pylist() for i in range(4))
-        for shard, doc_id, seq_no, n, record in zip(shards, ids, seqs, sizes, batch.column(4), strict=True):
-            if shard != at:
-                if records:
-                    yield packed(at, records, index)
-                at, records, index = shard, [], []
-            records.append(record.as_py())
-            index.append((doc_id or 0, doc_id is not None, seq_no, n))
-    if records:
-        yield packed(at, records, index)
+    ``shard_offset`` is a record's byte offset in its shard, always a multiple of 2*sequence.
+    """
+    sizes = how.get("sequence", SEQUENCE), how.get("shard_sequences", SHARD_SEQUENCES)
+    as_written = shard_files(docs, **how).select("shard", F.concat("bytes", F.lit(b"\n")).alias("content"))  # the writer ends its line
+    return as_written.mapInArrow(_shard_rows(*sizes), ROWS)
 
 
 def _shard_rows(sequence: int, shard_sequences: int):
@@ -234,28 +283,23 @@ def _shard_rows(sequence: int, shard_sequences: int):
     return run
 
 
-def write_shards(ordered: DataFrame, folder: str, sequence: int = SEQUENCE, shard_sequences: int = SHARD_SEQUENCES) -> DataFrame:
-    """Writes ``shards/shard=N/`` with one file each below ``folder``, a Hadoop path; (shard, sequences, bytes) of each.
+def write_shards(files: DataFrame, folder: str) -> None:
+    """Writes ``shards/shard=N/`` with one file each below ``folder``, a Hadoop path, from (shard, bytes).
 
-    Record i of a shard starts at byte 2*sequence*i of its file; the index of ids comes after the records. A partition of
-    ``ordered`` has to hold whole shards in slot order, as those of ``training_order`` do: they are written where
-    they are. Spark's committer keeps one attempt of a retried task, and a reader never sees half a shard.
+    Record i of a shard starts at byte 2*sequence*i of its file; the index of ids comes after the records. Shards are written
+    by the tasks that made them. Spark's committer keeps one attempt of a retried task, and a reader never sees half a shard.
     """
-    whole = ordered.select("shard", "doc_id", "seq_no", "n_tokens", "record").mapInArrow(_shard_bytes, "shard long, bytes binary")
-    whole.select("shard", F.col("bytes").cast("string").alias("value")).write.mode("overwrite").partitionBy("shard").option("compression", "none").text(f"{folder}/shards")
-    rows = written_sequences(ordered.sparkSession, folder, sequence, shard_sequences)
-    return rows.groupBy("shard").agg(F.count("*").alias("sequences"), F.sum(F.octet_length("record")).cast("long").alias("bytes"))
+    files.select("shard", F.col("bytes").cast("string").alias("value")).write.mode("overwrite").partitionBy("shard").option("compression", "none").text(f"{folder}/shards")
 
 
 def written_sequences(spark: SparkSession, folder: str, sequence: int = SEQUENCE, shard_sequences: int = SHARD_SEQUENCES) -> DataFrame:
     """The rows of ``training_order``, read from the shard files below ``folder``."""
-    schema = "slot long, doc_id long, seq_no long, shard long, n_tokens int, record_crc32 long, record binary, shard_offset long"
     path = spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/shards")
     if not any("shard=" in str(x.getPath()) for x in path.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(path)):
-        return spark.createDataFrame([], schema)
+        return spark.createDataFrame([], ROWS)
     shard = F.regexp_extract("path", "/shard=([0-9]+)/", 1).cast("long").alias("shard")
     files = spark.read.format("binaryFile").load(f"{folder}/shards/shard=*/part-*").select(shard, "content")
-    return files.mapInArrow(_shard_rows(sequence, shard_sequences), schema)
+    return files.mapInArrow(_shard_rows(sequence, shard_sequences), ROWS)
 
 
 def training_shards(docs: DataFrame, folder: str | None = None, **how) -> DataFrame:
@@ -264,9 +308,8 @@ def training_shards(docs: DataFrame, folder: str | None = None, **how) -> DataFr
     The shard files stay for the readers; rows are read from them, not from what they were made of.
     """
     folder = folder or f"{shared_dir(docs.sparkSession)}/training-order-{uuid.uuid4().hex}"
-    sizes = {k: v for k, v in how.items() if k in ("sequence", "shard_sequences")}
-    write_shards(training_order(docs, **how), folder, **sizes)
-    return written_sequences(docs.sparkSession, folder, **sizes)
+    write_shards(shard_files(docs, **how), folder)
+    return written_sequences(docs.sparkSession, folder, **{k: v for k, v in how.items() if k in ("sequence", "shard_sequences")})
 
 
 def read_sequences(folder: str, start: int, count: int, sequence: int = SEQUENCE, shard_sequences: int = SHARD_SEQUENCES) -> np.ndarray:

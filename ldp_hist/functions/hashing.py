@@ -24,6 +24,11 @@ def sign_of(bit: Column) -> Column:
     return (1 - 2 * bit).cast("int")
 
 
+def sign_digit(d: Column, at: int) -> Column:
+    """The sign that one hex digit stands for: -1 for an odd one."""
+    return F.when(F.instr(F.lit("13579bdf"), F.substring(d, at, 1)) > 0, -1).otherwise(1)
+
+
 def bucket_hash(seed, j: Column, x: Column, m: int) -> Column:
     """h_j(x) in 0..m-1."""
     return hex_slice(digest("pair", seed, j, x), 1, 8) % m
@@ -31,7 +36,7 @@ def bucket_hash(seed, j: Column, x: Column, m: int) -> Column:
 
 def sign_hash(seed, j: Column, x: Column) -> Column:
     """g_j(x), +1 or -1."""
-    return sign_of(hex_slice(digest("pair", seed, j, x), 9, 1) % 2)
+    return sign_digit(digest("pair", seed, j, x), 9)
 
 
 def coefficients(seed: int, name: str, count: int) -> list[int]:

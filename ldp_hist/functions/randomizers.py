@@ -32,7 +32,7 @@ def privacy_loss(eps: float, kind: str = "binary") -> float:
 
 def randomised(x: Column, eps: float, coin: Column, kind: str = "binary") -> Column:
     """The sign ``x``, kept or turned by the user's coin."""
-    return F.when(fell_below(coin, limit(keep_probability(eps, kind))), x).otherwise(-x).cast("int")
+    return (x * F.when(fell_below(coin, limit(keep_probability(eps, kind))), 1).otherwise(-1)).cast("int")
 
 
 def binary_rr(x: Column, eps: float, coin: Column) -> Column:

@@ -7,7 +7,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ldp_hist.functions.hashing import digest, hex_slice, sign_of
+from ldp_hist.functions.hashing import digest, hex_slice, sign_digit
 
 
 def draws(seed, user: Column, levels: int = 1, t: int = 1, m: int = 1, subsets: int = 1, columns: int = 1) -> dict[str, Column]:
@@ -22,7 +22,7 @@ def draws(seed, user: Column, levels: int = 1, t: int = 1, m: int = 1, subsets:
         "row": hex_slice(d, 17, 8) % m,
         "subset": (hex_slice(d, 25, 8) % subsets).cast("int"),
         "col": hex_slice(d, 33, 8) % columns,
-        "col_sign": sign_of(hex_slice(d, 41, 1) % 2),
+        "col_sign": sign_digit(d, 41),
     }
 
 

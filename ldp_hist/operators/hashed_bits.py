@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from ldp_hist.functions.codes import Code
 from ldp_hist.functions.encoding import Encoding
 from ldp_hist.functions.hadamard import fwht_groups, had_sign
-from ldp_hist.functions.hashing import digest, hex_slice, sign_of
+from ldp_hist.functions.hashing import digest, hex_slice, sign_digit
 from ldp_hist.functions.randomizers import randomised
 from ldp_hist.functions.randomness import coin
 from ldp_hist.operators.sign_matrix_oracle import linear_sign, partitioned_estimates
@@ -29,7 +29,7 @@ def _draws(p: Params, user: Column, repeats: int, bits: int, inner: int) -> dict
     d = digest("bits", p.seed, user)
     return {
         "rep": (hex_slice(d, 1, 8) % repeats).cast("int"), "bit": (hex_slice(d, 9, 8) % bits).cast("int"), "sub": (hex_slice(d, 17, 8) % inner).cast("int"),
-        "col": hex_slice(d, 25, 8) % (4 * p.T), "col_sign": sign_of(hex_slice(d, 33, 1) % 2),
+        "col": hex_slice(d, 25, 8) % (4 * p.T), "col_sign": sign_digit(d, 33),
     }
 
 

@@ -12,7 +12,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ldp_hist.functions.hadamard import fwht_groups, had_sign
-from ldp_hist.functions.hashing import PRIME, digest, hex_slice, sign_of
+from ldp_hist.functions.hashing import PRIME, digest, hex_slice, sign_digit, sign_of
 from ldp_hist.functions.randomizers import debias, randomised
 from ldp_hist.functions.randomness import coin, draws
 from ldp_hist.plans.params import Params
@@ -29,10 +29,10 @@ def matrix_sign(family: str, seed: int, x: Column, user: Column) -> Column:
     The latter three have short descriptions: two, ``DEGREE`` or no coefficients an item.
     """
     if family == "sha":
-        return sign_of(hex_slice(digest("z", seed, x, user), 1, 1) % 2)
+        return sign_digit(digest("z", seed, x, user), 1)
     if family == "linear":
         d = digest("lin", seed, user)
-        return had_sign(hex_slice(digest("key", seed, x), 1, 8) + 1, hex_slice(d, 1, 8)) * sign_of(hex_slice(d, 9, 1) % 2)
+        return had_sign(hex_slice(digest("key", seed, x), 1, 8) + 1, hex_slice(d, 1, 8)) * sign_digit(d, 9)
     u, d = hex_slice(digest("usr", seed, user), 1, 8) % PRIME, digest(family, seed, x)
     value = F.lit(0).cast("long")
     for i in range(2 if family == "affine" else DEGREE):

@@ -54,8 +54,8 @@ def presence(texts: list[str]) -> np.ndarray:
     return x / np.sqrt(np.maximum(x.sum(axis=1, keepdims=True), 1))
 
 
-#: Of a language's own texts of a length this share is rejected; so many of them make a level of their own.
-REJECTED, LEVEL_LEAST, LEVELS, CALIBRATED = 0.01, 20, 16, 150
+#: What a language's own texts of a length nearly all reach, and the part of it that is asked for; so many of them make a level of their own.
+REJECTED, SLACK, LEVEL_LEAST, LEVELS, CALIBRATED = 0.01, 0.8, 20, 16, 150
 
 
 def level_of(x: np.ndarray) -> np.ndarray:
@@ -104,8 +104,9 @@ def _least(texts: list[str], lang: np.ndarray, nth: np.ndarray, x: np.ndarray, c
     """The least accepted response by level and language: the ``REJECTED`` quantile of the language's own texts.
 
     Every other row of a language is left out of the fit that answers it, whole and cut to all powers of two
-    of its length. Levels are filled from the short end; one of too few answers takes the level below it, and a language
-    with a single row the least of the others.
+    of its length. Levels are filled from the short end; one of too few answers takes the level below it, none asks for less than that one
+    (more n-grams say more, unless they are junk with a label), and a language with a single row takes the least of the others. What is accepted
+    begins at ``SLACK`` of the quantile, for texts of the language that the sample does not show.
     """
     answers: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
     for fold in (0, 1):
@@ -126,7 +127,7 @@ def _least(texts: list[str], lang: np.ndarray, nth: np.ndarray, x: np.ndarray, c
     for k in range(classes):
         for b in range(LEVELS):
             if np.count_nonzero(here := (level == b) & (own == k)) >= LEVEL_LEAST:
-                out[b, k] = np.quantile(value[here], REJECTED)
+                out[b, k] = np.fmax(SLACK * np.quantile(value[here], REJECTED), out[b - 1, k] if b else np.nan)
             elif b:
                 out[b, k] = out[b - 1, k]
     few = np.isnan(out).all(axis=0)

@@ -26,8 +26,8 @@ DEFAULT_RANKS = "/opt/tokenizers/byte_bpe_50k.tiktoken"
 #: END closes a document and PAD fills its last sequence; both ids are free in the vocabulary, and all fit 16 bits.
 END, PAD = 50256, 50257
 SEQUENCE, SHARD_SEQUENCES, ROUNDS = 512, 16_384, 6
-#: Characters that are tokenised at a time where no space comes for that long; portions remembered by a worker, and the longest.
-PORTION, MEMO, MEMO_CHARS = 1 << 16, 300_000, 64
+#: Characters that are tokenised at a time (twice as many where no space comes).
+PORTION = 1 << 16
 #: Sequences that a task holds before it sends them off, grouped by shard, and the most tasks that write shards.
 HELD, WRITERS = 32_768, 20_000
 
@@ -38,44 +38,39 @@ def read_ranks(path: str = DEFAULT_RANKS) -> dict[bytes, int]:
         return {base64.b64decode(piece): int(rank) for piece, rank in map(bytes.split, f)}
 
 
-_BEFORE_WORD = re.compile(r"(?= \S)")
+_BEFORE_WORD = re.compile(r" (?=\S)")
 
 
-def portions(text: str) -> list[str]:
-    """``text`` in order, cut before every space that a word follows, and in runs of ``PORTION`` characters without such a space.
+def portions(text: str, size: int = PORTION) -> list[str]:
+    """``text`` in order, cut before the first space that a word follows after every ``size`` characters, and in twice that run without one.
 
     The pattern has a boundary before such a space in any case, so cutting there changes no id.
     """
-    cut = _BEFORE_WORD.split(text) if re.search(r" (?!\S)", text) else [p if not i else " " + p for i, p in enumerate(text.split(" "))]
-    if max(map(len, cut)) <= PORTION:
-        return cut
-    return [p[a : a + PORTION] for p in cut for a in range(0, max(1, len(p)), PORTION)]
+    out, at = [], 0
+    while len(text) - at > size:
+        found = _BEFORE_WORD.search(text, at + size, at + 2 * size)
+        end = found.start() if found else at + 2 * size
+        out.append(text[at:end])
+        at = end
+    return [*out, text[at:]]
 
 
 class Tokens:
-    """Texts to 16-bit ids; portions that come again are remembered, as many as ``MEMO`` and those from the time before."""
+    """Texts to 16-bit ids."""
 
     def __init__(self, ranks):
         from public_tokenizers import PATTERN
 
         self.encoding = tiktoken.Encoding("own", pat_str=PATTERN, mergeable_ranks=dict(ranks), special_tokens={})
-        self.memo: dict[str, bytes] = {}
-        self.older: dict[str, bytes] = {}
-
-    def _fresh(self, portion: str) -> bytes:
-        known = self.older.get(portion)
-        if known is None:
-            known = np.array(self.encoding.encode_ordinary(portion), "<u2").tobytes()
-        if len(portion) <= MEMO_CHARS:
-            if len(self.memo) >= MEMO:
-                self.older, self.memo = self.memo, {}
-            self.memo[portion] = known
-        return known
+
+    def number(self, text: str) -> int:
+        """How many ids the whole text has, END included."""
+        return 1 + sum(len(self.encoding.encode_ordinary(p)) for p in portions(text))
 
     def ids(self, text: str) -> np.ndarray:
         """The ids of the whole text and END."""
-        memo = self.memo
-        return np.frombuffer(b"".join([memo.get(p) or self._fresh(p) for p in portions(text)]) + END.to_bytes(2, "little"), "<u2")
+        ids = [i for p in portions(text) for i in self.encoding.encode_ordinary(p)] if len(text) > PORTION else self.encoding.encode_ordinary(text)
+        return np.array([*ids, END], "<u2")
 
 
 @functools.lru_cache(maxsize=2)
@@ -125,7 +120,7 @@ def _counts(ranks, sequence: int):
         for batch in batches:
             found: dict[tuple, int] = {}
             for file, block, text in zip(*(batch.column(c).to_pylist() for c in range(3)), strict=True):
-                found[file, block] = found.get((file, block), 0) - (-len(tokens.ids(text)) // sequence)
+                found[file, block] = found.get((file, block), 0) - (-tokens.number(text) // sequence)
             yield pa.record_batch([pa.array([f for f, _ in found], pa.string()), pa.array([b for _, b in found], pa.int64()), pa.array(list(found.values()), pa.int64())], names=["file", "block", "n"])
 
     return run

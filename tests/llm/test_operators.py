@@ -503,9 +503,11 @@ def test_portions_change_no_id():
     text = "".join(rng.choice(["word", " ", "  ", "\n", "é", "12", ".", " don't"]) for _ in range(4000))
     tokens = feistel.Tokens(tuple(feistel.read_ranks().items()))
     for t in (text, text.replace("  ", ""), "", " ", "  ", " a", "a ", "a  b", "\n x \ty z\n", "it's  they'll\u00a0x\u2003 y"):
-        cut = feistel.portions(t)
-        assert "".join(cut) == t and tokens.ids(t).tolist() == tokens.ids(t).tolist() == [*plain.encode_ordinary(t), feistel.END], t
-    assert len(feistel.portions(text)) > 500 and max(map(len, feistel.portions("a" * 300_000))) == feistel.PORTION
+        t = t if t == text else f" {t} x" * 100
+        cut = feistel.portions(t, 200)
+        assert "".join(cut) == t and [i for p in cut for i in plain.encode_ordinary(p)] == plain.encode_ordinary(t), t
+        assert tokens.ids(t).tolist() == [*plain.encode_ordinary(t), feistel.END] and tokens.number(t) == len(tokens.ids(t))
+    assert len(feistel.portions(text, 200)) > 20 and max(map(len, feistel.portions("a" * 300_000))) <= 2 * feistel.PORTION
     assert tokens.ids("a" * 300_000)[-1] == feistel.END
 
 

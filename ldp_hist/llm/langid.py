@@ -9,6 +9,8 @@ Targets are 1 for a language's own texts and 0 for others, all languages weigh t
 intercept, so a text that shares no n-gram with the landmarks gets 0 from every language, whatever
 their number and shares. How much a language's own texts get depends on their length, so the least
 response that a language accepts is calibrated by the number of n-grams, on rows left out of the fit.
+A text in several of the languages splits its response among them, so no single one may accept it. The
+total over all languages stays near 1 then, and reaching what known texts reach in total is accepted too.
 """
 
 from __future__ import annotations
@@ -56,6 +58,8 @@ def presence(texts: list[str]) -> np.ndarray:
 
 #: What a language's own texts of a length nearly all reach, and the part of it that is asked for; so many of them make a level of their own.
 REJECTED, SLACK, LEVEL_LEAST, LEVELS, CALIBRATED = 0.01, 0.8, 20, 16, 150
+#: More than any total: where nothing was calibrated, the total accepts nothing.
+UNREACHED = 1e6
 
 
 def level_of(x: np.ndarray) -> np.ndarray:
@@ -67,12 +71,12 @@ def level_of(x: np.ndarray) -> np.ndarray:
 class Model:
     langs: list[str]
     weights: np.ndarray  # buckets x languages
-    least: np.ndarray  # levels x languages
+    least: np.ndarray  # levels x languages, then the total
 
     def judge(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """By language the mean response to each text's pieces of ``PIECE`` characters, and the mean that it has to reach."""
+        """By language the mean response to each text's pieces of ``PIECE`` characters, and the mean that it (in one more column, the total) has to reach."""
         pieces = [(i, t[a : a + PIECE]) for i, t in enumerate(texts) for a in range(0, max(len(t), 1), PIECE)]
-        total, least, count = np.zeros((len(texts), len(self.langs))), np.zeros((len(texts), len(self.langs))), np.zeros((len(texts), 1))
+        total, least, count = np.zeros((len(texts), len(self.langs))), np.zeros((len(texts), len(self.langs) + 1)), np.zeros((len(texts), 1))
         for at in range(0, len(pieces), 256):
             part = pieces[at : at + 256]
             owner, size = np.array([i for i, _ in part]), np.array([[len(t)] for _, t in part])
@@ -82,6 +86,12 @@ class Model:
             np.add.at(count, owner, size)
         return total / np.maximum(count, 1), least / np.maximum(count, 1)
 
+    @staticmethod
+    def accepts(values: np.ndarray, least: np.ndarray) -> np.ndarray:
+        """Which rows of ``judge`` are accepted: by the language that responds most, or by all of them in total."""
+        i, best = np.arange(len(values)), values.argmax(axis=1)
+        return (values[i, best] > 0) & ((values[i, best] >= least[i, best]) | (values.sum(axis=1) >= least[:, -1]))
+
     def score(self, texts: list[str]) -> np.ndarray:
         return self.judge(texts)[0]
 
@@ -100,15 +110,25 @@ def _weights(x: np.ndarray, lang: np.ndarray, classes: int) -> np.ndarray:
     return (marks.T.astype(np.float64) @ (root @ solved)).astype(np.float32)
 
 
+def _by_level(level: np.ndarray, value: np.ndarray, slack: float) -> np.ndarray:
+    """``slack`` of the ``REJECTED`` quantile of each level, never less than at the one below it; a level of too few values takes that one's."""
+    out = np.full(LEVELS, np.nan)
+    for b in range(LEVELS):
+        here, below = value[level == b], out[b - 1] if b else np.nan
+        out[b] = np.fmax(slack * np.quantile(here, REJECTED), below) if len(here) >= LEVEL_LEAST else below
+    return out
+
+
 def _least(texts: list[str], lang: np.ndarray, nth: np.ndarray, x: np.ndarray, classes: int) -> np.ndarray:
-    """The least accepted response by level and language: the ``REJECTED`` quantile of the language's own texts.
+    """The least accepted response by level and language, and in the last column the least accepted total.
 
     Every other row of a language is left out of the fit that answers it, whole and cut to all powers of two
     of its length. Levels are filled from the short end; one of too few answers takes the level below it, none asks for less than that one
-    (more n-grams say more, unless they are junk with a label), and a language with a single row takes the least of the others. What is accepted
-    begins at ``SLACK`` of the quantile, for texts of the language that the sample does not show.
+    (more n-grams say more, unless they are junk with a label), and a language with a single row takes the least of the others. What a language
+    accepts begins at ``SLACK`` of the ``REJECTED`` quantile of its own texts, for texts of it that the sample does not show. The total has no
+    such slack: junk shares letters with every language, and the total adds that up.
     """
-    answers: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+    answers: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []
     for fold in (0, 1):
         used = nth % 2 != fold
         if not used.any():
@@ -119,20 +139,16 @@ def _least(texts: list[str], lang: np.ndarray, nth: np.ndarray, x: np.ndarray, c
         for at in range(0, len(cuts), 256):
             own = np.array([k for k, _ in cuts[at : at + 256]])
             seen = presence([t for _, t in cuts[at : at + 256]])
-            answers.append((level_of(seen), own, (seen @ weights)[np.arange(len(own)), own]))
-    out = np.full((LEVELS, classes), np.nan)
+            response = seen @ weights
+            answers.append((level_of(seen), own, response[np.arange(len(own)), own], response.sum(axis=1)))
     if not answers:
-        return np.zeros_like(out)
-    level, own, value = (np.concatenate(a) for a in zip(*answers, strict=True))
-    for k in range(classes):
-        for b in range(LEVELS):
-            if np.count_nonzero(here := (level == b) & (own == k)) >= LEVEL_LEAST:
-                out[b, k] = np.fmax(SLACK * np.quantile(value[here], REJECTED), out[b - 1, k] if b else np.nan)
-            elif b:
-                out[b, k] = out[b - 1, k]
+        return np.append(np.zeros((LEVELS, classes)), np.full((LEVELS, 1), UNREACHED), axis=1)
+    level, own, value, total = (np.concatenate(a) for a in zip(*answers, strict=True))
+    out = np.stack([_by_level(level[own == k], value[own == k], SLACK) for k in range(classes)], axis=1)
     few = np.isnan(out).all(axis=0)
     out[:, few] = np.nanmin(np.where(few, np.nan, out), axis=1, initial=np.inf, keepdims=True) if not few.all() else 0
-    return np.maximum(np.where(np.isfinite(out), out, 0), 0)
+    whole = np.nan_to_num(_by_level(level, total, 1.0), nan=UNREACHED)
+    return np.append(np.maximum(np.where(np.isfinite(out), out, 0), 0), whole[:, None], axis=1)
 
 
 def fit(rows: list[tuple[str, str]]) -> Model:
@@ -181,8 +197,8 @@ def _predict(model: Model | None, pick: list[str], text_of):
                 rows = [i for i, ok in enumerate(lettered) if ok]
                 if rows and model:
                     values, least = model.judge([texts[i] for i in rows])
-                    for i, b, v, low in zip(rows, values.argmax(axis=1), values, least, strict=True):
-                        pred[i], score[i], accepted[i] = model.langs[b], min(1.0, max(0.0, v[b])), v[b] > 0 and v[b] >= low[b]
+                    for i, b, v, ok in zip(rows, values.argmax(axis=1), values, model.accepts(values, least), strict=True):
+                        pred[i], score[i], accepted[i] = model.langs[b], min(1.0, max(0.0, v[b])), ok
                 yield pa.record_batch([*part.columns[: len(pick)], pa.array(pred), pa.array(score), pa.array(accepted)], names=[*pick, "lang_pred", "score", "accepted"])
 
     return run

@@ -528,9 +528,7 @@ def test_unknown_languages_are_rejected(spark, sizes):
     model = langid.fit([(t[:2000], k) for k, n in sizes.items() for t in texts[k][: min(n, len(texts[k]) - 25)]])
 
     def kept(some):
-        values, least = model.judge(some)
-        best = values.argmax(axis=1)
-        return np.mean(values.max(axis=1) >= least[np.arange(len(some)), best])
+        return np.mean(model.accepts(*model.judge(some)))
 
     rng = random.Random(8)
     noise = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz   ") for _ in range(n)) for n in (200, 2000, 5000) for _ in range(20)]
@@ -541,6 +539,19 @@ def test_unknown_languages_are_rejected(spark, sizes):
         assert kept(long) >= 0.9 if k in sizes else kept(long) <= 0.1, k
 
 
+def test_texts_in_two_known_languages_are_accepted(spark):
+    texts = defaultdict(list)
+    for r in spark.read.parquet("/root/testdata/sf0.1/documents.parquet").where("length(text) BETWEEN 600 AND 2000 AND doc_id < 4000").orderBy("doc_id").collect():
+        texts[r["lang"]].append(r["text"])
+    langs = sorted(k for k in texts if k)
+    model = langid.fit([(t, k) for k in langs for t in texts[k][:100]])
+    shares = [(a, b, n) for a in langs for b in langs if a != b for n in range(8)]
+    mixed = [texts[a][-1 - n % len(texts[a])][:600] + "\n" + texts[b][-1 - n % len(texts[b])][:600] for a, b, n in shares]
+    values, least = model.judge(mixed)
+    by_one = values.max(axis=1) >= least[np.arange(len(mixed)), values.argmax(axis=1)]
+    assert by_one.mean() < 0.9 and model.accepts(values, least).mean() >= 0.97
+
+
 def test_language_stage_drops_noise(spark):
     import corpus_pipeline
 

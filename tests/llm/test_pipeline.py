@@ -53,7 +53,7 @@ def brute_language(model, rows):
         if t and any(c.isalpha() for c in t):
             value, least = model.judge([t])
             b = value[0].argmax()
-            if value[0, b] > 0 and value[0, b] >= least[0, b]:
+            if value[0, b] > 0 and (value[0, b] >= least[0, b] or value[0].sum() >= least[0, -1]):
                 out.append((a, t, k or model.langs[b]))
     return out
 

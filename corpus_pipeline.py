@@ -13,7 +13,7 @@ from ldp_hist.llm import decontaminate, langid, line_dedup, pieces, shared, simh
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents without a letter or that no language accepts; a kept one without a ``lang`` gets the predicted one.
+    """Drops documents without a letter or that neither a language nor all of them in total accept; a kept one without a ``lang`` gets the predicted one.
 
     Null and empty texts have no letter and go; equal texts share a fate. Without a labelled row nothing can be learned, and nothing stays.
     """

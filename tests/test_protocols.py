@@ -265,6 +265,18 @@ def test_draws_follow_the_corpus(spark):
     assert populations.sampled(pop.limit(0), 5).count() == 0
 
 
+@pytest.mark.parametrize("lot", [150, 1000])
+def test_draws_are_laid_out_in_the_order_of_items(spark, monkeypatch, lot):
+    """Over several lots too: as the SQL has them, by item."""
+    monkeypatch.setattr(populations, "LOT", lot)
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW documents AS SELECT * FROM '{SF}/documents.parquet' WHERE doc_id < 20")
+    pop = populations.words(spark, SF).where(F.col("user_key").cast("long") < 20 << 20)
+    assert baselines.exact_frequencies(pop).count() > 1000
+    got = sorted(tuple(r) for r in baselines.exact_frequencies(populations.sampled(pop, catalogue.DRAWS)).collect())
+    assert got == sorted(con.sql(catalogue.ORACLES["corpus_draws"]).fetchall())
+
+
 def test_as_of_across_hours(spark):
     events = spark.createDataFrame([(i, f"2024-01-01 {h:02d}:30:00", k) for i, (h, k) in enumerate([(0, "a"), (1, "a"), (5, "a"), (5, "b"), (9, "a")])], "event_id long, t string, item string").selectExpr("event_id", "cast(t as timestamp) AS ts", "item")
     published = spark.createDataFrame([("2024-01-01 01:00:00", "a", 1.0), ("2024-01-01 01:45:00", "a", 2.0), ("2024-01-01 09:30:00", "a", 3.0)], "t string, item string, est double").selectExpr("cast(t as timestamp) AS ts", "item", "est")

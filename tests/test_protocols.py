@@ -251,6 +251,18 @@ def test_runs_walk_together(spark):
     assert tuple(quality) == (3, 0.75, pytest.approx(0.353553), 0.5, 0.5)
 
 
+def test_plans_of_a_beam_stay_small(spark):
+    """A level's plan doesn't hold those of the levels before it twice; the beam keeps the best nodes."""
+    pop = people(spark, {"9": 900, "20": 700, "3": 100})
+    walk = prefix_tree.descend(prefix_tree.start(pop, open_params(eps=8.0, t=9, m=64), integers(8)), beam=3)
+    sizes = [len(t._jdf.queryExecution().toString()) for t in walk.trace]
+    assert max(sizes) < 2 * sizes[1]
+    for level, t in enumerate(walk.trace, 1):
+        nodes = sorted(((-r["est"], r["prefix"], r["kept"]) for r in t.collect()))
+        assert [kept for *_, kept in nodes] == [i < 3 for i in range(len(nodes))] and len(nodes) == min(2**level, 6)
+    assert {"9", "20"} <= {r["item"] for r in prefix_tree.finish(walk).collect()}
+
+
 def test_draws_follow_the_corpus(spark):
     pop = people(spark, {"a": 900, "b": 90, "c": 10})
     got = {r["item"]: r["f"] for r in baselines.exact_frequencies(populations.sampled(pop, 20_000)).collect()}

@@ -20,7 +20,7 @@ TABLES = "region nation customer supplier part orders lineitem events documents
 PARITY = ["exact_words_top100", "word_percentiles", "word_ranks", "hash_pairs", "hadamard_matrix", "user_assignment", "prefixes_words", "sketch_reports", "sketch_freq_returnflag", "sketch_uncompressed_status",
           "signmatrix_families", "partitioned_freq_segment", "tree_candidates_event", "hashed_bits_cells", "coded_bits_returnflag_repeat3", "bloom_report_counts", "privacy_ratio", "cost_table", "session_counters", "asof_histogram", "vary_width",
           "coded_words_lang", "coded_bits_uncoded", "assisted_bits_returnflag", "collision_regimes", "predecessor_discovery", "bloom_decode", "figure_n", "corpus_draws", "heavy_hitter_runs_powerlaw", "good_pairs_quantity",
-          "good_subsets_nation", "enumerate_without_dictionary", "guarantee_theory", "estimate_drift", "moving_day", "price_band_range_join", "compression_compare", "tree_trace_lang"]
+          "good_subsets_nation", "enumerate_without_dictionary", "guarantee_theory", "estimate_drift", "moving_day", "price_band_range_join", "compression_compare", "tree_trace_lang", "baseline_ln3_by_rank"]
 
 
 def open_params(**how):
@@ -251,6 +251,26 @@ def test_runs_walk_together(spark):
     assert tuple(quality) == (3, 0.75, pytest.approx(0.353553), 0.5, 0.5)
 
 
+READING = {"hadamard_matrix": 256, "hadamard_orthogonality": 256, "cost_table": 21, "predecessor_cost": 7, "operation_counts": 28}
+
+
+@pytest.mark.parametrize("name", READING)
+def test_closed_forms_read_a_table(spark, name):
+    df, con = catalogue.QUERIES[name](spark, SF), duckdb.connect()
+    assert any(f.endswith("lineitem.parquet") for f in df.inputFiles())
+    con.sql(f"CREATE VIEW lineitem AS SELECT * FROM '{SF}/lineitem.parquet'")
+    want = con.sql(catalogue.ORACLES[name])
+    got = rows(df)
+    assert len(got) == READING[name] and got == sorted(str(tuple(r)) for r in want.select(*[f'"{c}"' for c in sorted(want.columns)]).fetchall())
+    if name == "hadamard_orthogonality":
+        assert all(r["inner_product"] == 16 * (r["c1"] == r["c2"]) for r in df.collect())
+
+
+def test_both_estimates_are_made_once(spark):
+    plan = catalogue.QUERIES["baseline_ln3_by_rank"](spark, SF)._jdf.queryExecution().sparkPlan().toString()
+    assert plan.count("FlatMapGroupsInPandas") == 1
+
+
 def test_plans_of_a_beam_stay_small(spark):
     """A level's plan doesn't hold those of the levels before it twice; the beam keeps the best nodes."""
     pop = people(spark, {"9": 900, "20": 700, "3": 100})

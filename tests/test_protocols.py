@@ -309,6 +309,18 @@ def test_draws_are_laid_out_in_the_order_of_items(spark, monkeypatch, lot):
     assert got == sorted(con.sql(catalogue.ORACLES["corpus_draws"]).fetchall())
 
 
+@pytest.mark.parametrize("name", ["figure_eps", "figure_corpus_eps"])
+def test_all_budgets_are_one_job(spark, monkeypatch, name):
+    """Users are hashed once for all budgets, and ranks are those of draws in the order of items."""
+    monkeypatch.setattr(populations, "LOT", 1000)
+    con = duckdb.connect()
+    for t in ("lineitem", "documents"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
+    df, want = catalogue.QUERIES[name](spark, SF), con.sql(catalogue.ORACLES[name])
+    assert df._jdf.queryExecution().sparkPlan().toString().count("FlatMapGroupsInPandas") == 1
+    assert rows(df) == sorted(str(tuple(r)) for r in want.select(*[f'"{c}"' for c in sorted(want.columns)]).fetchall())
+
+
 def test_as_of_across_hours(spark):
     events = spark.createDataFrame([(i, f"2024-01-01 {h:02d}:30:00", k) for i, (h, k) in enumerate([(0, "a"), (1, "a"), (5, "a"), (5, "b"), (9, "a")])], "event_id long, t string, item string").selectExpr("event_id", "cast(t as timestamp) AS ts", "item")
     published = spark.createDataFrame([("2024-01-01 01:00:00", "a", 1.0), ("2024-01-01 01:45:00", "a", 2.0), ("2024-01-01 09:30:00", "a", 3.0)], "t string, item string, est double").selectExpr("cast(t as timestamp) AS ts", "item", "est")

@@ -9,6 +9,7 @@ from collections import defaultdict
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 import pytest
 import sentencepiece
 import tiktoken
@@ -511,6 +512,29 @@ def test_portions_change_no_id():
     assert tokens.ids("a" * 300_000)[-1] == feistel.END
 
 
+@pytest.mark.parametrize("kept", [40, 1 << 19])
+def test_words_are_tokenised_once(monkeypatch, kept):
+    """Whatever white space, stops and marks a text has its ids are those of the whole; what was seen isn't tokenised again."""
+    from public_tokenizers import PATTERN
+
+    monkeypatch.setattr(feistel, "KEPT", kept)
+    monkeypatch.setattr(feistel, "SLICE", 5_000)
+    plain = tiktoken.Encoding("plain", pat_str=PATTERN, mergeable_ranks=feistel.read_ranks(), special_tokens={})
+    tokens = feistel.Tokens(tuple(feistel.read_ranks().items()))
+    rng = random.Random(5)
+    odd, even = [*"ab1'.,- \n\t\r\xa0\u3000\x1c\x85\x00\u00e9", "'s", " a", "\nA", "c,"], ["ab", " c", "\nd", " e's", ".", ",", "\xa0f", " 12", "\u00e9"]
+    texts = ["", " ", "\n", "\nx", " x", "x ", "x\n"] + ["".join(rng.choice(a) for _ in range(rng.randrange(30))) for a in (odd, even) for _ in range(2000)]
+    want = [[*plain.encode_ordinary(t), feistel.END] for t in texts]
+    assert [i.tolist() for i in tokens.all_ids(pa.array(texts))] == want and tokens.numbers(pa.array(texts)) == [len(w) for w in want]
+    assert tokens.numbers(pa.array([], pa.string())) == [] and len(tokens.kept.words) <= max(kept, 5_000)
+    if kept > 40:
+        words = pa.array(["".join(rng.choice("abc") for _ in range(4)) + " the, same.\nWords again." for _ in range(500)])
+        tokens.numbers(words)
+        seen = []
+        monkeypatch.setattr(tokens, "encoding", type("E", (), {"encode_ordinary": staticmethod(lambda t: seen.append(t) or plain.encode_ordinary(t))}))
+        assert sum(len(i) for i in tokens.all_ids(words)) == sum(tokens.numbers(words)) and not "".join(seen)
+
+
 @pytest.mark.parametrize("n", [1, 2, 3, 5, 64, 1000, 4097])
 def test_feistel_is_permutation(n):
     slots = feistel.permute(np.arange(n), n, 7)

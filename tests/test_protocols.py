@@ -251,6 +251,49 @@ def test_runs_walk_together(spark):
     assert tuple(quality) == (3, 0.75, pytest.approx(0.353553), 0.5, 0.5)
 
 
+@pytest.mark.parametrize(("kept", "p"), [(1 << 27, {}), (1 << 27, {"t": 31, "m": 256, "eps": 8.0}), (400, {})])
+def test_runs_are_summed_as_their_reports(spark, monkeypatch, kept, p):
+    """Cell by cell what the reports of every run sum to: null items and keys, several batches, nodes that a worker doesn't keep."""
+    from ldp_hist.operators import run_counters as rc
+
+    p, seeds, e = open_params(**{"eps": 2.0, "t": 9, "m": 64, **p}), [0, 3, 12], SIX_LETTERS
+    words = ["the", "of", "and", "banana", "bandana", "x", "Zoë", "", None]
+    data = [(None if i == 5 else "" if i == 6 else f"{i}:k", words[i * i % 9]) for i in range(2500)]
+    pop = spark.createDataFrame(data, "user_key string, item string").repartition(2).persist()
+    monkeypatch.setattr(rc, "KEPT", kept)
+    monkeypatch.setattr(rc, "_kept", {})
+    each = sketch_oracle.tree_reports(pop.withColumn("run", F.explode(F.array(*[F.lit(s) for s in seeds]))), p, e, run="run")
+    want = each.groupBy("run", "level", "pair", "row").agg(F.sum("y1").alias("s"), F.sum("y2").alias("s2"), F.count("*").alias("users"))
+    assert rows(rc.run_counters(pop, p, e, seeds)) == rows(want)
+    assert rows(rc.run_counters(pop, p, e, seeds, second=False).drop("s2")) == rows(want.drop("s2"))
+    # The same within this process, where few nodes are kept and batches are small.
+    users = pop.select(e.encode(F.col("item")).alias("code"), F.coalesce(F.concat(F.lit(":"), F.col("user_key")), F.lit("")).alias("key"))
+    heads = [h for s in seeds for h in (f"pub:{s}", f"coin1:{p.coins}:{s}", f"coin2:{p.coins}:{s}")]
+    table = users.select("code", F.concat(*[F.sha2(F.concat(F.lit(h), F.col("key")), 256) for h in heads]).alias("thrown")).toArrow()
+    work = rc._summed(tuple(seeds), p.t, p.m, e.levels, e.bits, rc.limit(rc.keep_probability(p.eps / 2)), 2)
+    got = [b for b in work(iter(table.combine_chunks().to_batches(max_chunksize=300)))]
+    assert sorted(str(tuple(r.values())) for b in got for r in b.to_pylist()) == sorted(str(tuple(r)) for r in want.select("run", "level", "pair", "row", "s", "s2", "users").collect())
+
+
+def test_lists_of_runs_need_no_second_reports(spark):
+    pop = people(spark, {"9": 3000, "20": 2500, "3": 100})
+    how = (pop, open_params(eps=8.0, t=9, m=64), integers(5, 5), [1, 2, 3])
+    assert rows(prefix_tree.tree_run_lists(*how)) == rows(prefix_tree.tree_runs(*how).drop("est"))
+    walk = prefix_tree.descend(prefix_tree.start(*how[:3], runs=how[3], second=False))
+    with pytest.raises(ValueError, match="second"):
+        prefix_tree.finish(walk)
+    nobody = (pop.limit(0), *how[1:])
+    assert rows(prefix_tree.tree_run_lists(*nobody)) == rows(prefix_tree.tree_runs(*nobody).drop("est"))
+
+
+def test_runs_take_a_row_a_user(spark):
+    """The ten runs of a word share its row: nothing makes a row of every report."""
+    lists = prefix_tree.start(populations.word6(spark, SF), catalogue._T31, SIX_LETTERS, runs=catalogue.SEEDS, second=False)
+    plan = lists.cells._jdf.queryExecution().optimizedPlan().toString() + lists.kept[0]._jdf.queryExecution().executedPlan().toString()
+    lists.close()
+    assert "MapInArrow" in plan and "explode(array(0" not in plan and "explode([0" not in plan
+
+
 READING = {"hadamard_matrix": 256, "hadamard_orthogonality": 256, "cost_table": 21, "predecessor_cost": 7, "operation_counts": 28}
 
 

@@ -535,6 +535,40 @@ def test_words_are_tokenised_once(monkeypatch, kept):
         assert sum(len(i) for i in tokens.all_ids(words)) == sum(tokens.numbers(words)) and not "".join(seen)
 
 
+@pytest.mark.parametrize("part", [7, 1 << 18])
+def test_words_are_cut_at_boundaries_only(monkeypatch, part):
+    """Letters beyond ASCII, signs, odd white space, zero bytes, words about the length told apart as numbers, and texts of several slices."""
+    from public_tokenizers import PATTERN
+
+    monkeypatch.setattr(feistel, "PART", part)
+    monkeypatch.setattr(feistel, "SLICE", 500)
+    monkeypatch.setattr(feistel, "PORTION", 400)
+    plain = tiktoken.Encoding("plain", pat_str=PATTERN, mergeable_ranks=feistel.read_ranks(), special_tokens={})
+    tokens = feistel.Tokens(tuple(feistel.read_ranks().items()))
+    rng = random.Random(6)
+    pool = [*"ab1'.,_(\" \n\t\x00\x1c\x85\xa0\u2003\u3000\u200b\xd7\xf7\xe9\xdf\xc0\u201c\u65e5\U0001f600\xb2", "'s", "  ", "\n\n", "Wort,", "\xe9,", "\xd7."]
+    texts = ["", "a", "a\x00", "a\x00\x00", "\x00", "abcdef", "abcdefg", "abcdefgh", "abcdef\x00", "abcdefg\x00", " ", "\n"] + ["".join(rng.choices(pool, k=rng.randrange(40))) for _ in range(600)]
+    texts += [" ".join("".join(rng.choices("ab,\xe9\u65e5", k=rng.randrange(1, 9))) for _ in range(2000)), "ab.\n" * 100 + "a" * 450 + " b\n", "no\tspace\n" * 300]
+    want = [[*plain.encode_ordinary(t), feistel.END] for t in texts]
+    assert [i.tolist() for i in tokens.all_ids(pa.array(texts))] == want
+    assert tokens.numbers(pa.array(texts).slice(5)) == [len(w) for w in want[5:]]
+
+
+def test_words_beside_white_space_and_signs_are_kept():
+    """White space that meets or ends a text sends no text back to the tokeniser, and a sign behind a word or a line end before it makes no other word of it."""
+    tokens = feistel.Tokens(tuple(feistel.read_ranks().items()))
+    seen, encode = [], tokens.encoding.encode_ordinary
+    tokens.encoding = type("E", (), {"encode_ordinary": staticmethod(lambda t: seen.append(t) or encode(t))})
+    tokens.numbers(pa.array(["One word (two words)\n\n  and  more.  ", "One\tword! "]))
+    assert sum(t.count(" word") for t in seen) == 2  # word, words
+    seen.clear()
+    texts = pa.array(["more word! words) and\n\n  and  more.  ", "One word (two"])
+    tokens.numbers(texts)
+    assert sum(map(len, seen)) < 20  # " more" and what ends in white space, but no text
+    seen.clear()
+    assert tokens.numbers(texts) == [len(i) for i in tokens.all_ids(texts)] and not seen
+
+
 @pytest.mark.parametrize("n", [1, 2, 3, 5, 64, 1000, 4097])
 def test_feistel_is_permutation(n):
     slots = feistel.permute(np.arange(n), n, 7)
